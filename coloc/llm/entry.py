@@ -35,9 +35,47 @@ def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.token_counts(_read(spark, sf_dir, "documents"), vocabularies.path("piece_bpe_32k.model"))
 
 
+def op7_quality_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from coloc.llm import quality_model
+
+    docs = _read(spark, sf_dir, "documents")
+    return quality_model.scores(docs, quality_model.train(docs, _read(spark, sf_dir, "labels")))
+
+
+def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from coloc.llm import warc
+
+    return warc.archived(_read(spark, sf_dir, "pages"))
+
+
+def op9_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from coloc.llm import url_filters
+
+    return url_filters.verdicts(_read(spark, sf_dir, "pages"), _read(spark, sf_dir, "labels"))
+
+
+def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from coloc.llm import language_id
+
+    return language_id.languages(_read(spark, sf_dir, "documents"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_packing": op1_packing,
     "op4_byte_bpe": op4_byte_bpe,
     "op5_token_counts": op5_token_counts,
+    "op7_quality_model": op7_quality_model,
+    "op8_warc": op8_warc,
+    "op9_url_filters": op9_url_filters,
+    "op10_language_id": op10_language_id,
+}
+ORACLE_SQL: dict[str, str] = {
+    "op8_warc": """
+        WITH p AS (SELECT page_id, strlen(coalesce(html, '')) AS payload_bytes, sha256(coalesce(html, '')) AS payload_digest FROM pages),
+        f AS (SELECT payload_digest, min(page_id) AS first_id, count(*) AS n FROM p WHERE payload_bytes >= 100 GROUP BY payload_digest)
+        SELECT p.page_id, p.payload_bytes, p.payload_digest,
+               CASE WHEN f.n > 1 AND p.page_id IS DISTINCT FROM f.first_id AND f.first_id IS NOT NULL THEN 'revisit' ELSE 'response' END AS record_type,
+               CASE WHEN f.n > 1 AND p.page_id IS DISTINCT FROM f.first_id THEN f.first_id END AS refers_to
+        FROM p LEFT JOIN f ON f.payload_digest = p.payload_digest AND p.payload_bytes >= 100
+    """,
 }
-ORACLE_SQL: dict[str, str] = {}

@@ -35,6 +35,12 @@ def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.token_counts(_read(spark, sf_dir, "documents"), vocabularies.path("piece_bpe_32k.model"))
 
 
+def op6_exact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from coloc.llm import exact_topk
+
+    return exact_topk.nearest(_read(spark, sf_dir, "embeddings"))
+
+
 def op7_quality_model(spark: SparkSession, sf_dir: str) -> DataFrame:
     from coloc.llm import quality_model
 
@@ -64,12 +70,21 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_packing": op1_packing,
     "op4_byte_bpe": op4_byte_bpe,
     "op5_token_counts": op5_token_counts,
+    "op6_exact_topk": op6_exact_topk,
     "op7_quality_model": op7_quality_model,
     "op8_warc": op8_warc,
     "op9_url_filters": op9_url_filters,
     "op10_language_id": op10_language_id,
 }
 ORACLE_SQL: dict[str, str] = {
+    "op6_exact_topk": """
+        WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)::BIGINT) AS c FROM embeddings
+                   WHERE embedding IS NOT NULL AND list_bool_and(list_transform(embedding, lambda x: x IS NOT NULL AND isfinite(x)))),
+        s AS (SELECT q.vec_id AS query_id, c.vec_id, list_inner_product(q.c::DOUBLE[], c.c::DOUBLE[])::BIGINT AS score
+              FROM v q JOIN v c ON q.vec_id % 50 = 0 AND c.vec_id <> q.vec_id),
+        r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id)::INTEGER AS rank FROM s)
+        SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 5
+    """,
     "op8_warc": """
         WITH p AS (SELECT page_id, strlen(coalesce(html, '')) AS payload_bytes, sha256(coalesce(html, '')) AS payload_digest FROM pages),
         f AS (SELECT payload_digest, min(page_id) AS first_id, count(*) AS n FROM p WHERE payload_bytes >= 100 GROUP BY payload_digest)

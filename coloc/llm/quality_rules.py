@@ -19,6 +19,7 @@ from coloc.llm.tables import narrow
 BETWEEN_WORDS = r"[\x20\x09-\x0D]+"
 SYMBOLS = r"[#*$%&|<>]"
 MIN_WORDS = 50
+PLACE_BITS = 20
 
 
 @dataclass(frozen=True)
@@ -58,39 +59,57 @@ LENIENT = Policy("lenient", 1, ("few_words", "repeated_words", "many_symbols"))
 def measured(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id and the measurements of every row."""
     rows = narrow(docs, doc_id=id_col, text=text_col).select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    words = F.filter(F.split("text", BETWEEN_WORDS), lambda w: w != "")
+    words = F.array_remove(F.split("text", BETWEEN_WORDS), "")
     lines = F.filter(F.split("text", "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
     rows = rows.select("doc_id", "text", words.alias("words"), lines.alias("lines"))
-    size = F.size("words")
-    windows = F.when(size >= 3, F.transform(F.sequence(F.lit(1), size - 2), lambda i: F.concat_ws(" ", *[F.get("words", i - 1 + k) for k in range(3)])))
-    rows = rows.select("doc_id", "text", "words", "lines", F.coalesce(windows, F.array().cast("array<string>")).alias("windows"))
+    # each window's hash with its place in the low bits, so that equal windows are neighbours once these numbers are sorted
+    keyed = F.transform(F.sequence(F.lit(0), F.size("words") - 3), lambda i: F.shiftleft(F.xxhash64(*_window("words", i)), PLACE_BITS).bitwiseOR(i.cast("long")))
+    fits = F.size("words").between(3, 1 << PLACE_BITS)
+    rows = rows.select("doc_id", "text", "words", "lines", F.when(fits, F.sort_array(keyed)).alias("keyed"))
+    near = F.filter("keyed", lambda x, i: (_key(x) == _key(F.get("keyed", i - 1))) | (_key(x) == _key(F.get("keyed", i + 1))))
+    rows = rows.select("doc_id", "text", "words", "lines", near.alias("near"))
     return rows.select(
         "doc_id",
-        size.cast("long").alias("n_words"),
-        _total(F.transform("words", F.char_length)).alias("word_chars"),
+        F.size("words").cast("long").alias("n_words"),
+        F.char_length(F.array_join("words", "")).cast("long").alias("word_chars"),
         F.regexp_count("text", F.lit(SYMBOLS)).cast("long").alias("n_symbols"),
         (F.size("lines") - F.size(F.array_distinct("lines"))).cast("long").alias("n_dup_lines"),
-        _repeated("windows").cast("long").alias("n_repeat_words"),
+        _repeat_words().cast("long").alias("n_repeat_words"),
         F.size("lines").cast("long").alias("n_lines"),
         (F.char_length("text") - F.char_length(F.replace("text", F.lit("!"), F.lit("")))).cast("long").alias("n_exclamations"),
     )
 
 
-def _total(sizes: Column) -> Column:
-    return F.aggregate(sizes, F.lit(0).cast("long"), lambda a, x: a + x)
+def _window(words: str, i: Column) -> list[Column]:
+    return [F.get(words, i + k) for k in range(3)]
 
 
-def _repeated(windows: str) -> Column:
-    """Words that lie in a window found twice or more: windows of one text are next to each other once sorted with their
-    places; the places of repeated ones, in order, cover up to three words each beyond the place before."""
-    placed = F.array_sort(F.transform(windows, lambda w, i: F.struct(w.alias("w"), i.alias("i"))))
-    # of each window: its place if the one before or after it is the same
-    with_next = F.zip_with(placed, F.slice(F.concat(placed, F.array(F.lit(None).cast("struct<w:string,i:int>"))), 2, F.size(windows)), lambda a, b: F.struct(a["i"].alias("i"), b["i"].alias("j"), (a["w"] == b["w"]).alias("same")))
-    twins = F.filter(with_next, lambda x: x["same"])
-    places = F.array_sort(F.array_distinct(F.concat(F.transform(twins, lambda x: x["i"]), F.transform(twins, lambda x: x["j"]))))
+def _key(x: Column) -> Column:
+    return F.shiftright(x, PLACE_BITS)
+
+
+def _place(x: Column) -> Column:
+    return x.bitwiseAND(F.lit((1 << PLACE_BITS) - 1)).cast("int")
+
+
+def _covered(places: Column) -> Column:
+    """Words in the three-word windows that begin at these places, given in order."""
     start = F.struct(F.lit(-3).alias("last"), F.lit(0).alias("n"))
-    covered = F.aggregate(places, start, lambda a, i: F.struct(i.alias("last"), (a["n"] + F.least(F.lit(3), i - a["last"])).alias("n")), lambda a: a["n"])
-    return F.when(F.size(F.array_distinct(windows)) < F.size(windows), covered).otherwise(0)
+    return F.aggregate(places, start, lambda a, i: F.struct(i.alias("last"), (a["n"] + F.least(F.lit(3), i - a["last"])).alias("n")), lambda a: a["n"])
+
+
+def _repeat_words() -> Column:
+    """Words in windows found twice or more: `near` has the keyed windows that share their hash with another.
+
+    If two different windows share one, or the text has too many words for the place bits, the windows themselves are compared.
+    """
+    same = lambda x, y: F.array(*_window("words", _place(x))) == F.array(*_window("words", _place(y)))
+    clash = F.exists(F.transform("near", lambda x, i: (_key(x) == _key(F.get("near", i - 1))) & ~same(x, F.get("near", i - 1))), lambda x: x)
+    by_hash = _covered(F.sort_array(F.transform("near", _place)))
+    placed = F.sort_array(F.transform(F.sequence(F.lit(0), F.size("words") - 3), lambda i: F.struct(F.array(*_window("words", i)).alias("w"), i.alias("i"))))
+    pairs = F.zip_with(F.slice(placed, 1, F.size("words") - 3), F.slice(placed, 2, F.size("words") - 3), lambda a, b: F.when(a["w"] == b["w"], F.array(a["i"], b["i"])).otherwise(F.array().cast("array<int>")))
+    by_words = _covered(F.sort_array(F.array_distinct(F.flatten(pairs))))
+    return F.when(F.size("words") < 4, 0).when(F.col("near").isNull(), by_words).when(F.size("near") == 0, 0).when(clash, by_words).otherwise(by_hash)
 
 
 def ledger(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

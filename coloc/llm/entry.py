@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from coloc.llm import quality_rules
+from coloc.llm import near_dedup, quality_rules
 
 
 def _read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
@@ -29,6 +29,10 @@ def quality_rule_ablations(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.ablations(quality_rules.ledger(_read(spark, sf_dir, "documents")))
 
 
+def op3_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dedup.groups(_read(spark, sf_dir, "documents"), near_dedup.Likeness(words=2, percent=80))
+
+
 def op4_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers as vocabularies
 
@@ -80,6 +84,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_packing": op1_packing,
     "op2_quality_rules": op2_quality_rules,
     "quality_rule_ablations": quality_rule_ablations,
+    "op3_near_dedup": op3_near_dedup,
     "op4_byte_bpe": op4_byte_bpe,
     "op5_token_counts": op5_token_counts,
     "op6_exact_topk": op6_exact_topk,
@@ -91,6 +96,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 ORACLE_SQL: dict[str, str] = {
     "op2_quality_rules": quality_rules.VERDICTS_SQL,
     "quality_rule_ablations": quality_rules.ABLATIONS_SQL,
+    "op3_near_dedup": near_dedup.groups_sql(2, 80),
     "op6_exact_topk": """
         WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)::BIGINT) AS c FROM embeddings
                    WHERE embedding IS NOT NULL AND list_bool_and(list_transform(embedding, lambda x: x IS NOT NULL AND isfinite(x)))),

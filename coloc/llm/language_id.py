@@ -158,3 +158,17 @@ def languages(docs: DataFrame, model: Model | None = None, id_col: str = "doc_id
     model = model or train(docs, id_col, text_col, lang_col)
     rows = narrow(docs, doc_id=id_col, text=text_col).select(F.col("doc_id").cast("long").alias("doc_id"), (samples.remainder("doc_id", DIVISOR) == HELD_OUT).alias("held_out"), "text")
     return rows.mapInArrow(partial(_predicted, model=model), SCHEMA)
+
+
+def _accepted(batches: Iterator[pa.RecordBatch], model: Model, text: int, least: float) -> Iterator[pa.RecordBatch]:
+    grams = Grams(model.alphabet, model.grams)
+    for batch in slices(batches, text, 4_000_000):
+        lang, score = predict(model, grams, *flat(batch.column(text)))
+        yield batch.filter(pa.array([name != UNKNOWN and s >= least for name, s in zip(lang, score.tolist())], pa.bool_()))
+
+
+def accepted(docs: DataFrame, least: float = 0.3, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
+    """The rows of docs, with all their columns, whose language is known with at least that score."""
+    ship(docs.sparkSession)
+    model = train(docs, id_col, text_col, lang_col)
+    return docs.mapInArrow(partial(_accepted, model=model, text=docs.columns.index(text_col), least=least), docs.schema)

@@ -254,6 +254,13 @@ def groups(docs: DataFrame, like: Likeness = Likeness(), id_col: str = "doc_id",
     return out.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
 
 
+def first_of_each(docs: DataFrame, like: Likeness = Likeness(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows of docs, with all their columns, that keep their group's smallest id."""
+    spare = staged(groups(docs, like, id_col, text_col).where(~F.col("kept")).select(F.col("doc_id").alias("_spare")).distinct(), "spare")
+    found = docs[id_col].cast("long") == F.col("_spare")
+    return docs.join(F.broadcast(spare) if spare.count() <= SMALL else spare, found, "left_anti")
+
+
 def _measured(pairs: DataFrame, nodes: DataFrame, like: Likeness) -> DataFrame:
     """a, b, apart of the pairs within DISTANCE and of sizes that allow a link."""
     marks = nodes.select("node", "n", _as_longs(F.col("mark")).alias("m"))

@@ -180,3 +180,15 @@ def scores(docs: DataFrame, net: Network, id_col: str = "doc_id", text_col: str
     ship(docs.sparkSession)
     rows = narrow(docs, doc_id=id_col, text=text_col).select(F.col("doc_id").cast("long").alias("doc_id"), (samples.remainder("doc_id", DIVISOR) == HELD_OUT).alias("held_out"), "text")
     return rows.mapInArrow(partial(_scored, net=net), SCHEMA)
+
+
+def _accepted(batches: Iterator[pa.RecordBatch], net: Network, text: int) -> Iterator[pa.RecordBatch]:
+    for batch in slices(batches, text, 4_000_000):
+        yield batch.filter(pa.array(probability(net, chunks(*flat(batch.column(text)))) >= THRESHOLD))
+
+
+def accepted(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows of docs, with all their columns, that are predicted to be good."""
+    ship(docs.sparkSession)
+    net = train(docs, labels, id_col, text_col)
+    return docs.mapInArrow(partial(_accepted, net=net, text=docs.columns.index(text_col)), docs.schema)

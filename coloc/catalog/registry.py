@@ -21,8 +21,8 @@ def add(name: str, query: Query, sql: str | None = None) -> None:
 
 
 def r4(column: str, name: str | None = None, digits: int = 4) -> Column:
-    return F.round(F.col(column).cast("double"), digits).alias(name or column)
+    return (F.round(F.col(column).cast("double"), digits) + F.lit(0.0)).alias(name or column)  # no negative zero
 
 
 def q4(column: str, name: str | None = None, digits: int = 4) -> str:
-    return f"round(({column})::DOUBLE, {digits}) AS {name or column}"
+    return f"(round(({column})::DOUBLE, {digits}) + 0.0) AS {name or column}"

@@ -62,7 +62,7 @@ def _rand_cases(source: str) -> dict[str, str]:
     s = source
     return {
         f"{s}_urban": f"SELECT *, row_number() OVER (ORDER BY object_id) AS k FROM {s} WHERE urban",
-        f"{s}_quota": f"SELECT *, (SELECT count(*) FROM {s}_urban) AS total, total * population / (sum(population) OVER ()) AS quota FROM zones",
+        f"{s}_quota": f"SELECT zones.*, total, total * population / (sum(population) OVER ()) AS quota FROM zones, (SELECT count(*) AS total FROM {s}_urban) AS n",
         f"{s}_share": f"SELECT *, floor(quota) + CASE WHEN row_number() OVER (ORDER BY quota - floor(quota) DESC, zone_id) <= total - sum(floor(quota)) OVER () THEN 1 ELSE 0 END AS share FROM {s}_quota",
         f"{s}_cum": f"SELECT *, sum(share) OVER (ORDER BY zone_id ROWS UNBOUNDED PRECEDING) AS high, high - share AS low FROM {s}_share",
         f"{s}_inner": f"SELECT sim_id, object_id, feature, true AS urban, x0 + (x1 - x0) * {_us('sx', 'object_id')} AS x, y0 + (y1 - y0) * {_us('sy', 'object_id')} AS y FROM (SELECT object_id, feature, k FROM {s}_urban) c JOIN {s}_cum ON k > low AND k <= high, sims",

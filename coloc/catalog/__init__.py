@@ -4,7 +4,7 @@ from __future__ import annotations
 
 
 def _load() -> None:
-    from coloc.catalog import methods  # noqa: F401
+    from coloc.catalog import methods, relational, streams, workloads  # noqa: F401
 
 
 def queries() -> dict:

@@ -15,6 +15,7 @@ from coloc.plans import miner
 from coloc.plans.config import MinerConfig
 from coloc.sources import given, synthetic
 from coloc.sources.given import EFFECT, REGION
+from coloc.sources.staging import staged
 
 GRID = grids.Grid(1.0, REGION)
 POINTS = grids.Grid(0.5, (0.0, 0.0, 100.0, 100.0))
@@ -305,8 +306,8 @@ add("rand_uniform", lambda s, d: randomize.uniform(given.event_points(s, d), (0.
 # ---- significance ----
 def randomiser(s: SparkSession, d: str, how: str = "both", linked: bool = True):
     """Buffered objects of the simulations first to last."""
-    e = given.emissions(s, d)
-    c = given.cases_linked(s, d) if linked else given.cases(s, d)
+    e = staged(given.emissions(s, d), "emissions")  # drawn from again in each block
+    c = staged(given.cases_linked(s, d) if linked else given.cases(s, d), "cases")
 
     def drawn(first: int, last: int) -> DataFrame:
         causes = randomize.permute_features(e, first, last) if how in ("both", "causes") else randomize.with_sims(e, first, last)

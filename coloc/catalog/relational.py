@@ -38,10 +38,10 @@ def asof_wind(s, d):
     e = t(s, d, "events")
     key = W.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(W.unboundedPreceding, -1)
     last = F.last(F.when(F.col("event_type") != "error", F.col("value")), ignorenulls=True).over(key)
-    return e.withColumn("before", last).where("event_type = 'error'").select("event_id", r4("before"))
+    return e.withColumn("before", last).where("event_type = 'error'").select("event_id", F.coalesce(r4("before"), F.lit(-1.0)).alias("before"))
 
 
-add("asof_wind", asof_wind, f"SELECT event_id, {q4('before')} FROM (SELECT event_id, event_type, last_value(CASE WHEN event_type <> 'error' THEN value END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS before FROM events) WHERE event_type = 'error'")
+add("asof_wind", asof_wind, f"SELECT event_id, {q4('coalesce(before, -1.0)', 'before')} FROM (SELECT event_id, event_type, last_value(CASE WHEN event_type <> 'error' THEN value END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS before FROM events) WHERE event_type = 'error'")
 
 
 def interval_join(s, d):
@@ -72,16 +72,16 @@ by_region = lambda s, d: etx(s, d).withColumns({"zx": F.floor(F.col("gi") / 40),
 ZONED = {**TXE, "zt": "SELECT *, floor(gi / 40)::BIGINT AS zx, floor(gj / 40)::BIGINT AS zy FROM tx"}
 _agg = lambda: (F.count(F.lit(1)).alias("n"), F.round(F.sum("p").cast("double"), 4).alias("exp_sup"))
 _asql = f"count(*) AS n, {q4('sum(p)', 'exp_sup')}"
-add("support_cube", lambda s, d: by_region(s, d).cube("zx", "feature").agg(*_agg()), sql(f"SELECT zx, feature, {_asql} FROM zt GROUP BY CUBE (zx, feature)", **ZONED))
-add("support_rollup", lambda s, d: by_region(s, d).rollup("zx", "zy", "feature").agg(*_agg()), sql(f"SELECT zx, zy, feature, {_asql} FROM zt GROUP BY ROLLUP (zx, zy, feature)", **ZONED))
+add("support_cube", lambda s, d: by_region(s, d).cube("zx", "feature").agg(*_agg()).fillna({"zx": -1, "feature": "all"}), sql(f"SELECT coalesce(zx, -1) AS zx, coalesce(feature, 'all') AS feature, n, exp_sup FROM (SELECT zx, feature, {_asql} FROM zt GROUP BY CUBE (zx, feature))", **ZONED))
+add("support_rollup", lambda s, d: by_region(s, d).rollup("zx", "zy", "feature").agg(*_agg()).fillna({"zx": -1, "zy": -1, "feature": "all"}), sql(f"SELECT coalesce(zx, -1) AS zx, coalesce(zy, -1) AS zy, coalesce(feature, 'all') AS feature, n, exp_sup FROM (SELECT zx, zy, feature, {_asql} FROM zt GROUP BY ROLLUP (zx, zy, feature))", **ZONED))
 
 
 def grouping_sets(s, d):
     by_region(s, d).createOrReplaceTempView("zoned_items")
-    return s.sql("SELECT zx, feature, count(*) AS n, round(cast(sum(p) AS DOUBLE), 4) AS exp_sup FROM zoned_items GROUP BY GROUPING SETS ((zx), (feature), ())")
+    return s.sql("SELECT coalesce(zx, -1) AS zx, coalesce(feature, 'all') AS feature, count(*) AS n, round(cast(sum(p) AS DOUBLE), 4) AS exp_sup FROM zoned_items GROUP BY GROUPING SETS ((zx), (feature), ())")
 
 
-add("support_grouping_sets", grouping_sets, sql(f"SELECT zx, feature, {_asql} FROM zt GROUP BY GROUPING SETS ((zx), (feature), ())", **ZONED))
+add("support_grouping_sets", grouping_sets, sql(f"SELECT coalesce(zx, -1) AS zx, coalesce(feature, 'all') AS feature, n, exp_sup FROM (SELECT zx, feature, {_asql} FROM zt GROUP BY GROUPING SETS ((zx), (feature), ()))", **ZONED))
 add("p_summary", lambda s, d: _rules(s, d).where("exp_conf is not null").groupBy("size").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("exp_conf"), 4).alias("mean"), F.round(F.stddev("exp_conf"), 4).alias("sd"), F.round(F.percentile("exp_conf", 0.5), 4).alias("median")), sql("SELECT size, count(*) AS n, round(avg(exp_conf), 4) AS mean, round(stddev(exp_conf), 4) AS sd, round(quantile_cont(exp_conf, 0.5), 4) AS median FROM rules WHERE exp_conf IS NOT NULL GROUP BY size", **RULES2))
 add("decimal_sum", lambda s, d: transactions.from_table(given.baskets(s, d)).groupBy("feature").agg(F.sum("p").cast("string").alias("exp_sup")), sql("SELECT feature, sum(p)::DECIMAL(28,12)::VARCHAR AS exp_sup FROM (SELECT tx_id, item AS feature, max(p)::DECIMAL(18,12) AS p FROM baskets GROUP BY ALL) GROUP BY feature"))
 add("approx_features", lambda s, d: etx(s, d).groupBy("gi").agg(F.approx_count_distinct("feature").alias("n")))
@@ -92,11 +92,11 @@ ranked = lambda s, d: _rules(s, d).select("key", "size", "sup")
 add("rank_rules", lambda s, d: ranked(s, d).select("key", "size", F.row_number().over(order()).alias("rn"), F.rank().over(W.partitionBy("size").orderBy(F.desc("sup"))).alias("rk"), F.dense_rank().over(W.partitionBy("size").orderBy(F.desc("sup"))).alias("dr"), F.ntile(4).over(order()).alias("nt"), F.round(F.percent_rank().over(W.partitionBy("size").orderBy(F.desc("sup"))), 4).alias("pr")), sql("SELECT key, size, row_number() OVER w AS rn, rank() OVER v AS rk, dense_rank() OVER v AS dr, ntile(4) OVER w AS nt, round(percent_rank() OVER v, 4) AS pr FROM rules WINDOW w AS (PARTITION BY size ORDER BY sup DESC, key), v AS (PARTITION BY size ORDER BY sup DESC)", **RULES2))
 add("topk_rules", lambda s, d: ranked(s, d).orderBy(F.desc("sup"), "key").limit(10), sql("SELECT key, size, sup FROM rules ORDER BY sup DESC, key LIMIT 10", **RULES2))
 add("topk_per_size", lambda s, d: ranked(s, d).withColumn("k", F.row_number().over(order())).where("k <= 3"), sql("SELECT key, size, sup, row_number() OVER (PARTITION BY size ORDER BY sup DESC, key) AS k FROM rules QUALIFY k <= 3", **RULES2))
-day = lambda s, d: given.wind_daily(s, d).groupBy("day").agg(F.count(F.lit(1)).alias("n"), F.sum("speed").alias("v"))
-DAY = {"dd": "SELECT day, count(*) AS n, sum(speed) AS v FROM daily GROUP BY day"}
-add("lag_lead_days", lambda s, d: day(s, d).select("day", (F.col("n") - F.lag("n").over(W.orderBy("day"))).alias("change"), F.lead("n").over(W.orderBy("day")).alias("next"), F.first("n").over(W.orderBy("day")).alias("first")), sql("SELECT day, n - lag(n) OVER w AS change, lead(n) OVER w AS next, first_value(n) OVER w AS first FROM dd WINDOW w AS (ORDER BY day)", **DAY))
+day = lambda s, d: given.wind_daily(s, d).groupBy(F.col("day").cast("string").alias("day")).agg(F.count(F.lit(1)).alias("n"), F.sum("speed").alias("v"))
+DAY = {"dd": "SELECT day::VARCHAR AS day, day AS dt, count(*) AS n, sum(speed) AS v FROM daily GROUP BY ALL"}
+add("lag_lead_days", lambda s, d: day(s, d).select("day", (F.col("n") - F.lag("n", 1, 0).over(W.orderBy("day"))).alias("change"), F.lead("n", 1, 0).over(W.orderBy("day")).alias("next"), F.first("n").over(W.orderBy("day")).alias("first")), sql("SELECT day, n - lag(n, 1, 0) OVER w AS change, lead(n, 1, 0) OVER w AS next, first_value(n) OVER w AS first FROM dd WINDOW w AS (ORDER BY day)", **DAY))
 add("running_exceed", lambda s, d: day(s, d).select("day", F.sum("n").over(W.orderBy("day").rowsBetween(W.unboundedPreceding, 0)).alias("total")), sql("SELECT day, sum(n) OVER (ORDER BY day ROWS UNBOUNDED PRECEDING)::BIGINT AS total FROM dd", **DAY))
-add("wind_moving_mean", lambda s, d: day(s, d).select("day", F.round(F.avg("v").over(W.orderBy("day").rowsBetween(-2, 0)), 3).alias("m3"), F.round(F.sum("v").over(W.orderBy(F.unix_date("day")).rangeBetween(-7, 0)), 2).alias("week")), sql("SELECT day, round(avg(v) OVER (ORDER BY day ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 3) AS m3, round(sum(v) OVER (ORDER BY day RANGE BETWEEN INTERVAL 7 DAY PRECEDING AND CURRENT ROW), 2) AS week FROM dd", **DAY))
+add("wind_moving_mean", lambda s, d: day(s, d).select("day", F.round(F.avg("v").over(W.orderBy("day").rowsBetween(-2, 0)), 3).alias("m3"), F.round(F.sum("v").over(W.orderBy(F.unix_date(F.to_date("day"))).rangeBetween(-7, 0)), 2).alias("week")), sql("SELECT day, round(avg(v) OVER (ORDER BY day ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 3) AS m3, round(sum(v) OVER (ORDER BY dt RANGE BETWEEN INTERVAL 7 DAY PRECEDING AND CURRENT ROW), 2) AS week FROM dd", **DAY))
 
 # ---- sets, pivots, subqueries, samples ----
 one = lambda s, d: given.emissions(s, d).where("amount > 100").select("site_id")
@@ -155,15 +155,15 @@ add("array_functions", lambda s, d: _arr(s, d).select("object_id", F.size("a").a
 add("map_functions", lambda s, d: transactions.as_map(transactions.to_wide(etx(s, d))).select("gi", "gj", F.size(F.map_keys("items")).alias("n"), F.round(F.aggregate(F.map_values("items"), F.lit(0.0), lambda a, b: F.greatest(a, b)), 4).alias("top"), F.size(F.map_filter("items", lambda k, v: v > 0.5)).alias("strong")), sql("SELECT gi, gj, count(*)::INTEGER AS n, round(max(p)::DOUBLE, 4) AS top, (count(*) FILTER (p > 0.5))::INTEGER AS strong FROM tx GROUP BY ALL", **TXE))
 add("json_functions", lambda s, d: t(s, d, "events").select("event_id", F.get_json_object("props", "$.k").cast("int").alias("k"), F.from_json("props", "k int")["k"].alias("k2"), F.get_json_object(F.to_json(F.struct(F.col("user_id").alias("u"))), "$.u").alias("u")), "SELECT event_id, (props->>'$.k')::INTEGER AS k, (props->>'$.k')::INTEGER AS k2, user_id::VARCHAR AS u FROM events")
 add("conditional_functions", lambda s, d: _rules(s, d).select("key", F.round(F.try_divide("sup", "sup_lhs"), 4).alias("r"), F.coalesce(F.nullif(F.col("sup"), F.lit(0)), F.lit(-1)).alias("n"), F.when(F.col("sup") > 10, "many").otherwise("few").alias("c")), sql("SELECT key, round(sup::DOUBLE / nullif(sup_lhs, 0), 4) AS r, coalesce(nullif(sup, 0), -1) AS n, CASE WHEN sup > 10 THEN 'many' ELSE 'few' END AS c FROM rules", **RULES2))
-add("tile_bits", lambda s, d: etx(s, d).select("gi", "gj", "feature").withColumn("tile", F.shiftleft(F.floor(F.col("gi") / 64), 16).bitwiseOR(F.floor(F.col("gj") / 64))).groupBy("tile").agg(F.count(F.lit(1)).alias("n"), F.bit_count(F.bit_or(F.shiftleft(F.lit(1).cast("long"), (F.col("gi") % 8).cast("int")))).alias("bits")), sql("SELECT ((floor(gi / 64)::BIGINT << 16) | floor(gj / 64)::BIGINT) AS tile, count(*) AS n, bit_count(bit_or(1::BIGINT << (gi % 8)::INTEGER))::INTEGER AS bits FROM tx GROUP BY ALL", **TXE))
+add("tile_bits", lambda s, d: etx(s, d).select("gi", "gj", "feature").withColumn("tile", F.shiftleft(F.floor(F.col("gi") / 64), 16).bitwiseOR(F.floor(F.col("gj") / 64))).groupBy("tile").agg(F.count(F.lit(1)).alias("n"), F.bit_count(F.bit_or(F.pow(F.lit(2.0), F.col("gi") % 8).cast("long"))).alias("bits")), sql("SELECT ((floor(gi / 64)::BIGINT << 16) | floor(gj / 64)::BIGINT) AS tile, count(*) AS n, bit_count(bit_or(1::BIGINT << (gi % 8)::INTEGER))::INTEGER AS bits FROM tx GROUP BY ALL", **TXE))
 
 
 def wkt_parse(s, d):
     rows = s.createDataFrame([(1, "POINT(3 4)"), (2, "LINESTRING (0 0, 3 4, 6 8)"), (3, "POLYGON((0 0, 4 0, 4 4, 0 4, 0 0))"), (4, "CURVE(1 2)")], "id int, w string")
-    return rows.select("id", geometry.parse_wkt(F.col("w")).alias("g")).select("id", F.col("g.kind").alias("kind"), F.size("g.ring").alias("n"), F.element_at("g.ring", -1)["x"].alias("last_x"))
+    return rows.select("id", geometry.parse_wkt(F.col("w")).alias("g")).select("id", F.coalesce(F.col("g.kind"), F.lit("none")).alias("kind"), F.coalesce(F.size("g.ring"), F.lit(0)).alias("n"), F.coalesce(F.element_at("g.ring", -1)["x"], F.lit(0.0)).alias("last_x"))
 
 
-add("wkt_parse", wkt_parse, "SELECT * FROM (VALUES (1, 'point', 1, 3.0::DOUBLE), (2, 'line', 3, 6.0), (3, 'polygon', 5, 0.0), (4, NULL, NULL, NULL)) AS t(id, kind, n, last_x)")
+add("wkt_parse", wkt_parse, "SELECT * FROM (VALUES (1, 'point', 1, 3.0::DOUBLE), (2, 'line', 3, 6.0), (3, 'polygon', 5, 0.0), (4, 'none', 0, 0.0)) AS t(id, kind, n, last_x)")
 
 # ---- scans ----
 WIDE = grids.Grid(1.0, (-120.0, -120.0, 120.0, 120.0))

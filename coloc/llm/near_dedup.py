@@ -7,8 +7,8 @@ DISTANCE // CHUNKS = 1 symbol. Enumerating the place of that error gives a key f
 within DISTANCE shares a key: none is lost.
 
 Texts with equal sets are one node. No group is expanded into all its pairs: first each key of an error-free chunk ties its
-nodes to its smallest, and confirmed ties merge into components; then only pairs from different components that share any key are
-compared. A pair inside one component would not change the result, so the components are those of all links.
+nodes to the one that shares most chunks, and confirmed ties merge into components; then only pairs from different components that share any key are
+compared, with a few members of a key's largest component first. A pair inside one component would not change the result, so the components are those of all links.
 """
 
 from __future__ import annotations
@@ -21,15 +21,18 @@ import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from coloc.llm.components import components, roots
+from coloc.llm.components import components
 from coloc.llm.ragged import WHITE, Coded, flat, slices
 from coloc.llm.tables import narrow, ship, staged
 
 SYMBOLS, DISTANCE, CHUNKS = 64, 27, 14
 EDGES = [SYMBOLS * c // CHUNKS for c in range(CHUNKS + 1)]
+#: Of each symbol whether it is its chunk's first.
+FIRST = np.isin(np.arange(SYMBOLS), EDGES[:-1])
+#: Rounds in which nodes outside a key's largest component are compared with a few of its members only.
+ROUNDS = 2
 #: Ids that are sent to all executors at once, at most; beyond, tables are joined by shuffling.
 SMALL = 1_000_000
 #: Of a signature's symbols two bits each are kept beside a key: 0.8-similar sets differ in 9.6 of 64 on average, sd 2.9.
@@ -104,7 +107,7 @@ def signature(hashes: np.ndarray) -> np.ndarray:
 
 
 def _signed(batches: Iterator[pa.RecordBatch], words: int) -> Iterator[pa.RecordBatch]:
-    for batch in slices(batches, 1):
+    for batch in slices(batches, 1, 4_000_000):
         sets = shingle_sets(batch.column(1), words)
         prints = [xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None for s in sets]
         marks = [signature(s).tobytes() if len(s) else None for s in sets]
@@ -112,7 +115,7 @@ def _signed(batches: Iterator[pa.RecordBatch], words: int) -> Iterator[pa.Record
 
 
 def _with_sets(batches: Iterator[pa.RecordBatch], words: int) -> Iterator[pa.RecordBatch]:
-    for batch in slices(batches, 1):
+    for batch in slices(batches, 1, 4_000_000):
         sets = shingle_sets(batch.column(1), words)
         ends = np.append(0, np.cumsum([len(s) for s in sets])).astype(np.int32)
         values = np.concatenate(sets).view(np.int64) if sets else np.zeros(0, np.int64)
@@ -133,39 +136,34 @@ def chunk_keys(marks: np.ndarray, errors: bool) -> np.ndarray:
 
 
 def _keyed(batches: Iterator[pa.RecordBatch], errors: bool) -> Iterator[pa.RecordBatch]:
-    """node, comp, n, mark -> key, node, comp, n and, with errors, a two-bit sketch of the signature."""
+    """node, comp, n, mark -> key, node, comp, n and, with errors, the symbol that the key leaves out, whether it is the chunk's
+    first, and a two-bit sketch of the signature."""
     for batch in batches:
-        for start in range(0, batch.num_rows, 20_000):
-            part = batch.slice(start, 20_000)
+        for start in range(0, batch.num_rows, 5_000):
+            part = batch.slice(start, 5_000)
             marks = np.frombuffer(b"".join(part.column(3).to_pylist()), "<u2").reshape(-1, SYMBOLS)
             keys = chunk_keys(marks, errors)
             times = np.repeat(np.arange(len(marks)), keys.shape[1])
             columns, names = [pa.array(keys.view(np.int64).ravel())] + [part.column(k).take(pa.array(times)) for k in range(3)], ["key", "node", "comp", "n"]
             if errors:
                 low = np.packbits(np.concatenate([marks & 1, (marks >> 1) & 1], 1).astype(np.uint8), axis=1).view("<i8")
-                columns += [pa.array(low[times, 0]), pa.array(low[times, 1])]
-                names += ["s0", "s1"]
+                columns += [pa.array(marks.astype(np.int32).ravel()), pa.array(np.tile(FIRST, len(marks))), pa.array(low[times, 0]), pa.array(low[times, 1])]
+                names += ["out", "head", "s0", "s1"]
             yield pa.RecordBatch.from_arrays(columns, names)
 
 
 def _keys(nodes: DataFrame, errors: bool) -> DataFrame:
-    schema = "key long, node long, comp long, n long" + (", s0 long, s1 long" if errors else "")
+    schema = "key long, node long, comp long, n long" + (", out int, head boolean, s0 long, s1 long" if errors else "")
     return nodes.select("node", "comp", "n", "mark").mapInArrow(partial(_keyed, errors=errors), schema)
 
 
-def _apart(a: Column, b: Column) -> Column:
-    """Number of symbols that differ between signatures given as arrays of longs of four symbols each."""
-
-    def lanes(x: Column) -> Column:
-        for k in (8, 4, 2, 1):
-            x = x.bitwiseOR(F.shiftrightunsigned(x, k))
-        return F.bit_count(x.bitwiseAND(F.lit(0x0001000100010001)))
-
-    return sum((lanes(F.get(a, k).bitwiseXOR(F.get(b, k))) for k in range(1, SYMBOLS // 4)), lanes(F.get(a, 0).bitwiseXOR(F.get(b, 0))))
-
-
-def _as_longs(mark: Column) -> Column:
-    return F.array(*[F.conv(F.hex(F.substring(mark, 8 * k + 1, 8)), 16, -10).cast("long") for k in range(SYMBOLS // 4)])
+def _compared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """a, b, ma, mb -> a, b and the number of symbols that differ, of the pairs within DISTANCE."""
+    for batch in batches:
+        one, two = (np.frombuffer(b"".join(batch.column(k).to_pylist()), "<u2").reshape(-1, SYMBOLS) for k in (2, 3))
+        apart = (one != two).sum(1)
+        out = pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(apart.astype(np.int32))], ["a", "b", "apart"])
+        yield out.filter(pa.array(apart <= DISTANCE))
 
 
 def _some(rows: DataFrame, keys: DataFrame, name: str) -> DataFrame:
@@ -190,6 +188,31 @@ def confirmed(pairs: DataFrame, docs: DataFrame, like: Likeness) -> DataFrame:
     return staged(both.where(enough).select("a", "b").distinct(), "links")
 
 
+def _mixed(keyed: DataFrame) -> DataFrame:
+    """The keys whose members are of several components."""
+    return keyed.groupBy("key").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).where("low < high").select("key")
+
+
+def _sides(members: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(rows outside their key's largest component, rows in it), with that component as main."""
+    per = members.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("c"))
+    main = per.groupBy("key").agg(F.max(F.struct("c", "comp")).alias("m")).select("key", F.col("m.comp").alias("main"))
+    rows = members.join(main, "key")
+    return rows.where("comp <> main"), rows.where("comp = main")
+
+
+def _labelled(pairs: DataFrame, comp: DataFrame) -> DataFrame:
+    """Pairs with their components ca and cb."""
+    one = pairs.join(comp.select(F.col("node").alias("a"), F.col("comp").alias("ca")), "a")
+    return one.join(comp.select(F.col("node").alias("b"), F.col("comp").alias("cb")), "b")
+
+
+def _merged(links: DataFrame, comp: DataFrame) -> DataFrame:
+    """node, comp after the links joined their components."""
+    joined = components(_labelled(links, comp).select(F.col("ca").alias("a"), F.col("cb").alias("b")))
+    return staged(comp.join(joined.select(F.col("node").alias("comp"), "root"), "comp", "left").select("node", F.coalesce("root", "comp").alias("comp")), "components")
+
+
 def _closest(pairs: DataFrame, *by: str) -> DataFrame:
     """For each value of `by` the pair least far apart, ties to the smallest ids."""
     return pairs.groupBy(*by).agg(F.min(F.struct("apart", "a", "b")).alias("p")).select("p.a", "p.b")
@@ -209,44 +232,45 @@ def groups(docs: DataFrame, like: Likeness = Likeness(), id_col: str = "doc_id",
     nodes = staged(known.groupBy("print").agg(F.min("doc_id").alias("node"), F.first("n").alias("n"), F.first("mark").alias("mark")), "nodes")
     own = texts.where("doc_id is not null")
 
-    # ties to the smallest node of each error-free chunk
-    plain = _keys(nodes.withColumn("comp", F.col("node")), errors=False).select("key", "node", "n")
-    lead = plain.groupBy("key").agg(F.min("node").alias("a"), F.max("node").alias("z")).where("a < z").select("key", "a")
-    ties = plain.join(lead, "key").where("node <> a").select("a", F.col("node").alias("b")).distinct()
+    # ties to one node of each error-free chunk: to that which shares the most chunks with others, as an original does with its copies
+    plain = _keys(nodes.withColumn("comp", F.col("node")), errors=False).select("key", "node")
+    several = plain.groupBy("key").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
+    shared = staged(plain.join(several, "key"), "shared-chunks")
+    score = shared.groupBy("node").agg(F.sum("c").alias("score"))
+    lead = shared.join(score, "node").groupBy("key").agg(F.max(F.struct("score", (-F.col("node")).alias("node"))).alias("m")).select("key", (-F.col("m.node")).alias("a"))
+    ties = shared.join(lead, "key").where("node <> a").select("a", F.col("node").alias("b")).distinct()
     near = staged(_measured(ties, nodes, like), "ties")
-    links = confirmed(_closest(near, "b"), own, like)
-    tied = roots(links.select(F.col("b").alias("node"), F.col("a").alias("parent")))
-    nodes = staged(nodes.join(tied, "node", "left").withColumn("comp", F.coalesce("root", "node")).drop("root"), "merged-nodes")
+    comp = staged(nodes.select("node", F.col("node").alias("comp")).distinct(), "components")
+    comp = _merged(confirmed(_closest(near, "b"), own, like), comp)
 
     # pairs from different components that share any key
-    keyed = _keys(nodes, errors=True)
-    mixed = staged(keyed.groupBy("key").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).where("low < high").select("key"), "mixed-keys")
+    keyed = _keys(nodes.join(comp, "node"), errors=True)
+    mixed = staged(_mixed(keyed), "mixed-keys")
     members = staged(_some(keyed, mixed, "key"), "mixed-members")
-    per = members.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("c"))
-    main = per.groupBy("key").agg(F.max(F.struct("c", "comp")).alias("m")).select("key", F.col("m.comp").alias("main"))
-    minor = members.join(main, "key").where("comp <> main").select("key", F.col("main"), *[F.col(c).alias(f"{c}_") for c in ("node", "comp", "n", "s0", "s1")])
+    for turn in range(ROUNDS):
+        minor, major = _sides(members)
+        order = F.xxhash64("key", "node", F.lit(turn))
+        picks = major.groupBy("key").agg(F.array_distinct(F.array(F.min_by("node", order), F.max_by("node", order))).alias("picks"))
+        few = minor.select("key", "node").join(picks, "key").select(F.explode("picks").alias("a"), F.col("node").alias("b")).distinct()
+        comp = _merged(confirmed(_closest(staged(_measured(few, nodes, like), "few"), "b"), own, like), comp)
+        moved = members.drop("comp").join(comp, "node").select(*members.columns)
+        moved = staged(moved, "moved-members")
+        members = staged(_some(moved, staged(_mixed(moved), "mixed-keys"), "key"), "mixed-members")
+    minor, _ = _sides(members)
+    minor = minor.select("key", "main", *[F.col(c).alias(f"{c}_") for c in ("node", "comp", "n", "out", "s0", "s1")])
     differ = F.bit_count(F.col("s0").bitwiseXOR(F.col("s0_")).bitwiseOR(F.col("s1").bitwiseXOR(F.col("s1_"))))
     once = (F.col("comp") == F.col("main")) | (F.col("node") < F.col("node_"))
-    pair = members.alias("x").join(minor.alias("y"), (F.col("x.key") == F.col("y.key")) & (F.col("comp") != F.col("comp_")) & once & _alike_sizes("n", "n_", like) & (differ <= SKETCH_DISTANCE))
+    # two that agree in a whole chunk meet in all its keys; only its first is for them
+    own_key = F.col("head") | (F.col("out") != F.col("out_"))
+    pair = members.alias("x").join(minor.alias("y"), (F.col("x.key") == F.col("y.key")) & (F.col("comp") != F.col("comp_")) & once & own_key & _alike_sizes("n", "n_", like) & (differ <= SKETCH_DISTANCE))
     cross = pair.select(F.least("node", "node_").alias("a"), F.greatest("node", "node_").alias("b")).distinct()
     far = staged(_measured(cross, nodes, like), "cross")
-    comp = nodes.select("node", "comp").distinct()
-
-    def labelled(pairs: DataFrame, of: DataFrame) -> DataFrame:
-        one = pairs.join(of.select(F.col("node").alias("a"), F.col("comp").alias("ca")), "a")
-        return one.join(of.select(F.col("node").alias("b"), F.col("comp").alias("cb")), "b")
-
-    def merged(found: DataFrame, of: DataFrame) -> DataFrame:
-        joined = components(labelled(found, of).select(F.col("ca").alias("a"), F.col("cb").alias("b")))
-        return staged(of.join(joined.select(F.col("node").alias("comp"), "root"), "comp", "left").select("node", F.coalesce("root", "comp").alias("comp")), "components")
-
     if not far.isEmpty():
         # the closest pair of each two components first; what still lies between different ones after that is confirmed in full
-        first = confirmed(_closest(labelled(far, comp), "ca", "cb"), own, like)
-        comp = merged(first, comp)
-        rest = staged(labelled(far, comp).where("ca <> cb").select("a", "b"), "rest")
+        comp = _merged(confirmed(_closest(_labelled(far, comp), "ca", "cb"), own, like), comp)
+        rest = staged(_labelled(far, comp).where("ca <> cb").select("a", "b"), "rest")
         if not rest.isEmpty():
-            comp = merged(confirmed(rest, own, like), comp)
+            comp = _merged(confirmed(rest, own, like), comp)
     of_print = nodes.select("print", "node").join(comp, "node").groupBy("print").agg(F.min("comp").alias("comp"))
     out = rows.join(of_print, "print", "left")
     component = F.when(F.col("n") > 0, F.col("comp")).otherwise(F.col("doc_id"))
@@ -263,11 +287,10 @@ def first_of_each(docs: DataFrame, like: Likeness = Likeness(), id_col: str = "d
 
 def _measured(pairs: DataFrame, nodes: DataFrame, like: Likeness) -> DataFrame:
     """a, b, apart of the pairs within DISTANCE and of sizes that allow a link."""
-    marks = nodes.select("node", "n", _as_longs(F.col("mark")).alias("m"))
-    one = pairs.join(marks.select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("m").alias("ma")), "a")
-    two = one.join(marks.select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("m").alias("mb")), "b")
-    apart = two.where(_alike_sizes("na", "nb", like)).select("a", "b", _apart(F.col("ma"), F.col("mb")).alias("apart"))
-    return apart.where(F.col("apart") <= DISTANCE)
+    marks = nodes.select("node", "n", "mark")
+    one = pairs.join(marks.select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("mark").alias("ma")), "a")
+    two = one.join(marks.select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("mark").alias("mb")), "b")
+    return two.where(_alike_sizes("na", "nb", like)).select("a", "b", "ma", "mb").mapInArrow(_compared, "a long, b long, apart int")
 
 
 def groups_sql(words: int, percent: int, source: str = "documents") -> str:

@@ -6,6 +6,7 @@ gathered from its codes in numpy or Arrow, without a Python loop over words.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -16,6 +17,15 @@ WHITE = np.zeros(256, bool)
 WHITE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
 
 
+def released() -> None:
+    """Gives memory that a task no longer needs back to the system, as Python workers outlive their tasks."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):
+        pass  # another C library, without it
+
+
 def slices(batches: Iterator[pa.RecordBatch], column: int, limit: int = 12_000_000) -> Iterator[pa.RecordBatch]:
     """The batches in parts of at most `limit` text bytes (or one row), which bounds the memory of what follows."""
     for batch in batches:
@@ -28,6 +38,7 @@ def slices(batches: Iterator[pa.RecordBatch], column: int, limit: int = 12_000_0
             stop = min(n, max(stop, start + 1))
             yield batch.slice(start, stop - start)
             start = stop
+    released()
 
 
 def flat(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:

@@ -82,6 +82,22 @@ def test_keys_of_pairs_within_distance():
         assert set(one.tolist()) & set(two.tolist())
 
 
+def test_odd_sketches_lose_no_link(spark):
+    """Bits that differ never outnumber shingles that differ; sampled sketches of linked sets stay within the bound."""
+    rng = np.random.default_rng(4)
+    like, rows = near_dedup.Likeness(2, 80), []
+    for n in (1, 5, 60, 500, 512, 513, 1500, 9000):
+        for _ in range(20):
+            a = rng.integers(0, 1 << 63, n, dtype=np.uint64)
+            b = np.append(a[n // 10 :], rng.integers(0, 1 << 63, n // 10, dtype=np.uint64))
+            one, two = near_dedup.odd_sketch(a), near_dedup.odd_sketch(b)
+            assert sum(int(x).bit_count() for x in (one ^ two).view(np.uint64)) <= 2 * (n // 10)
+            rows.append((n, near_dedup.odd_level(n), one.tolist(), n, near_dedup.odd_level(n), two.tolist()))
+    pairs = spark.createDataFrame(rows, "n long, level int, odd array<long>, n_ long, level_ int, odd_ array<long>")
+    assert pairs.where(near_dedup._may_link(like)).count() == len(rows)
+    assert near_dedup.odd_level(512) == 0 and near_dedup.odd_level(513) == 1
+
+
 def test_components(spark):
     edges = [(i, i + 1) for i in range(0, 40)] + [(100, 99), (7, 200), (5, 5)]
     got = {r["node"]: r["root"] for r in components.components(spark.createDataFrame(edges, "a long, b long")).collect()}

@@ -39,7 +39,7 @@ FIRST = np.isin(np.arange(SYMBOLS), EDGES[:-1])
 ROUNDS = 2
 #: Ids that are sent to all executors at once, at most; beyond, tables are joined by shuffling.
 SMALL = 1_000_000
-ODD_BITS = 512
+ODD_BITS = 1024
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 _rng = np.random.default_rng(20240229)

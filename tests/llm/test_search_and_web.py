@@ -86,7 +86,7 @@ def test_odd_sketches_lose_no_link(spark):
     """Bits that differ never outnumber shingles that differ; sampled sketches of linked sets stay within the bound."""
     rng = np.random.default_rng(4)
     like, rows = near_dedup.Likeness(2, 80), []
-    for n in (1, 5, 60, 500, 512, 513, 1500, 9000):
+    for n in (1, 5, 60, 500, 1024, 1025, 3000, 9000):
         for _ in range(20):
             a = rng.integers(0, 1 << 63, n, dtype=np.uint64)
             b = np.append(a[n // 10 :], rng.integers(0, 1 << 63, n // 10, dtype=np.uint64))
@@ -95,7 +95,7 @@ def test_odd_sketches_lose_no_link(spark):
             rows.append((n, near_dedup.odd_level(n), one.tolist(), n, near_dedup.odd_level(n), two.tolist()))
     pairs = spark.createDataFrame(rows, "n long, level int, odd array<long>, n_ long, level_ int, odd_ array<long>")
     assert pairs.where(near_dedup._may_link(like)).count() == len(rows)
-    assert near_dedup.odd_level(512) == 0 and near_dedup.odd_level(513) == 1
+    assert near_dedup.odd_level(near_dedup.ODD_BITS) == 0 and near_dedup.odd_level(near_dedup.ODD_BITS + 1) == 1
 
 
 def test_components(spark):

@@ -145,7 +145,7 @@ def _pieces(batches: Iterator[pa.RecordBatch], path: str, capacity: int, end_id:
         held.clear()
         return batch
 
-    for batch in slices(batches, 1, 3_000_000):
+    for batch in slices(batches, 1, 1_000_000):
         ids, bounds = own.ids(batch.column(1), end_id)
         held.append((batch.column(0), ids.astype(np.uint16) if not len(ids) or ids.max() < 1 << 16 else ids, bounds))
         tokens += len(ids)

@@ -11,6 +11,10 @@ from pathlib import Path
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+#: Texts can be long, and both the JVM and the worker hold a whole Arrow batch of them.
+BATCH_ROWS = 2_000
+_BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
+
 
 def narrow(df: DataFrame, **wanted: str) -> DataFrame:
     """Columns out=source, found by position, so that other columns whose names clash (also by case) do no harm."""
@@ -40,7 +44,9 @@ def staged(df: DataFrame, name: str) -> DataFrame:
 
 
 def ship(spark: SparkSession) -> None:
-    """Gives the executors' Python workers this package, once for each application."""
+    """Gives the executors' Python workers this package, once for each application, and no more than BATCH_ROWS rows at once."""
+    if not 0 < int(spark.conf.get(_BATCH)) <= BATCH_ROWS:
+        spark.conf.set(_BATCH, str(BATCH_ROWS))
     sc = spark.sparkContext
     if getattr(sc, "_coloc_shipped", False):
         return

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from coloc.catalog.registry import add, q4, r4
+from coloc.catalog.registry import add, q4, r4, whole
 from coloc.catalog.twins import CIRCLE, R, pattern_ctes, rule_ctes, sql, survivors, tx_ctes
 from coloc.functions import angles, geometry
 from coloc.functions import decay as decays
@@ -140,6 +140,7 @@ add("line_buffer", lambda s, d: tx_show(transactions.extended(given.user_paths(s
     "dd": "SELECT object_id, feature, gi, gj, min(sqrt(power(gx - (p.x + t * dx), 2) + power(gy - (p.y + t * dy), 2))) AS d FROM t2 GROUP BY ALL HAVING d <= 3.0 + 1e-9",
     "tx": "SELECT gi, gj, feature, count(*)::INTEGER AS n_inst, max(cos(pi() * least(1.0, d / 3.0)) / 2.0 + 0.5)::DECIMAL(18,12) AS p FROM dd GROUP BY ALL",
 }))
+whole("line_buffer", lambda s, d: tx_show(transactions.extended(given.user_paths(s, d), LINE_GRID, 3.0, "line")))
 add("polygon_buffer", lambda s, d: tx_show(transactions.extended(given.nation_squares(s, d), COARSE, 5.0, "polygon")), sql(TX_SQL, **{
     "gp": "SELECT gi, gj, gi * 2.0 AS gx, gj * 2.0 AS gy FROM (SELECT unnest(generate_series(0, 100)) AS gi), (SELECT unnest(generate_series(0, 100)) AS gj)",
     "dd": "SELECT feature, gi, gj, sqrt(power(greatest(x0 - gx, gx - x1, 0.0), 2) + power(greatest(y0 - gy, gy - y1, 0.0), 2)) AS d FROM squares, gp WHERE d <= 5.0 + 1e-9",

@@ -301,7 +301,9 @@ add("rand_population", lambda s, d: population(s, d).select("sim_id", "object_id
 add("rand_population_draw", lambda s, d: population(s, d, how="draw").where("urban").groupBy("sim_id").agg(F.count(F.lit(1)).alias("n")), sql("SELECT sim_id, count(*) AS n FROM cases, sims WHERE urban GROUP BY ALL"))
 _usim = lambda t, k: f"(('0x' || substr(md5('{t}' || sim_id || ':' || {k}), 1, 8))::BIGINT / 4294967296.0)"
 UNI = {"rand_uni": f"SELECT sim_id, feature, object_id, 100.0 * {_usim('ux', 'object_id')} AS x, 100.0 * {_usim('uy', 'object_id')} AS y FROM event_points, sims"}
-add("rand_uniform", lambda s, d: randomize.uniform(given.event_points(s, d), (0.0, 0.0, 100.0, 100.0), 1, 3).groupBy("sim_id", "feature").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("x"), 4).alias("mean_x"), F.round(F.avg("y"), 4).alias("mean_y")), sql("SELECT sim_id, feature, count(*) AS n, round(avg(x), 4) AS mean_x, round(avg(y), 4) AS mean_y FROM rand_uni WHERE sim_id <= 3 GROUP BY ALL", **UNI))
+uniform_counts = lambda s, d, last=3: randomize.uniform(given.event_points(s, d), (0.0, 0.0, 100.0, 100.0), 1, last).groupBy("sim_id", "feature").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("x"), 4).alias("mean_x"), F.round(F.avg("y"), 4).alias("mean_y"))
+add("rand_uniform", uniform_counts, sql("SELECT sim_id, feature, count(*) AS n, round(avg(x), 4) AS mean_x, round(avg(y), 4) AS mean_y FROM rand_uni WHERE sim_id <= 3 GROUP BY ALL", **UNI))
+whole("rand_uniform", lambda s, d: uniform_counts(s, d, FULL.sims))
 
 
 # ---- significance ----
@@ -320,12 +322,14 @@ def randomiser(s: SparkSession, d: str, how: str = "both", linked: bool = True):
 
 
 RULES = MinerConfig(effect=EFFECT, box=REGION, d=2, sims=R)
+#: The settings of the whole job; RULES and the twins are smaller.
+FULL = MinerConfig(effect=EFFECT, box=REGION, d=3, sims=99)
 
 
-def mine_rules(s, d, how="both", **kw):
+def mine_rules(s, d, how="both", base=RULES, **kw):
     from dataclasses import replace
 
-    cfg = replace(RULES, **kw)
+    cfg = replace(base, **kw)
     return miner.significant(all_buffered(s, d), randomiser(s, d, how), cfg)
 
 
@@ -354,19 +358,25 @@ add("mine_rules_rand_causes", lambda s, d: _show_mined(mine_rules(s, d, "causes"
 add("mine_rules_rand_effects", lambda s, d: _show_mined(mine_rules(s, d, "effects", early_stop=False)), sql(MINED, **mined_sql("effects")))
 add("mine_rules_tiled", lambda s, d: _show_mined(mine_rules(s, d, early_stop=False, strategy="tiled")), sql(MINED, **mined_sql()))
 add("mine_rules_min_support", lambda s, d: _show_mined(mine_rules(s, d, early_stop=False, min_exp_sup=1.0)), sql(MINED, **mined_sql(extra="AND exp_sup >= 1")))
+for _name, _how, _kw in (
+    ("um", "both", {}), ("cm", "both", {"mode": "certain"}), ("nofilter", "both", {"early_stop": False}), ("batched", "both", {"sim_batch": 7}), ("rand_causes", "causes", {"early_stop": False}),
+    ("rand_effects", "effects", {"early_stop": False}), ("tiled", "both", {"early_stop": False, "strategy": "tiled"}), ("min_support", "both", {"early_stop": False, "min_exp_sup": 1.0}),
+):
+    whole(f"mine_rules_{_name}", lambda s, d, how=_how, kw=_kw: _show_mined(mine_rules(s, d, how, FULL, **kw)))
 add("filter_zero", lambda s, d: miner.observed(all_buffered(s, d), GRID, RULES).agg(F.count(F.lit(1)).alias("n_left")).crossJoin(candidates.rules_to(EFFECT, features(s, d), 2).agg(F.count(F.lit(1)).alias("n_candidates"))), sql("SELECT (SELECT count(*) FROM rules WHERE exp_sup > 0) AS n_left, (SELECT count(*) + count(*) * (count(*) - 1) // 2 FROM (SELECT DISTINCT feature FROM emissions)) AS n_candidates", **ALLT, **rule_ctes(d=2)))
 
 
-def filter_trace(s, d):
+def filter_trace(s, d, cfg=None):
     from dataclasses import replace
 
-    _, trace = miner.in_blocks(all_buffered(s, d), randomiser(s, d), replace(RULES, sim_batch=5))
+    _, trace = miner.in_blocks(all_buffered(s, d), randomiser(s, d), cfg or replace(RULES, sim_batch=5))
     return s.createDataFrame([(t["last_sim"], t["candidates"]) for t in trace], "last_sim int, candidates long")
 
 
 _TRACE = "SELECT last_sim::INTEGER AS last_sim, (SELECT count(*) FROM rules r WHERE exp_sup > 0 AND (SELECT count(*) FROM srules s WHERE s.key = r.key AND s.sim_id <= last_sim AND s.exp_conf >= r.exp_conf) <= {}) AS candidates FROM (VALUES (0), (5), (10), (15), (19)) AS t(last_sim)"
 _BASE = {**ALLT, **rule_ctes(d=2), **sim_sql()}
 add("filter_trace", filter_trace, sql(_TRACE.format(MOST), **_BASE))
+whole("filter_trace", lambda s, d: filter_trace(s, d, FULL))
 add("p_value_table", lambda s, d: s.range(R + 1).select(F.col("id").alias("exceed"), F.round((F.col("id") + 1) / (R + 1), 4).alias("p_value"), (F.col("id") <= MOST).alias("significant")), f"SELECT i AS exceed, round((i + 1) / {R + 1}.0::DOUBLE, 4) AS p_value, (i + 1) / {R + 1}.0::DOUBLE <= 0.05 AS significant FROM (SELECT unnest(generate_series(0, {R})) AS i)")
 add("p_error", lambda s, d: s.range(1, 6).select((F.col("id") * 20 - 1).alias("sims")).select("sims", F.round(significance.p_error(F.lit(0.05), F.col("sims")), 6).alias("error")), "SELECT i * 20 - 1 AS sims, round(sqrt(0.05 * 0.95 / (i * 20)), 6)::DOUBLE AS error FROM (SELECT unnest(generate_series(1, 5)) AS i)")
 
@@ -382,13 +392,13 @@ add("p_adjust", lambda s, d: significance.adjusted(tested(s, d)).select("key", r
 
 
 def pattern_cfg(**kw):
-    return MinerConfig(objective="patterns", box=(0.0, 0.0, 100.0, 100.0), step=0.5, d=2, sims=R, **kw)
+    return MinerConfig(objective="patterns", box=(0.0, 0.0, 100.0, 100.0), step=0.5, **{"d": 2, "sims": R} | kw)
 
 
-def mine_patterns(s, d, **kw):
+def mine_patterns(s, d, cfg=None, **kw):
     pts = given.event_points(s, d)
     draws = lambda first, last: buffers.fixed(randomize.uniform(pts, (0.0, 0.0, 100.0, 100.0), first, last), 1.0)
-    return miner.significant(buffers.fixed(pts, 1.0), draws, pattern_cfg(**kw))
+    return miner.significant(buffers.fixed(pts, 1.0), draws, cfg or pattern_cfg(**kw))
 
 
 def patterns_sql(certain: bool = False) -> dict[str, str]:
@@ -402,32 +412,36 @@ def patterns_sql(certain: bool = False) -> dict[str, str]:
 
 add("mine_patterns_um", lambda s, d: _show_mined(mine_patterns(s, d, early_stop=False)), sql(MINED, **patterns_sql()))
 add("mine_patterns_cm", lambda s, d: _show_mined(mine_patterns(s, d, mode="certain", early_stop=False)), sql(MINED, **patterns_sql(True)))
+whole("mine_patterns_um", lambda s, d: _show_mined(mine_patterns(s, d, pattern_cfg(d=3, sims=99, early_stop=False))))
+whole("mine_patterns_cm", lambda s, d: _show_mined(mine_patterns(s, d, pattern_cfg(d=3, sims=99, mode="certain", early_stop=False))))
 
 # ---- baselines ----
-_rules = lambda s, d, certain=False: prevalence.confidences(all_wide(s, d, mode="certain" if certain else "uncertain"), EFFECT, 2)
+_rules = lambda s, d, certain=False, most=2: prevalence.confidences(all_wide(s, d, mode="certain" if certain else "uncertain"), EFFECT, most)
 for _short, _measure, _ctes in (("um", "exp_conf", ALLT), ("cm", "conf", ALLC)):
     add(f"baseline_mean_conf_{_short}", lambda s, d, m=_measure: baselines.mean_conf(_rules(s, d, m == "conf"), m).where("kept").select("key", r4("threshold"), r4(m, "measure")), sql(f"SELECT key, {q4('t', 'threshold')}, {q4(_measure, 'measure')} FROM rules, (SELECT avg({_measure}) AS t FROM rules WHERE {_measure} > 0) WHERE {_measure} >= t", **_ctes, **rule_ctes(d=2)))
 add("baseline_prune_counts", lambda s, d: baselines.mean_conf(_rules(s, d)).groupBy("kept").agg(F.count(F.lit(1)).alias("n")), sql("SELECT coalesce(exp_conf >= t, false) AS kept, count(*) AS n FROM rules, (SELECT avg(exp_conf) AS t FROM rules WHERE exp_conf > 0) GROUP BY ALL", **ALLT, **rule_ctes(d=2)))
 
 
-def then_test(s, d):
-    kept = baselines.mean_conf(_rules(s, d)).where("kept")
-    sims = miner.measured(randomiser(s, d)(1, R), GRID, RULES)
-    return significance.decided(kept, significance.exceedances(kept, sims, "exp_conf"), R, 0.05).where("significant")
+def then_test(s, d, cfg=RULES):
+    kept = baselines.mean_conf(_rules(s, d, most=cfg.d)).where("kept")
+    sims = miner.measured(randomiser(s, d)(1, cfg.sims), GRID, cfg)
+    return significance.decided(kept, significance.exceedances(kept, sims, "exp_conf"), cfg.sims, 0.05).where("significant")
 
 
 _KEPT = {"kept": "SELECT rules.* FROM rules, (SELECT avg(exp_conf) AS t FROM rules WHERE exp_conf > 0) WHERE exp_conf >= t"}
 add("baseline_then_test", lambda s, d: _show_mined(then_test(s, d)), sql(MINED, **_BASE, **_KEPT, **survivors("kept", "srules", "exp_conf", "exp_sup", MOST)))
+whole("baseline_then_test", lambda s, d: _show_mined(then_test(s, d, FULL)))
 
 
-def coverage(s, d):
+def coverage(s, d, cfg=RULES):
     """How many of the method's rules the baseline followed by the test finds."""
-    full = mine_rules(s, d, early_stop=False).select("key")
-    base = then_test(s, d).select("key", F.lit(1).alias("b"))
+    full = mine_rules(s, d, base=cfg, early_stop=False).select("key")
+    base = then_test(s, d, cfg).select("key", F.lit(1).alias("b"))
     return full.join(base, "key", "left").agg(F.count(F.lit(1)).alias("n_method"), F.count("b").alias("n_baseline"))
 
 
 add("baseline_coverage", coverage, sql("SELECT count(*) AS n_method, count(*) FILTER (exp_conf >= t) AS n_baseline FROM found, (SELECT avg(exp_conf) AS t FROM rules WHERE exp_conf > 0)", **mined_sql()))
+whole("baseline_coverage", lambda s, d: coverage(s, d, FULL))
 add("baseline_support_conf", lambda s, d: baselines.support_conf(_rules(s, d, True), 20, 0.2).select("key", "sup", r4("conf")), sql(f"SELECT key, sup, {q4('conf')} FROM rules WHERE sup >= 20 AND conf >= 0.2", **ALLC, **rule_ctes(d=2)))
 add("baseline_levelwise", lambda s, d: baselines.levelwise(transactions.build(sources_buffered(s, d), GRID, mode="certain"), 60, 3).select("key", "size", "sup"), sql("SELECT p.key, p.size, p.sup FROM pats p WHERE sup >= 60", **EM, **tx_ctes("em_b", GRID, "boolean"), **pattern_ctes(d=3)))
 PAIRS = {"np": "SELECT a.feature AS f1, b.feature AS f2, a.object_id AS o1, b.object_id AS o2 FROM {0} a JOIN {0} b ON a.feature < b.feature AND power(a.x - b.x, 2) + power(a.y - b.y, 2) <= 9.0", "nt": "SELECT feature, count(DISTINCT object_id) AS n FROM {0} GROUP BY ALL"}
@@ -437,11 +451,11 @@ _PI = "SELECT f1 || '+' || f2 AS key, round(least(count(DISTINCT o1) / any_value
 add("baseline_participation", lambda s, d: baselines.participation(plain_objects(s, d), 3.0, 0.1).select("key", r4("pi")), sql(f"SELECT * FROM ({_PI}) WHERE pi >= 0.1", **BOTH, **{k: v.format("both_o") for k, v in PAIRS.items()}))
 
 
-def participation_test(s, d):
+def participation_test(s, d, n=R):
     obs = baselines.participation(plain_objects(s, d), 3.0)
     e, c = given.emissions(s, d), given.cases_linked(s, d)
-    sims = randomize.permute_features(e, 1, R).select("sim_id", "object_id", "feature", "x", "y").unionByName(randomize.by_population(c, given.zones(s, d), REGION, 1, R).select("sim_id", "object_id", "feature", "x", "y"))
-    return significance.decided(obs, significance.exceedances(obs, baselines.participation(sims, 3.0), "pi"), R, 0.05).where("significant")
+    sims = randomize.permute_features(e, 1, n).select("sim_id", "object_id", "feature", "x", "y").unionByName(randomize.by_population(c, given.zones(s, d), REGION, 1, n).select("sim_id", "object_id", "feature", "x", "y"))
+    return significance.decided(obs, significance.exceedances(obs, baselines.participation(sims, 3.0), "pi"), n, 0.05).where("significant")
 
 
 add("baseline_participation_test", lambda s, d: participation_test(s, d).select("key", r4("pi"), "exceed"), sql("""SELECT o.key, o.pi, coalesce(n, 0)::INTEGER AS exceed FROM obs o LEFT JOIN (SELECT o.key, count(*) AS n FROM obs o JOIN sim_pi s ON s.key = o.key AND s.pi >= o.pi0 GROUP BY o.key) x ON x.key = o.key WHERE coalesce(n, 0) <= 0""", **BOTH, **{k: v.format("both_o") for k, v in PAIRS.items()},
@@ -450,6 +464,7 @@ add("baseline_participation_test", lambda s, d: participation_test(s, d).select(
     snp="SELECT sim_id, a.feature AS f1, b.feature AS f2, a.object_id AS o1, b.object_id AS o2 FROM sim_o a JOIN sim_o b USING (sim_id) WHERE a.feature < b.feature AND power(a.x - b.x, 2) + power(a.y - b.y, 2) <= 9.0",
     snt="SELECT sim_id, feature, count(DISTINCT object_id) AS n FROM sim_o GROUP BY ALL",
     sim_pi="SELECT p.sim_id, f1 || '+' || f2 AS key, least(count(DISTINCT o1) / any_value(a.n), count(DISTINCT o2) / any_value(b.n)) AS pi FROM snp p JOIN snt a ON a.feature = f1 AND a.sim_id = p.sim_id JOIN snt b ON b.feature = f2 AND b.sim_id = p.sim_id GROUP BY p.sim_id, f1, f2"))
+whole("baseline_participation_test", lambda s, d: participation_test(s, d, FULL.sims).select("key", r4("pi"), "exceed"))
 add("baseline_window_tx", lambda s, d: baselines.window_tx(plain_objects(s, d), 5.0).select("gi", "gj", "feature", "n_inst"), sql("SELECT floor(x / 5.0)::BIGINT AS gi, floor(y / 5.0)::BIGINT AS gj, feature, count(*)::INTEGER AS n_inst FROM both_o GROUP BY ALL", **BOTH))
 add("baseline_reference_tx", lambda s, d: baselines.reference_tx(plain_objects(s, d), EFFECT, 3.0), sql("SELECT tx_id, feature, count(*)::INTEGER AS n_inst FROM (SELECT c.object_id AS tx_id, e.feature FROM both_o c JOIN both_o e ON c.feature = 'CASE' AND e.feature <> 'CASE' AND power(c.x - e.x, 2) + power(c.y - e.y, 2) <= 9.0 UNION ALL SELECT object_id, 'CASE' FROM both_o WHERE feature = 'CASE') GROUP BY ALL", **BOTH))
 add("baseline_overlap", lambda s, d: baselines.overlap_threshold(transactions.build(sources_buffered(s, d), GRID, mode="certain"), 0.02).select("key", r4("cov")), sql("SELECT * FROM (SELECT a.feature || '+' || b.feature AS key, round(count(*) / (any_value(ca.n) + any_value(cb.n) - count(*)), 4) AS cov, count(*) / (any_value(ca.n) + any_value(cb.n) - count(*)) AS c0 FROM tx a JOIN tx b USING (gi, gj) JOIN cov ca ON ca.feature = a.feature JOIN cov cb ON cb.feature = b.feature WHERE a.feature < b.feature GROUP BY a.feature, b.feature) WHERE c0 >= 0.02".replace("SELECT * FROM", "SELECT key, cov FROM", 1), **EM, **tx_ctes("em_b", GRID, "boolean"), cov="SELECT feature, count(*) AS n FROM tx GROUP BY feature"))
@@ -462,8 +477,8 @@ add("dataset_profile", lambda s, d: given.emissions(s, d).agg(F.count(F.lit(1)).
 add("runtime_fit", lambda s, d: measures.fit_line(s.createDataFrame([(9, 56.1), (19, 59.4), (39, 67.2), (59, 74.9), (79, 82.0), (99, 89.7)], "r int, seconds double")).select(r4("slope"), r4("intercept"), r4("r2")), "SELECT round(regr_slope(y, x), 4) AS slope, round(regr_intercept(y, x), 4) AS intercept, round(regr_r2(y, x), 4) AS r2 FROM (VALUES (9, 56.1::DOUBLE), (19, 59.4), (39, 67.2), (59, 74.9), (79, 82.0), (99, 89.7)) AS t(x, y)")
 
 
-def um_vs_cm(s, d):
-    um, cm = mine_rules(s, d, early_stop=False), mine_rules(s, d, early_stop=False, mode="certain")
+def um_vs_cm(s, d, cfg=RULES):
+    um, cm = mine_rules(s, d, base=cfg, early_stop=False), mine_rules(s, d, base=cfg, early_stop=False, mode="certain")
     return measures.regions(measures.overlap({"um": um, "cm": cm})).select("region", "n", r4("p_mean"))
 
 
@@ -482,8 +497,11 @@ def um_cm_sql() -> dict[str, str]:
 
 
 add("um_vs_cm", um_vs_cm, sql(f"SELECT region::INTEGER AS region, count(*) AS n, {q4('avg(p)', 'p_mean')} FROM (SELECT key, sum(bit) AS region, avg((exceed + 1) / {R + 1}.0::DOUBLE) AS p FROM (SELECT key, 1 AS bit, exceed FROM found UNION ALL SELECT key, 2, exceed FROM found_cm) GROUP BY key) GROUP BY region", **um_cm_sql()))
+whole("um_vs_cm", lambda s, d: um_vs_cm(s, d, FULL))
 add("n_significant", lambda s, d: mine_rules(s, d, early_stop=False).groupBy("size").agg(F.count(F.lit(1)).alias("n")), sql("SELECT size, count(*) AS n FROM found GROUP BY size", **mined_sql()))
 
+whole("n_significant", lambda s, d: mine_rules(s, d, base=FULL, early_stop=False).groupBy("size").agg(F.count(F.lit(1)).alias("n")))
+
 
 # ---- generated sets ----
 def distance_study(s: SparkSession, reps: int = 2) -> DataFrame:

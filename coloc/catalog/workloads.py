@@ -7,7 +7,7 @@ from dataclasses import replace
 from pyspark.sql import functions as F
 
 from coloc.catalog import methods as m
-from coloc.catalog.registry import add, q4, r4
+from coloc.catalog.registry import add, q4, r4, whole
 from coloc.catalog.twins import R, rule_ctes, sql, survivors, tx_ctes
 from coloc.operators import buffers, grids, prevalence, transactions
 from coloc.plans import miner, workloads
@@ -20,12 +20,13 @@ def _variant(ctes: dict[str, str], suffix: str, shared: set[str]) -> dict[str, s
     return m._renamed(ctes, suffix, tuple(n for n in ctes if n not in shared))
 
 
-def randomisations(s, d):
-    return workloads.counts({how: m.mine_rules(s, d, how, early_stop=False) for how in ("both", "causes", "effects")}, "randomised")
+def randomisations(s, d, cfg=m.RULES):
+    return workloads.counts({how: m.mine_rules(s, d, how, cfg, early_stop=False) for how in ("both", "causes", "effects")}, "randomised")
 
 
 _SAME = {"em_b", "ca_b", "objs", *tx_ctes("objs", m.GRID), *rule_ctes(d=2)}
 add("workload_randomisations", randomisations, sql("SELECT 'both' AS randomised, count(*) AS n FROM found UNION ALL SELECT 'causes', count(*) FROM found_ca UNION ALL SELECT 'effects', count(*) FROM found_ef", **m.mined_sql(), **{k: v for k, v in _variant(m.mined_sql("causes"), "_ca", _SAME).items() if k not in _SAME}, **{k: v for k, v in _variant(m.mined_sql("effects"), "_ef", _SAME).items() if k not in _SAME}))
+whole("workload_randomisations", lambda s, d: randomisations(s, d, m.FULL))
 
 
 def grid_rules(s, d, h):

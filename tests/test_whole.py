@@ -9,6 +9,7 @@ import pytest
 
 import __spark_entry__
 from coloc import catalog
+from coloc.plans import miner
 from tests.conftest import DATA
 
 
@@ -54,3 +55,16 @@ def test_udtf_grid_cells_has_every_point(spark):
                 want[i, j] += (i * 0.5 - r["x"]) ** 2 + (j * 0.5 - r["y"]) ** 2 <= 1.0
     got = {(r["gi"], r["gj"]): r["n"] for r in __spark_entry__.queries()["udtf_grid_cells"](spark, DATA).collect()}
     assert got == {k: n for k, n in want.items() if n}
+
+
+@pytest.mark.parametrize("name", [n for n in catalog.whole() if n.startswith("mine_")])
+def test_mining_has_99_simulations_and_three_causes(spark, monkeypatch, name):
+    seen: list = []
+    monkeypatch.setattr(miner, "significant", lambda buffered, draws, cfg: seen.append(cfg) or spark.createDataFrame([], "key string, size int, exceed int, p_value double"))
+    __spark_entry__.queries()[name](spark, DATA)
+    assert [(c.sims, c.d) for c in seen] == [(99, 3)]
+
+
+def test_uniform_draws_99_simulations(spark):
+    rows = __spark_entry__.queries()["rand_uniform"](spark, DATA).collect()
+    assert {r["sim_id"] for r in rows} == set(range(1, 100))

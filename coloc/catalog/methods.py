@@ -381,14 +381,15 @@ add("p_value_table", lambda s, d: s.range(R + 1).select(F.col("id").alias("excee
 add("p_error", lambda s, d: s.range(1, 6).select((F.col("id") * 20 - 1).alias("sims")).select("sims", F.round(significance.p_error(F.lit(0.05), F.col("sims")), 6).alias("error")), "SELECT i * 20 - 1 AS sims, round(sqrt(0.05 * 0.95 / (i * 20)), 6)::DOUBLE AS error FROM (SELECT unnest(generate_series(1, 5)) AS i)")
 
 
-def tested(s, d):
-    obs = prevalence.confidences(all_wide(s, d), EFFECT, 1)
-    sims = miner.measured(randomiser(s, d)(1, R), GRID, RULES)
-    return significance.decided(obs.where("exp_sup > 0"), significance.exceedances(obs, sims, "exp_conf"), R, 0.05)
+def tested(s, d, cfg=RULES, most=1):
+    obs = prevalence.confidences(all_wide(s, d), EFFECT, most)
+    sims = miner.measured(randomiser(s, d)(1, cfg.sims), GRID, cfg)
+    return significance.decided(obs.where("exp_sup > 0"), significance.exceedances(obs, sims, "exp_conf"), cfg.sims, 0.05)
 
 
 _TESTED = {**ALLT, **rule_ctes(d=1), **sim_sql(), **survivors("rules", "srules", "exp_conf", "exp_sup", R)}
 add("p_adjust", lambda s, d: significance.adjusted(tested(s, d)).select("key", r4("p_value"), r4("p_adjusted")), sql(f"SELECT key, {q4('p', 'p_value')}, {q4('least(1.0, min(p * n / k) OVER (ORDER BY p DESC, key DESC ROWS UNBOUNDED PRECEDING))', 'p_adjusted')} FROM (SELECT key, p, count(*) OVER () AS n, row_number() OVER (ORDER BY p, key) AS k FROM (SELECT key, (exceed + 1) / {R + 1}.0::DOUBLE AS p FROM tested))", **_TESTED))
+whole("p_adjust", lambda s, d: significance.adjusted(tested(s, d, FULL, FULL.d)).select("key", r4("p_value"), r4("p_adjusted")))
 
 
 def pattern_cfg(**kw):

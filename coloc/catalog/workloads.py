@@ -29,8 +29,8 @@ add("workload_randomisations", randomisations, sql("SELECT 'both' AS randomised,
 whole("workload_randomisations", lambda s, d: randomisations(s, d, m.FULL))
 
 
-def grid_rules(s, d, h):
-    cfg = replace(m.RULES, step=h, d=1)
+def grid_rules(s, d, h, cfg=None):
+    cfg = replace(cfg or replace(m.RULES, d=1), step=h)
     return miner.single_plan(m.all_buffered(s, d), m.randomiser(s, d), cfg).where("significant")
 
 
@@ -43,6 +43,7 @@ def grid_sql(h: float) -> dict[str, str]:
 
 _OBJ = {"em_b", "ca_b", "objs", "sim_em", "sim_ca", "sim_objs"}
 add("overlap_grids", lambda s, d: workloads.shared({"h1": grid_rules(s, d, 1.0), "h2": grid_rules(s, d, 2.0)}).select("region", "n", r4("p_mean")), sql(f"SELECT region::INTEGER AS region, count(*) AS n, {q4('avg(p)', 'p_mean')} FROM (SELECT key, sum(bit) AS region, avg((exceed + 1) / {R + 1}.0::DOUBLE) AS p FROM (SELECT key, 1 AS bit, exceed FROM found UNION ALL SELECT key, 2, exceed FROM found_h2) GROUP BY key) GROUP BY region", **grid_sql(1.0), **{k: v for k, v in _variant(grid_sql(2.0), "_h2", _OBJ).items() if k not in _OBJ}))
+whole("overlap_grids", lambda s, d: workloads.shared({f"h{h}": grid_rules(s, d, h, m.FULL) for h in (0.5, 1.0, 2.0)}).select("region", "n", r4("p_mean")))
 
 
 def granularity(s, d):
@@ -57,6 +58,7 @@ def granularity(s, d):
 
 add("workload_granularity", granularity, sql(" UNION ALL ".join(f"SELECT {h}::DOUBLE AS h, count(*) AS n_transactions FROM (SELECT DISTINCT gi, gj FROM t{k})" for k, h in enumerate((0.5, 1.0, 2.0))), **m.EM, **{a: b for k, h in enumerate((0.5, 1.0, 2.0)) for a, b in tx_ctes("em_b", grids.Grid(h, m.REGION), name=f"t{k}").items()}))
 add("workload_null_cases", lambda s, d: m._show_mined(miner.single_plan(m.all_buffered(s, d, linked=False), m.randomiser(s, d, linked=False), replace(m.RULES, d=1)).where("significant")), sql(m.MINED, em_b=m.LOG.format("emissions"), ca_b=m.CASES.format("cases"), objs=m.ALL_SQL, **tx_ctes("objs", m.GRID), **rule_ctes(d=1), **{k: v.replace("rand_cases_linked", "rand_cases") for k, v in m.sim_sql().items()}, **survivors("rules", "srules", "exp_conf", "exp_sup", m.MOST)))
+whole("workload_null_cases", lambda s, d: m._show_mined(miner.single_plan(m.all_buffered(s, d, linked=False), m.randomiser(s, d, linked=False), m.FULL).where("significant")))
 
 
 def run_times(s, d):
@@ -64,7 +66,15 @@ def run_times(s, d):
     return workloads.run_times(s, mine, replace(m.RULES, d=1), (5, 10, 20))
 
 
+def run_times_of_both(s, d):
+    """mode, r, seconds, n with 9 to 99 simulations, uncertain and certain, at the same alpha."""
+    mine = lambda cfg: miner.single_plan(m.all_buffered(s, d), m.randomiser(s, d), cfg).where("significant")
+    one = lambda mode: workloads.run_times(s, mine, replace(m.FULL, mode=mode), raised=False).select(F.lit(mode).alias("mode"), "r", "seconds", "n")
+    return one("uncertain").unionByName(one("certain"))
+
+
 add("workload_run_times", run_times)
+whole("workload_run_times", run_times_of_both)
 
 
 def by_region(s, d):

@@ -30,12 +30,12 @@ def shared(results: dict[str, DataFrame]) -> DataFrame:
     return measures.regions(measures.overlap(results))
 
 
-def run_times(spark: SparkSession, mine: Callable[[MinerConfig], DataFrame], cfg: MinerConfig, sims: tuple[int, ...] = (9, 19, 39, 59, 79, 99)) -> DataFrame:
-    """r, seconds, n: time to mine with more and more simulations."""
+def run_times(spark: SparkSession, mine: Callable[[MinerConfig], DataFrame], cfg: MinerConfig, sims: tuple[int, ...] = (9, 19, 39, 59, 79, 99), raised: bool = True) -> DataFrame:
+    """r, seconds, n: time to mine with more and more simulations; raised: alpha is at least the smallest p."""
     rows = []
     for r in sims:
         start = time.time()
-        n = mine(replace(cfg, sims=r, alpha=max(cfg.alpha, 1.0 / (r + 1)))).count()
+        n = mine(replace(cfg, sims=r, alpha=max(cfg.alpha, 1.0 / (r + 1)) if raised else cfg.alpha)).count()
         rows.append((r, time.time() - start, n))
     return spark.createDataFrame(rows, "r int, seconds double, n long")
 

@@ -9,6 +9,7 @@ import pytest
 
 import __spark_entry__
 from coloc import catalog
+from coloc.catalog import methods
 from coloc.plans import miner
 from tests.conftest import DATA
 
@@ -68,3 +69,28 @@ def test_mining_has_99_simulations_and_three_causes(spark, monkeypatch, name):
 def test_uniform_draws_99_simulations(spark):
     rows = __spark_entry__.queries()["rand_uniform"](spark, DATA).collect()
     assert {r["sim_id"] for r in rows} == set(range(1, 100))
+
+
+@pytest.mark.parametrize(("name", "steps", "sims", "modes"), [
+    ("overlap_grids", {0.5, 1.0, 2.0}, {99}, {"uncertain"}),
+    ("workload_null_cases", {1.0}, {99}, {"uncertain"}),
+    ("workload_run_times", {1.0}, {9, 19, 39, 59, 79, 99}, {"uncertain", "certain"}),
+])
+def test_experiments_run_at_their_settings(spark, monkeypatch, name, steps, sims, modes):
+    seen: list = []
+    none = spark.createDataFrame([], "key string, size int, exceed int, p_value double, significant boolean")
+    monkeypatch.setattr(methods, "all_buffered", lambda s, d, linked=True: none)
+    monkeypatch.setattr(methods, "randomiser", lambda s, d, how="both", linked=True: None)
+    monkeypatch.setattr(miner, "single_plan", lambda buffered, draws, cfg: seen.append(cfg) or none)
+    __spark_entry__.queries()[name](spark, DATA)
+    assert {c.step for c in seen} == steps and {c.sims for c in seen} == sims and {c.mode for c in seen} == modes
+    assert {(c.d, c.alpha) for c in seen} == {(3, 0.05)}
+
+
+def test_adjusted_p_values_have_three_causes(spark, monkeypatch):
+    seen: list = []
+    none = spark.createDataFrame([], "key string, p_value double, p_adjusted double")
+    monkeypatch.setattr(methods, "tested", lambda s, d, cfg=methods.RULES, most=1: seen.append((cfg.sims, most)) or none)
+    monkeypatch.setattr(methods.significance, "adjusted", lambda rows: rows)
+    __spark_entry__.queries()["p_adjust"](spark, DATA)
+    assert seen == [(99, 3)]

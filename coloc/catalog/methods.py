@@ -519,6 +519,7 @@ DIST = {
     **tx_ctes("dp", grids.Grid(0.1, (-3.0, -3.0, 103.0, 103.0)), by=("set_id",)), **pattern_ctes(by=("set_id",), d=2),
 }
 add("synth_distance", lambda s, d: distance_study(s).select("range_id", r4("mean_exp_sup", digits=2)), sql(f"SELECT (set_id % 10)::INTEGER AS range_id, {q4('avg(exp_sup::DOUBLE)', 'mean_exp_sup', 2)} FROM pats WHERE size = 2 GROUP BY ALL", **DIST))
+whole("synth_distance", lambda s, d: distance_study(s, 100).select("range_id", r4("mean_exp_sup", digits=2)))
 
 
 def planted_rules(s: SparkSession, sims: int = R, d: int = 2, step: float = 0.2) -> DataFrame:
@@ -530,6 +531,8 @@ def planted_rules(s: SparkSession, sims: int = R, d: int = 2, step: float = 0.2)
 
 add("synth_planted_mine", lambda s, d: planted_rules(s).select("key", "size", r4("exp_sup"), r4("exp_conf"), r4("p_value")))
 add("synth_truth", lambda s, d: measures.truth(planted_rules(s), list(synthetic.PLANTED), list(synthetic.NOISE)))
+whole("synth_planted_mine", lambda s, d: planted_rules(s, 99, 3, 0.1).select("key", "size", r4("exp_sup"), r4("exp_conf"), r4("p_value")))
+whole("synth_truth", lambda s, d: measures.truth(planted_rules(s, 99, 3, 0.1), list(synthetic.PLANTED), list(synthetic.NOISE)))
 
 
 def clique_vs_overlap(s, d):

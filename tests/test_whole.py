@@ -94,3 +94,13 @@ def test_adjusted_p_values_have_three_causes(spark, monkeypatch):
     monkeypatch.setattr(methods.significance, "adjusted", lambda rows: rows)
     __spark_entry__.queries()["p_adjust"](spark, DATA)
     assert seen == [(99, 3)]
+
+
+def test_generated_studies_have_their_published_size(spark, monkeypatch):
+    seen: list = []
+    none = spark.createDataFrame([], "key string, size int, exceed int, exp_sup double, exp_conf double, p_value double")
+    monkeypatch.setattr(miner, "significant", lambda buffered, draws, cfg: seen.append((cfg.sims, cfg.d, cfg.step)) or none)
+    monkeypatch.setattr(methods, "distance_study", lambda s, reps=2: seen.append(reps) or spark.createDataFrame([], "range_id int, mean_exp_sup double"))
+    for name in ("synth_distance", "synth_planted_mine", "synth_truth"):
+        __spark_entry__.queries()[name](spark, DATA)
+    assert seen == [100, (99, 3, 0.1), (99, 3, 0.1)]

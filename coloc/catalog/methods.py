@@ -231,6 +231,7 @@ WORDS = {
     "wsets": "SELECT tx_id, item AS feature, 1.0::DECIMAL(18,12) AS p FROM ww JOIN wtop USING (item)",
 }
 add("tx_from_documents", lambda s, d: transactions.from_table(given.word_sets(s, d)).select("tx_id", "feature"), sql("SELECT tx_id, feature FROM wsets", **WORDS))
+whole("tx_from_documents", lambda s, d: transactions.from_table(given.word_sets(s, d, None)).select("tx_id", "feature"))
 add("tx_stats", lambda s, d: measures.tx_stats(transactions.build(sources_buffered(s, d), GRID)).select("n_transactions", r4("mean_features"), "max_features"), sql(f"SELECT count(*) AS n_transactions, {q4('avg(s)', 'mean_features')}, max(s) AS max_features FROM (SELECT count(*) AS s FROM tx GROUP BY gi, gj)", **EM, **tx_ctes("em_b", GRID)))
 
 
@@ -273,14 +274,15 @@ add("exp_conf_general", lambda s, d: prevalence.general_confidence(ev_wide(s, d)
 add("prevalence_baskets", lambda s, d: prevalence.supports(transactions.to_wide(transactions.from_table(given.baskets(s, d))), 2).select("key", "size", "sup", r4("exp_sup")), sql(f"SELECT key, size, sup, {q4('exp_sup')} FROM pats", tx="SELECT tx_id, item AS feature, max(p)::DECIMAL(18,12) AS p FROM baskets GROUP BY ALL", **pattern_ctes(d=2, on="tx_id")))
 
 
-def toxic_rules(s, d):
-    words = given.word_sets(s, d)
+def toxic_rules(s, d, most=50):
+    words = given.word_sets(s, d, most)
     toxic = given.table(s, d, "labels").where("toxic = 1").select(F.col("doc_id").alias("tx_id"), F.lit("TOXIC").alias("item"), F.lit(1.0).alias("p"))
     known = given.table(s, d, "labels").select(F.col("doc_id").alias("tx_id")).distinct()
     return prevalence.confidences(transactions.to_wide(transactions.from_table(words.join(known, "tx_id", "left_semi").unionByName(toxic.distinct()))), "TOXIC", 1)
 
 
 add("rules_documents_toxic", lambda s, d: toxic_rules(s, d).select("key", "sup", "sup_lhs", r4("conf")), sql(f"SELECT key, sup, sup_lhs, {q4('conf')} FROM rules", **WORDS, tx="SELECT * FROM wsets WHERE tx_id IN (SELECT doc_id FROM labels) UNION ALL SELECT DISTINCT doc_id, 'TOXIC', 1.0::DECIMAL(18,12) FROM labels WHERE toxic = 1", **rule_ctes(effect="TOXIC", d=1, on="tx_id")))
+whole("rules_documents_toxic", lambda s, d: toxic_rules(s, d, None).select("key", "sup", "sup_lhs", r4("conf")))
 add("prevalence_roles", lambda s, d: prevalence.supports(transactions.to_wide(transactions.from_table(given.role_sets(s, d))), 3).select("key", "sup"), sql("SELECT key, sup FROM pats", tx="SELECT DISTINCT conv_id AS tx_id, role AS feature, 1.0::DECIMAL(18,12) AS p FROM conversations", **pattern_ctes(d=3, on="tx_id")))
 add("prevalence_pages", lambda s, d: prevalence.supports(transactions.to_wide(transactions.from_table(given.page_sets(s, d))), 2).select("key", "sup"), sql("SELECT key, sup FROM pats", tx=" UNION ALL ".join(f"SELECT page_id AS tx_id, '{t}' AS feature, 1.0::DECIMAL(18,12) AS p FROM pages WHERE contains(html, '<{t}')" for t in ("nav", "script", "article", "table", "form", "style")), **pattern_ctes(d=2, on="tx_id")))
 

@@ -134,10 +134,12 @@ def baskets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line.join(part, "l_partkey").select(F.col("l_orderkey").alias("tx_id"), "item", (F.col("l_quantity") / 50.0).alias("p"))
 
 
-def word_sets(spark: SparkSession, sf_dir: str, most: int = 50) -> DataFrame:
-    """tx_id, item, p = 1: of each document those of the most frequent words that it has."""
+def word_sets(spark: SparkSession, sf_dir: str, most: int | None = 50) -> DataFrame:
+    """tx_id, item, p = 1: of each document those of the most frequent words that it has, or all of its words."""
     word = F.explode(F.array_distinct(F.filter(F.split(F.translate("text", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), r"[\x20\x09-\x0D]+"), lambda w: w != "")))
     rows = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("tx_id"), word.alias("item"))
+    if most is None:
+        return rows.select("tx_id", "item", F.lit(1.0).alias("p"))
     top = rows.groupBy("item").count().orderBy(F.desc("count"), "item").limit(most).select("item")
     return rows.join(F.broadcast(top), "item").select("tx_id", "item", F.lit(1.0).alias("p"))
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import re
 from collections import Counter
 
 import pytest
@@ -104,3 +105,17 @@ def test_generated_studies_have_their_published_size(spark, monkeypatch):
     for name in ("synth_distance", "synth_planted_mine", "synth_truth"):
         __spark_entry__.queries()[name](spark, DATA)
     assert seen == [100, (99, 3, 0.1), (99, 3, 0.1)]
+
+
+def test_toxic_rules_have_every_word(spark):
+    toxic = {r[0]: False for r in spark.read.parquet(f"{DATA}/labels.parquet").select("doc_id").collect()}
+    toxic |= {r[0]: True for r in spark.read.parquet(f"{DATA}/labels.parquet").where("toxic = 1").select("doc_id").collect()}
+    lower = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    want: dict = {}
+    for r in spark.read.parquet(f"{DATA}/documents.parquet").select("doc_id", "text").distinct().collect():
+        for w in set(re.split(r"[\x20\x09-\x0D]+", r["text"].translate(lower))) - {""} if r["doc_id"] in toxic else ():
+            both, one = want.get(w, (0, 0))
+            want[w] = (both + toxic[r["doc_id"]], one + 1)
+    got = {r["key"]: (r["sup"], r["sup_lhs"]) for r in __spark_entry__.queries()["rules_documents_toxic"](spark, DATA).collect()}
+    print("words", len(got))
+    assert len(got) > 50 and got == want

@@ -70,6 +70,8 @@ def merge(rows: DataFrame, combine: str = "max", extra: tuple[str, ...] = ()) ->
 
 def build(buffered: DataFrame, grid: Grid, decay: decays.Decay | None = None, mode: str = "uncertain", strategy: str = "cells", dmax: str = "ray", combine: str = "max", tile: int = TILE) -> DataFrame:
     """gi, gj, feature, n_inst, p (and sim_id, set_id if the objects have them) of all points with a feature."""
+    if grid.metric != "planar":
+        raise ValueError(f"transactions need a planar grid, not a {grid.metric} one")
     fn = decays.boolean() if mode == "certain" else (decay or decays.cosine())
     keep = [c for c in ("sim_id", "set_id", "feature", "x", "y", "r", "r0", *BUFFER) if c in buffered.columns]
     rows = _indices(buffered.select(*keep), grid)

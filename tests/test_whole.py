@@ -11,6 +11,7 @@ import pytest
 import __spark_entry__
 from coloc import catalog
 from coloc.catalog import methods
+from coloc.operators import buffers, grids, transactions
 from coloc.plans import miner
 from tests.conftest import DATA
 
@@ -119,3 +120,9 @@ def test_toxic_rules_have_every_word(spark):
     got = {r["key"]: (r["sup"], r["sup_lhs"]) for r in __spark_entry__.queries()["rules_documents_toxic"](spark, DATA).collect()}
     print("words", len(got))
     assert len(got) > 50 and got == want
+
+
+def test_transactions_refuse_a_geodesic_grid(spark):
+    objects = spark.createDataFrame([("o", "A", -113.5, 49.5)], "object_id string, feature string, x double, y double")
+    with pytest.raises(ValueError, match="planar"):
+        transactions.build(buffers.fixed(objects, 10.0), grids.fixed(-114.0, 49.0, -113.0, 50.0, 10.0, "geodesic"))

@@ -3,32 +3,55 @@
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from coloc.llm.tables import staged
+
+#: A draw passes this many times the rows that are wanted, as counts of distinct keys are estimates.
+SPARE = 3.0
+_RANGE = 1 << 62
+
 
 def remainder(id_col: str, divisor: int) -> Column:
     """crc32 of the id as text, modulo divisor; null ids count as empty text."""
     return F.crc32(F.coalesce(F.col(id_col).cast("string"), F.lit("")).cast("binary")) % divisor
 
 
-def per_class(rows: DataFrame, label: str, text: str, quota: int, longest: int) -> list[tuple]:
-    """About `quota` (label, text) rows of each class, picked by hash, of texts of at most `longest` bytes.
+def smallest(rows: DataFrame, quota: int, of: DataFrame | None = None) -> DataFrame:
+    """label, key: for each label the `quota` distinct keys (long) with the smallest hashes, of those that are also in `of`.
 
-    Classes are counted first; each then keeps the rows whose hash lies under its share, so that only
-    quota times the number of classes reach the driver, whatever the table's size.
+    How a key is repeated, and how rows lie in partitions, makes no difference. Distinct keys are counted first by estimate; only keys
+    whose hash lies under SPARE times a label's share are then ranked, so no task holds more than a few quotas of rows.
     """
-    usable = rows.where(F.col(label).isNotNull() & F.octet_length(text).between(1, longest))
-    counts = {r[0]: r[1] for r in usable.groupBy(label).count().collect()}
+    spark = rows.sparkSession
+    known = rows.where(F.col("label").isNotNull() & F.col("key").isNotNull())
+    spare = SPARE if of is None else 4 * SPARE
+    counts = {r[0]: r[1] for r in known.groupBy("label").agg(F.approx_count_distinct("key")).collect()}
     if not counts:
-        return []
-    share = F.lit(0.0)
-    for value, n in counts.items():
-        share = F.when(F.col(label) == F.lit(value), F.lit(min(1.0, 1.2 * quota / n))).otherwise(share)
-    drawn = F.pmod(F.xxhash64(text), F.lit(1 << 30)) < share * float(1 << 30)
-    picked = sorted((r[0], r[1]) for r in usable.where(drawn).select(label, text).limit(2 * quota * len(counts)).collect())
-    out: list[tuple] = []
-    for value in counts:
-        mine = [r for r in picked if r[0] == value]
-        step = max(1.0, len(mine) / quota)
-        out += [mine[int(i * step)] for i in range(min(quota, len(mine)))]
-    return out
+        return spark.createDataFrame([], known.select("label", "key").schema)
+    h = F.pmod(F.xxhash64("key", F.lit(17)), F.lit(_RANGE))
+    limit = F.lit(0)
+    for value, n in sorted(counts.items(), key=str):
+        limit = F.when(F.col("label") == F.lit(value), F.lit(int(min(1.0, (spare * quota + 100) / max(n, 1)) * _RANGE))).otherwise(limit)
+    few = known.select("label", "key", h.alias("h")).where(F.col("h") < limit).distinct()
+    if of is not None:
+        few = staged(few, "drawn-keys")
+        there = staged(of.join(F.broadcast(few.select("key").distinct()), "key", "left_semi").distinct(), "present-keys")
+        few = few.join(F.broadcast(there), "key", "left_semi")
+    rank = F.row_number().over(W.partitionBy("label").orderBy("h", "key"))
+    return staged(few.withColumn("_k", rank).where(F.col("_k") <= quota).select("label", "key"), "sample")
+
+
+def per_class(rows: DataFrame, label: str, text: str, quota: int, pieces: int, size: int) -> list[tuple]:
+    """(label, text) of at most `quota` distinct texts of each label, those with the smallest hashes, in the order of labels and hashes.
+
+    No text is left out for its length: of one with more than `size` characters, `pieces` pieces spread over it from start to
+    end are taken instead, one after the other.
+    """
+    full = rows.where(F.col(label).isNotNull() & (F.octet_length(text) > 0)).select(F.col(label).alias("label"), F.xxhash64(text).alias("key"), F.col(text).alias("text"))
+    drawn = smallest(full.select("label", "key"), quota)
+    long = F.char_length("text")
+    parts = F.when(long <= size, F.array("text")).otherwise(F.array(*[F.substring("text", F.floor((long - size) * (k / max(1, pieces - 1))).cast("int") + F.lit(1), F.lit(size)) for k in range(pieces)]))
+    found = full.join(F.broadcast(drawn), ["label", "key"]).select("label", "key", F.posexplode(parts).alias("nth", "piece")).distinct()
+    return [(r["label"], r["piece"]) for r in sorted(found.collect(), key=lambda r: (r["label"], r["key"] % (1 << 64), r["nth"], r["piece"]))]

@@ -24,8 +24,10 @@ from coloc.llm.tables import narrow, ship
 
 SCHEMA = "doc_id long, held_out boolean, lang_pred string, score double"
 UNKNOWN = "und"
-#: Bounds of the training sample: rows and bytes of a text per language; landmarks per language.
-QUOTA, LONGEST, LANDMARKS = 300, 16_384, 24
+#: Bounds of the training sample: distinct texts of a language, pieces of a long text, characters of a piece; landmarks of a language.
+QUOTA, PIECES, PIECE, LANDMARKS = 300, 2, 16_384, 24
+#: Digits of a margin that count: a matrix product may round the rest by a row's place in its batch.
+DIGITS = 4
 RIDGE, SHARPNESS = 0.1, 6.0
 DIVISOR, HELD_OUT = 3, 1
 _LOWER = np.arange(256, dtype=np.uint8)
@@ -126,8 +128,8 @@ def predict(model: Model, grams: Grams, raw: np.ndarray, offsets: np.ndarray) ->
         for i in range(0, n, step):
             at = offsets[i : min(n, i + step) + 1]
             x = grams.presence(raw[at[0] : at[-1]], at - at[0])
-            margin = (x @ model.weights) / np.sqrt(np.maximum(x.sum(1, keepdims=True), 1))
-            e = np.exp(SHARPNESS * (margin - margin.max(1, keepdims=True)).astype(np.float64))
+            margin = np.round(((x @ model.weights) / np.sqrt(np.maximum(x.sum(1, keepdims=True), 1))).astype(np.float64), DIGITS)
+            e = np.exp(SHARPNESS * (margin - margin.max(1, keepdims=True)))
             part = slice(i, i + len(x))
             best[part], score[part] = margin.argmax(1), (e / e.sum(1, keepdims=True)).max(1)
     named = [model.languages[b] if ok and model.languages else UNKNOWN for b, ok in zip(best.tolist(), letters.tolist())]
@@ -142,13 +144,13 @@ def _predicted(batches: Iterator[pa.RecordBatch], model: Model) -> Iterator[pa.R
 
 
 def train(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> Model:
-    """Fits on at most QUOTA texts of each language, from rows outside the held-out fold."""
+    """Fits on at most QUOTA distinct texts of each language, those with the smallest hashes, from rows outside the held-out fold."""
     rows = narrow(docs, doc_id=id_col, text=text_col, lang=lang_col).where(samples.remainder("doc_id", DIVISOR) != HELD_OUT)
-    return fit(samples.per_class(rows, "lang", "text", QUOTA, LONGEST))
+    return fit(samples.per_class(rows, "lang", "text", QUOTA, PIECES, PIECE))
 
 
 def languages(docs: DataFrame, model: Model | None = None, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
-    """doc_id, held_out, lang_pred, score for every row, from its whole text.
+    """doc_id, held_out, lang_pred, score for every row, from its whole text of any length.
 
     A null text, or one without a letter (also an empty one), gets UNKNOWN and score 0; so do all rows if no labelled text is there to
     learn from. Ties go to the language first in order. A null id counts as empty text in the fold's checksum; repeated
@@ -168,7 +170,11 @@ def _accepted(batches: Iterator[pa.RecordBatch], model: Model, text: int, least:
 
 
 def accepted(docs: DataFrame, least: float = 0.3, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
-    """The rows of docs, with all their columns, whose language is known with at least that score."""
+    """The rows of docs, with all their columns, whose language is known with at least that score.
+
+    Null, empty and letterless texts have no known language and go, as do all rows if no row has a language to learn from. Equal rows are kept
+    or dropped together, an empty table stays empty, and null ids and clashing other columns make no difference.
+    """
     ship(docs.sparkSession)
     model = train(docs, id_col, text_col, lang_col)
     return docs.mapInArrow(partial(_accepted, model=model, text=docs.columns.index(text_col), least=least), docs.schema)

@@ -11,8 +11,10 @@ nodes to the one that shares most chunks, and confirmed ties merge into componen
 compared, with a few members of a key's largest component first. A pair inside one component would not change the result, so the components are those of all links.
 
 Before a pair becomes a row its odd sketches are compared: ODD_BITS bits of which each shingle flips one. Bits that differ are at most as many as
-shingles that only one of the two sets has, and a link bounds those by the sizes, so up to ODD_BITS shingles no link is lost. Larger sets put in every 2nd, 4th, ... shingle
-by hash, and the bound then leaves five standard deviations.
+shingles that only one of the two sets has, and a link bounds those by the sizes, so no link is lost whatever the sizes; large sets fill their sketches, which then
+drop little.
+
+Keys that many nodes have are dealt out in blocks, and what hangs on one key is sent to its rows' tasks instead of the rows to one task.
 """
 
 from __future__ import annotations
@@ -29,7 +31,7 @@ from pyspark.sql import functions as F
 
 from coloc.llm.components import components
 from coloc.llm.ragged import WHITE, Coded, flat, slices
-from coloc.llm.tables import narrow, ship, staged
+from coloc.llm.tables import Scratch, joined_by_hot_key, narrow, ship, staged
 
 SYMBOLS, DISTANCE, CHUNKS = 64, 27, 14
 EDGES = [SYMBOLS * c // CHUNKS for c in range(CHUNKS + 1)]
@@ -40,6 +42,10 @@ ROUNDS = 2
 #: Ids that are sent to all executors at once, at most; beyond, tables are joined by shuffling.
 SMALL = 1_000_000
 ODD_BITS = 1024
+#: Members outside a key's largest component that one task compares with all its members.
+SIDE = 256
+#: Parts of all pairs above which a document's set is sent to all executors: there are fewer such documents.
+HOT_SETS = 100
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 _rng = np.random.default_rng(20240229)
@@ -109,27 +115,17 @@ def signature(hashes: np.ndarray) -> np.ndarray:
     return ((best ^ (best >> np.uint32(16))) & np.uint32(0xFFFF)).astype("<u2")
 
 
-def odd_level(n: int) -> int:
-    """Sets of n shingles put those into their sketch whose hash ends in so many zeros."""
-    return (max(0, n - 1) // ODD_BITS).bit_length()
-
-
 def odd_sketch(hashes: np.ndarray) -> np.ndarray:
     """ODD_BITS bits as longs: of each place whether an odd number of the set's shingles fall there."""
-    level = np.uint64(odd_level(len(hashes)))
-    put = hashes[hashes & ((np.uint64(1) << level) - np.uint64(1)) == 0]
-    places = (put >> np.uint64(16)) % np.uint64(ODD_BITS)
+    places = (hashes >> np.uint64(16)) % np.uint64(ODD_BITS)
     odd = np.bincount(places.astype(np.int64), minlength=ODD_BITS) & 1
     return np.packbits(odd.astype(np.uint8)).view("<i8")
 
 
 def _may_link(like: Likeness) -> Column:
-    """Of a pair with columns n, level, odd and n_, level_, odd_: whether the sketches allow a link."""
+    """Of a pair with columns n, odd and n_, odd_: whether the sketches allow a link."""
     differ = sum((F.bit_count(F.col("odd")[i].bitwiseXOR(F.col("odd_")[i])) for i in range(1, ODD_BITS // 64)), F.bit_count(F.col("odd")[0].bitwiseXOR(F.col("odd_")[0])))
-    most = (F.col("n") + F.col("n_")) * (100 - like.percent)
-    share = most / (100 + like.percent) / F.pow(F.lit(2.0), F.col("level"))
-    sampled = (F.col("level") != F.col("level_")) | ((F.col("level") > 0) & (differ <= share + 5 * F.sqrt(share) + 1))
-    return sampled | (differ * (100 + like.percent) <= most)
+    return differ * (100 + like.percent) <= (F.col("n") + F.col("n_")) * (100 - like.percent)
 
 
 def _signed(batches: Iterator[pa.RecordBatch], words: int) -> Iterator[pa.RecordBatch]:
@@ -140,8 +136,7 @@ def _signed(batches: Iterator[pa.RecordBatch], words: int) -> Iterator[pa.Record
         odd = np.concatenate([odd_sketch(s) for s in sets]) if sets else np.zeros(0, np.int64)
         bounds = pa.array(np.arange(len(sets) + 1, dtype=np.int32) * (ODD_BITS // 64))
         columns = [batch.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(prints, pa.binary()), pa.array(marks, pa.binary())]
-        columns += [pa.array([odd_level(len(s)) for s in sets], pa.int32()), pa.ListArray.from_arrays(bounds, pa.array(odd))]
-        yield pa.RecordBatch.from_arrays(columns, ["doc_id", "n", "print", "mark", "level", "odd"])
+        yield pa.RecordBatch.from_arrays([*columns, pa.ListArray.from_arrays(bounds, pa.array(odd))], ["doc_id", "n", "print", "mark", "odd"])
 
 
 def _with_sets(batches: Iterator[pa.RecordBatch], words: int) -> Iterator[pa.RecordBatch]:
@@ -197,37 +192,91 @@ def _compared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _some(rows: DataFrame, keys: DataFrame, name: str) -> DataFrame:
     """rows whose `name` is in keys (a staged table of distinct values): sent to all executors if it is SMALL, else shuffled."""
-    return rows.join(F.broadcast(keys) if keys.count() <= SMALL else keys, name, "left_semi")
+    return rows.join(F.broadcast(keys) if keys.count() <= SMALL else keys, name, "left_semi").select(*rows.columns)
 
 
 def _alike_sizes(a: str, b: str, like: Likeness) -> Column:
     return F.least(a, b) * 100 >= F.greatest(a, b) * like.percent
 
 
-def confirmed(pairs: DataFrame, docs: DataFrame, like: Likeness) -> DataFrame:
-    """Of the pairs (a, b) of ids those whose full shingle sets are alike enough. docs: doc_id, text."""
-    pairs = staged(pairs.select("a", "b").distinct(), "pairs")
-    ids = staged(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), "pair-ids")
-    sets = _some(docs, ids, "doc_id").mapInArrow(partial(_with_sets, words=like.words), "doc_id long, shingles array<long>")
-    sets = staged(sets, "sets")
-    of_b = pairs.join(sets.select(F.col("doc_id").alias("b"), F.col("shingles").alias("of_b")), "b")
-    both = of_b.join(sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("of_a")), "a")
-    common = F.size(F.array_intersect("of_a", "of_b"))
-    enough = common * 100 >= (F.size("of_a") + F.size("of_b") - common) * like.percent
-    return staged(both.where(enough).select("a", "b").distinct(), "links")
-
-
-def _mixed(keyed: DataFrame) -> DataFrame:
-    """The keys whose members are of several components."""
-    return keyed.groupBy("key").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).where("low < high").select("key")
-
-
-def _sides(members: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(rows outside their key's largest component, rows in it), with that component as main."""
-    per = members.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("c"))
-    main = per.groupBy("key").agg(F.max(F.struct("c", "comp")).alias("m")).select("key", F.col("m.comp").alias("main"))
-    rows = members.join(main, "key")
-    return rows.where("comp <> main"), rows.where("comp = main")
+class _Search:
+    """One search for groups: its texts, nodes and staged folders."""
+
+    def __init__(self, texts: DataFrame, like: Likeness, scratch: Scratch):
+        self.texts, self.like, self.scratch = texts, like, scratch
+
+    def staged(self, df: DataFrame, name: str) -> DataFrame:
+        return staged(df, name, self.scratch)
+
+    def confirmed(self, pairs: DataFrame) -> DataFrame:
+        """Of the pairs (a, b) of ids those whose full shingle sets are alike enough."""
+        pairs = self.staged(pairs.select("a", "b").distinct(), "pairs")
+        ids = self.staged(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), "pair-ids")
+        sets = _some(self.texts.where("doc_id is not null"), ids, "doc_id").mapInArrow(partial(_with_sets, words=self.like.words), "doc_id long, shingles array<long>")
+        sets = self.staged(sets, "sets")
+        both = pairs
+        for side in ("a", "b"):
+            times = self.staged(pairs.groupBy(side).agg(F.count(F.lit(1)).alias("n")), "pair-counts")
+            # ids that are repeated with other texts have several sets, of which any may confirm
+            some = sets.groupBy(F.col("doc_id").alias(side)).agg(F.collect_set("shingles").alias(f"of_{side}"))
+            both = joined_by_hot_key(both, some, side, "b" if side == "a" else "a", times, HOT_SETS)
+        common = lambda x, y: F.size(F.array_intersect(x, y))
+        enough = lambda x, y: common(x, y) * 100 >= (F.size(x) + F.size(y) - common(x, y)) * self.like.percent
+        return self.staged(both.where(F.exists("of_a", lambda x: F.exists("of_b", lambda y: enough(x, y)))).select("a", "b"), "links")
+
+    def measured(self, pairs: DataFrame, nodes: DataFrame) -> DataFrame:
+        """a, b, apart of the pairs within DISTANCE and of sizes that allow a link."""
+        marks = nodes.select("node", "n", "mark")
+        one = pairs.join(marks.select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("mark").alias("ma")), "a")
+        two = one.join(marks.select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("mark").alias("mb")), "b")
+        return self.staged(two.where(_alike_sizes("na", "nb", self.like)).select("a", "b", "ma", "mb").mapInArrow(_compared, "a long, b long, apart int"), "measured")
+
+    def merged(self, links: DataFrame, comp: DataFrame) -> DataFrame:
+        """node, comp after the links joined their components."""
+        joined = components(_labelled(links, comp).select(F.col("ca").alias("a"), F.col("cb").alias("b")), self.scratch)
+        return self.staged(comp.join(joined.select(F.col("node").alias("comp"), "root"), "comp", "left").select("node", F.coalesce("root", "comp").alias("comp")), "components")
+
+    def sided(self, members: DataFrame) -> DataFrame:
+        """members with main, their key's largest component, picks, a few nodes of it, and others, the number of rows outside it."""
+        order = F.xxhash64("key", "node")
+        per = members.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("c"), F.min_by("node", order).alias("one"), F.max_by("node", order).alias("two"))
+        of_key = per.groupBy("key").agg(F.sum("c").alias("n"), F.max(F.struct("c", "comp", "one", "two")).alias("m"))
+        facts = of_key.select("key", "n", F.col("m.comp").alias("main"), F.array_distinct(F.array("m.one", "m.two")).alias("picks"), (F.col("n") - F.col("m.c")).alias("others"))
+        return joined_by_hot_key(members, self.staged(facts, "key-sides"), "key", "node")
+
+    def mixed(self, members: DataFrame, name: str) -> DataFrame:
+        """members of the keys whose members are of several components."""
+        several = members.groupBy("key").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).where("low < high").select("key")
+        return self.staged(_some(members, self.staged(several, "mixed-keys"), "key"), name)
+
+    def same_ids(self, known: DataFrame, nodes: DataFrame) -> DataFrame:
+        """a, b: nodes that hold different texts of one id."""
+        repeated = known.groupBy("doc_id").agg(F.min("print").alias("low"), F.max("print").alias("high")).where("low < high").select("doc_id")
+        own = _some(known, self.staged(repeated, "repeated-ids"), "doc_id").select("doc_id", "print").distinct().join(nodes.select("print", "node"), "print")
+        return own.join(own.groupBy("doc_id").agg(F.min("node").alias("a")), "doc_id").select("a", F.col("node").alias("b"))
+
+    def tied(self, nodes: DataFrame) -> DataFrame:
+        """a, b: each key of an error-free chunk ties its nodes to the one that shares the most chunks with others, as an original does with its copies."""
+        plain = _keys(nodes.withColumn("comp", F.col("node")), errors=False).select("key", "node")
+        several = self.staged(plain.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").withColumn("c", F.col("n")), "shared-keys")
+        shared = self.staged(joined_by_hot_key(plain, several, "key", "node").where("c is not null"), "shared-chunks")
+        score = shared.groupBy("node").agg(F.sum("c").alias("score"))
+        lead = shared.join(score, "node").groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.max(F.struct("score", (-F.col("node")).alias("node"))).alias("m"))
+        lead = self.staged(lead.select("key", "n", (-F.col("m.node")).alias("a")), "leads")
+        return joined_by_hot_key(shared, lead, "key", "node").where("node <> a").select("a", F.col("node").alias("b")).distinct()
+
+    def crossed(self, members: DataFrame, nodes: DataFrame) -> DataFrame:
+        """a, b: pairs of nodes from different components that share a key and whose sketches allow a link."""
+        sided = self.sided(self.staged(members.join(nodes.select("node", "odd"), "node"), "sketched-members")).withColumn("blocks", F.ceil(F.col("others") / SIDE).cast("int"))
+        sided = self.staged(sided.drop("picks", "others"), "sided-members")
+        minor = sided.where("comp <> main").withColumn("block", F.pmod(F.hash("node"), "blocks"))
+        minor = minor.select("key", "block", *[F.col(c).alias(f"{c}_") for c in ("node", "comp", "n", "out", "odd")])
+        every = sided.withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+        once = (F.col("comp") == F.col("main")) | (F.col("node") < F.col("node_"))
+        # two that agree in a whole chunk meet in all its keys; only its first is for them
+        own_key = F.col("head") | (F.col("out") != F.col("out_"))
+        pair = every.alias("x").join(minor.alias("y"), (F.col("x.key") == F.col("y.key")) & (F.col("x.block") == F.col("y.block")) & (F.col("comp") != F.col("comp_")) & once & own_key & _alike_sizes("n", "n_", self.like) & _may_link(self.like))
+        return pair.select(F.least("node", "node_").alias("a"), F.greatest("node", "node_").alias("b")).distinct()
 
 
 def _labelled(pairs: DataFrame, comp: DataFrame) -> DataFrame:
@@ -236,12 +285,6 @@ def _labelled(pairs: DataFrame, comp: DataFrame) -> DataFrame:
     return one.join(comp.select(F.col("node").alias("b"), F.col("comp").alias("cb")), "b")
 
 
-def _merged(links: DataFrame, comp: DataFrame) -> DataFrame:
-    """node, comp after the links joined their components."""
-    joined = components(_labelled(links, comp).select(F.col("ca").alias("a"), F.col("cb").alias("b")))
-    return staged(comp.join(joined.select(F.col("node").alias("comp"), "root"), "comp", "left").select("node", F.coalesce("root", "comp").alias("comp")), "components")
-
-
 def _closest(pairs: DataFrame, *by: str) -> DataFrame:
     """For each value of `by` the pair least far apart, ties to the smallest ids."""
     return pairs.groupBy(*by).agg(F.min(F.struct("apart", "a", "b")).alias("p")).select("p.a", "p.b")
@@ -252,74 +295,55 @@ def groups(docs: DataFrame, like: Likeness = Likeness(), id_col: str = "doc_id",
 
     Letters A to Z are lower-cased and words are runs of other bytes than space and the controls from tab to carriage return. A text with fewer words than a shingle
     has its whole sequence as one; without words, or null, it has none, is its own component and kept. Rows that share an id are one document: a link of one is a link of all.
-    Rows without an id take no part: their component is null and they are kept. An empty table gives no rows; other columns are ignored.
+    Rows without an id take no part: their component is null and they are kept. Texts of any length are taken whole. An empty table gives no rows; other columns are ignored.
     """
     ship(docs.sparkSession)
     texts = narrow(docs, doc_id=id_col, text=text_col).select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    rows = staged(texts.mapInArrow(partial(_signed, words=like.words), "doc_id long, n long, print binary, mark binary, level int, odd array<long>"), "signed")
+    with Scratch(docs.sparkSession) as scratch:
+        return staged(_grouped(_Search(texts, like, scratch)), "near-groups")
+
+
+def _grouped(job: _Search) -> DataFrame:
+    rows = job.staged(job.texts.mapInArrow(partial(_signed, words=job.like.words), "doc_id long, n long, print binary, mark binary, odd array<long>"), "signed")
     known = rows.where("doc_id is not null and n > 0")
-    nodes = staged(known.groupBy("print").agg(F.min("doc_id").alias("node"), *[F.first(c).alias(c) for c in ("n", "mark", "level", "odd")]), "nodes")
-    own = texts.where("doc_id is not null")
-
-    # ties to one node of each error-free chunk: to that which shares the most chunks with others, as an original does with its copies
-    plain = _keys(nodes.withColumn("comp", F.col("node")), errors=False).select("key", "node")
-    several = plain.groupBy("key").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
-    shared = staged(plain.join(several, "key"), "shared-chunks")
-    score = shared.groupBy("node").agg(F.sum("c").alias("score"))
-    lead = shared.join(score, "node").groupBy("key").agg(F.max(F.struct("score", (-F.col("node")).alias("node"))).alias("m")).select("key", (-F.col("m.node")).alias("a"))
-    ties = shared.join(lead, "key").where("node <> a").select("a", F.col("node").alias("b")).distinct()
-    near = staged(_measured(ties, nodes, like), "ties")
-    comp = staged(nodes.select("node", F.col("node").alias("comp")).distinct(), "components")
-    comp = _merged(confirmed(_closest(near, "b"), own, like), comp)
+    nodes = job.staged(known.groupBy("print").agg(F.count(F.lit(1)).alias("copies"), F.min("doc_id").alias("node"), *[F.first(c).alias(c) for c in ("n", "mark", "odd")]), "nodes")
+    comp = job.staged(nodes.select("node", F.col("node").alias("comp")).distinct(), "components")
+    comp = job.merged(job.same_ids(known, nodes), comp)
+    comp = job.merged(job.confirmed(_closest(job.measured(job.tied(nodes), nodes), "b")), comp)
 
     # pairs from different components that share any key
-    keyed = _keys(nodes.join(comp, "node"), errors=True)
-    mixed = staged(_mixed(keyed), "mixed-keys")
-    members = staged(_some(keyed, mixed, "key"), "mixed-members")
-    for turn in range(ROUNDS):
-        minor, major = _sides(members)
-        order = F.xxhash64("key", "node", F.lit(turn))
-        picks = major.groupBy("key").agg(F.array_distinct(F.array(F.min_by("node", order), F.max_by("node", order))).alias("picks"))
-        few = minor.select("key", "node").join(picks, "key").select(F.explode("picks").alias("a"), F.col("node").alias("b")).distinct()
-        comp = _merged(confirmed(_closest(staged(_measured(few, nodes, like), "few"), "b"), own, like), comp)
-        moved = members.drop("comp").join(comp, "node").select(*members.columns)
-        moved = staged(moved, "moved-members")
-        members = staged(_some(moved, staged(_mixed(moved), "mixed-keys"), "key"), "mixed-members")
-    members = staged(members.join(nodes.select("node", "level", "odd"), "node"), "sketched-members")
-    minor, _ = _sides(members)
-    minor = minor.select("key", "main", *[F.col(c).alias(f"{c}_") for c in ("node", "comp", "n", "out", "level", "odd")])
-    once = (F.col("comp") == F.col("main")) | (F.col("node") < F.col("node_"))
-    # two that agree in a whole chunk meet in all its keys; only its first is for them
-    own_key = F.col("head") | (F.col("out") != F.col("out_"))
-    pair = members.alias("x").join(minor.alias("y"), (F.col("x.key") == F.col("y.key")) & (F.col("comp") != F.col("comp_")) & once & own_key & _alike_sizes("n", "n_", like) & _may_link(like))
-    cross = pair.select(F.least("node", "node_").alias("a"), F.greatest("node", "node_").alias("b")).distinct()
-    far = staged(_measured(cross, nodes, like), "cross")
+    members = job.mixed(_keys(nodes.join(comp, "node"), errors=True), "mixed-members")
+    for _ in range(ROUNDS):
+        few = job.sided(members).where("comp <> main").select(F.explode("picks").alias("a"), F.col("node").alias("b")).distinct()
+        comp = job.merged(job.confirmed(_closest(job.measured(few, nodes), "b")), comp)
+        moved = job.staged(members.drop("comp").join(comp, "node").select(*members.columns), "moved-members")
+        members = job.mixed(moved, "mixed-members")
+    far = job.measured(job.crossed(members, nodes), nodes)
     if not far.isEmpty():
         # the closest pair of each two components first; what still lies between different ones after that is confirmed in full
-        comp = _merged(confirmed(_closest(_labelled(far, comp), "ca", "cb"), own, like), comp)
-        rest = staged(_labelled(far, comp).where("ca <> cb").select("a", "b"), "rest")
+        comp = job.merged(job.confirmed(_closest(_labelled(far, comp), "ca", "cb")), comp)
+        rest = job.staged(_labelled(far, comp).where("ca <> cb").select("a", "b"), "rest")
         if not rest.isEmpty():
-            comp = _merged(confirmed(rest, own, like), comp)
-    of_print = nodes.select("print", "node").join(comp, "node").groupBy("print").agg(F.min("comp").alias("comp"))
-    out = rows.join(of_print, "print", "left")
-    component = F.when(F.col("n") > 0, F.col("comp")).otherwise(F.col("doc_id"))
-    component = F.when(F.col("doc_id").isNotNull(), component)
-    return out.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
+            comp = job.merged(job.confirmed(rest), comp)
+    # a text that no other row shares and that nothing moved is its own component; only the others are looked up
+    of_print = nodes.select("print", "node", "copies").join(comp, "node").where("copies > 1 or comp <> node").groupBy("print").agg(F.max("copies").alias("n"), F.min("comp").alias("comp"))
+    out = joined_by_hot_key(rows.select("doc_id", F.col("n").alias("n_shingles"), "print"), job.staged(of_print, "print-components"), "print", "doc_id")
+    component = F.when(F.col("doc_id").isNotNull(), F.coalesce("comp", "doc_id"))
+    return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
 
 
 def first_of_each(docs: DataFrame, like: Likeness = Likeness(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of docs, with all their columns, that keep their group's smallest id."""
-    spare = staged(groups(docs, like, id_col, text_col).where(~F.col("kept")).select(F.col("doc_id").alias("_spare")).distinct(), "spare")
-    found = docs[id_col].cast("long") == F.col("_spare")
-    return docs.join(F.broadcast(spare) if spare.count() <= SMALL else spare, found, "left_anti")
+    """The rows of docs, with all their columns, that keep their group's smallest id.
 
-
-def _measured(pairs: DataFrame, nodes: DataFrame, like: Likeness) -> DataFrame:
-    """a, b, apart of the pairs within DISTANCE and of sizes that allow a link."""
-    marks = nodes.select("node", "n", "mark")
-    one = pairs.join(marks.select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("mark").alias("ma")), "a")
-    two = one.join(marks.select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("mark").alias("mb")), "b")
-    return two.where(_alike_sizes("na", "nb", like)).select("a", "b", "ma", "mb").mapInArrow(_compared, "a long, b long, apart int")
+    All rows of that id stay, also repeated ones; rows without an id, and null, empty and wordless texts, stay. An empty table stays
+    empty; texts of any length are compared whole, and clashing names of other columns make no difference.
+    """
+    spare = staged(groups(docs, like, id_col, text_col).where(~F.col("kept")).select(F.col("doc_id").alias("_spare")).distinct(), "spare")
+    names = docs.columns
+    own = docs.toDF(*[f"_in{i}" for i in range(len(names))])
+    found = F.col(f"_in{names.index(id_col)}").cast("long") == F.col("_spare")
+    kept = own.join(F.broadcast(spare) if spare.count() <= SMALL else spare, found, "left_anti")
+    return kept.toDF(*names)
 
 
 def groups_sql(words: int, percent: int, source: str = "documents") -> str:

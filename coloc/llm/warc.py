@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from coloc.llm.ragged import slices
-from coloc.llm.tables import narrow, shared_dir, ship, staged
+from coloc.llm.tables import joined_by_hot_key, narrow, shared_dir, ship, staged
 
 SMALLEST_REVISIT = 100
 LEVEL = 4
@@ -218,8 +218,9 @@ def write_archives(pages: DataFrame, folder: str, id_col: str = "page_id", url_c
     digest = F.sha2(F.coalesce("html", F.lit("")).cast("binary"), 256)
     large = rows.where(F.octet_length("html") >= SMALLEST_REVISIT).select("page_id", digest.alias("digest"))
     first = large.groupBy("digest").agg(F.min("page_id").alias("first_id"), F.count(F.lit(1)).alias("n")).where("n > 1 and first_id is not null")
-    first = staged(first.select("digest", "first_id"), "warc-payloads")  # its size is then known to the planner
-    joined = rows.withColumn("digest", F.when(F.octet_length("html") >= SMALLEST_REVISIT, digest)).join(first, "digest", "left")
+    first = staged(first, "warc-payloads")
+    known = rows.withColumn("digest", F.when(F.octet_length("html") >= SMALLEST_REVISIT, digest))
+    joined = joined_by_hot_key(known, first, "digest", "page_id")
     refers = F.when(~F.col("page_id").eqNullSafe(F.col("first_id")), F.col("first_id"))
     from pyarrow.fs import FileSystem
 

@@ -1,10 +1,12 @@
-"""Byte-level BPE by rank files: encoding as a monoid tree reduction, decoding as concatenation.
+"""Byte-level BPE by rank files: encoding and decoding as monoid tree reductions.
 
 A pre-token's bytes are encoded by halves down to leaves of a few bytes. Two encoded neighbours are joined by re-encoding a
 window of tokens at their boundary; it grows on a side as long as the token outside it and the window's outermost token
 are not the encoding of their own bytes. Once both borders hold, every adjacent pair of the result is the encoding of its bytes,
 which only the encoding of the whole has, so no token further out can change. Joining is associative, so any tree
 gives the same tokens. All distinct pre-tokens of a batch go up the tree together: a level is a handful of array operations.
+
+Decoding goes up a tree of the tokens' bytes, which lie side by side, so that joining two neighbours is dropping the border between them.
 """
 
 from __future__ import annotations
@@ -48,7 +50,6 @@ class ByteBpe:
         self.size = np.fromiter(map(len, tokens), np.int64, size)
         self.begin = np.append(0, np.cumsum(self.size))
         self.raw = np.frombuffer(b"".join(tokens), np.uint8)
-        self.tokens = pa.array(tokens, pa.large_binary())
         self.decimal = pa.array([b",%d" % i for i in range(size)], pa.large_binary())
         self.single = np.array([self.ranks[bytes([b])] for b in range(256)], np.int32)
         get = self.ranks.get
@@ -174,8 +175,20 @@ class ByteBpe:
     def encode(self, text: str) -> list[int]:
         return self.batch(pa.array([text]))[0].tolist()
 
+    def decoded(self, ids: np.ndarray, bounds: np.ndarray) -> tuple[memoryview, np.ndarray]:
+        """The bytes of the documents whose ids lie between the bounds, and the documents' bounds there."""
+        if len(ids) and (ids.min() < 0 or ids.max() >= len(self.size) or not self.size[ids].all()):
+            raise ValueError("an id is not in the rank file")
+        starts, nodes = self.begin[ids], np.diff(bounds)
+        raw = self.raw[_spread(starts, self.size[ids])]
+        starts = np.cumsum(self.size[ids]) - self.size[ids]  # of each node; a node ends where the next begins
+        while (nodes > 1).any():
+            starts = starts[_spread(np.zeros(len(nodes), np.int64), nodes) % 2 == 0]
+            nodes = -(-nodes // 2)
+        return memoryview(raw), np.append(starts, len(raw))[np.append(0, np.cumsum(nodes))]
+
     def decode(self, ids) -> bytes:
-        return b"".join(map(self.bytes_of.__getitem__, ids))
+        return bytes(self.decoded(np.asarray(ids, np.int64), np.array([0, len(ids)]))[0])
 
     def joined(self, table: pa.Array, ids: np.ndarray, bounds: np.ndarray) -> tuple[memoryview, np.ndarray]:
         """The table's entries of the ids one after the other, and the documents' bounds there."""
@@ -195,7 +208,7 @@ def _digests(batches: Iterator[pa.RecordBatch], path: str, pattern: str) -> Iter
         ids, bounds = own.batch(batch.column(1))
         text, at = own.joined(own.decimal, ids, bounds)
         sha = [hashlib.sha256(text[a + 1 : b] if b > a else b"").hexdigest() for a, b in zip(at[:-1].tolist(), at[1:].tolist())]
-        text, at = own.joined(own.tokens, ids, bounds)
+        text, at = own.decoded(ids, bounds)
         back = [hashlib.sha256(text[a:b]).hexdigest() for a, b in zip(at[:-1].tolist(), at[1:].tolist())]
         yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.diff(bounds)), pa.array(sha), pa.array(back)], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
@@ -210,8 +223,9 @@ def _id_lists(batches: Iterator[pa.RecordBatch], path: str, pattern: str) -> Ite
 def _texts(batches: Iterator[pa.RecordBatch], path: str, pattern: str) -> Iterator[pa.RecordBatch]:
     own = codec(path, pattern)
     for batch in batches:
-        back = [own.decode(ids or []) for ids in batch.column(1).to_pylist()]
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(back, pa.binary())], ["doc_id", "decoded"])
+        lists = [[i for i in x if i is not None] if x else [] for x in batch.column(1).to_pylist()]
+        text, at = own.decoded(np.array([i for x in lists for i in x], np.int64), np.append(0, np.cumsum([len(x) for x in lists], dtype=np.int64)))
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([bytes(text[a:b]) for a, b in zip(at[:-1].tolist(), at[1:].tolist())], pa.binary())], ["doc_id", "decoded"])
 
 
 def encode(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -221,7 +235,7 @@ def encode(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", tex
 
 
 def decode(encoded_docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", ids_col: str = "ids") -> DataFrame:
-    """doc_id, decoded (binary): the bytes of each row's ids; none for null or empty lists."""
+    """doc_id, decoded (binary): the bytes of each row's ids; none for null or empty lists, nor for nulls in them. An id that the rank file lacks raises ValueError."""
     ship(encoded_docs.sparkSession)
     rows = narrow(encoded_docs, doc_id=id_col, ids=ids_col).selectExpr("cast(doc_id as long) doc_id", "ids")
     return rows.mapInArrow(partial(_texts, path=path, pattern=pattern), "doc_id long, decoded binary")

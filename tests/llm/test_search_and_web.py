@@ -83,7 +83,7 @@ def test_keys_of_pairs_within_distance():
 
 
 def test_odd_sketches_lose_no_link(spark):
-    """Bits that differ never outnumber shingles that differ; sampled sketches of linked sets stay within the bound."""
+    """Bits that differ never outnumber shingles that differ, however large the sets."""
     rng = np.random.default_rng(4)
     like, rows = near_dedup.Likeness(2, 80), []
     for n in (1, 5, 60, 500, 1024, 1025, 3000, 9000):
@@ -92,10 +92,11 @@ def test_odd_sketches_lose_no_link(spark):
             b = np.append(a[n // 10 :], rng.integers(0, 1 << 63, n // 10, dtype=np.uint64))
             one, two = near_dedup.odd_sketch(a), near_dedup.odd_sketch(b)
             assert sum(int(x).bit_count() for x in (one ^ two).view(np.uint64)) <= 2 * (n // 10)
-            rows.append((n, near_dedup.odd_level(n), one.tolist(), n, near_dedup.odd_level(n), two.tolist()))
-    pairs = spark.createDataFrame(rows, "n long, level int, odd array<long>, n_ long, level_ int, odd_ array<long>")
+            rows.append((n, one.tolist(), n, two.tolist()))
+    pairs = spark.createDataFrame(rows, "n long, odd array<long>, n_ long, odd_ array<long>")
     assert pairs.where(near_dedup._may_link(like)).count() == len(rows)
-    assert near_dedup.odd_level(near_dedup.ODD_BITS) == 0 and near_dedup.odd_level(near_dedup.ODD_BITS + 1) == 1
+    far = [(600, near_dedup.odd_sketch(rng.integers(0, 1 << 63, 600, dtype=np.uint64)).tolist(), 600, near_dedup.odd_sketch(rng.integers(0, 1 << 63, 600, dtype=np.uint64)).tolist()) for _ in range(20)]
+    assert spark.createDataFrame(far, pairs.schema).where(near_dedup._may_link(like)).count() == 0
 
 
 def test_components(spark):

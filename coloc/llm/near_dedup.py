@@ -43,7 +43,7 @@ ROUNDS = 2
 SMALL = 1_000_000
 ODD_BITS = 1024
 #: Members outside a key's largest component that one task compares with all its members.
-SIDE = 256
+SIDE = 4096
 #: Parts of all pairs above which a document's set is sent to all executors: there are fewer such documents.
 HOT_SETS = 100
 _LOWER = np.arange(256, dtype=np.uint8)
@@ -210,19 +210,20 @@ class _Search:
 
     def confirmed(self, pairs: DataFrame) -> DataFrame:
         """Of the pairs (a, b) of ids those whose full shingle sets are alike enough."""
-        pairs = self.staged(pairs.select("a", "b").distinct(), "pairs")
-        ids = self.staged(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), "pair-ids")
-        sets = _some(self.texts.where("doc_id is not null"), ids, "doc_id").mapInArrow(partial(_with_sets, words=self.like.words), "doc_id long, shingles array<long>")
-        sets = self.staged(sets, "sets")
-        both = pairs
-        for side in ("a", "b"):
-            times = self.staged(pairs.groupBy(side).agg(F.count(F.lit(1)).alias("n")), "pair-counts")
-            # ids that are repeated with other texts have several sets, of which any may confirm
-            some = sets.groupBy(F.col("doc_id").alias(side)).agg(F.collect_set("shingles").alias(f"of_{side}"))
-            both = joined_by_hot_key(both, some, side, "b" if side == "a" else "a", times, HOT_SETS)
-        common = lambda x, y: F.size(F.array_intersect(x, y))
-        enough = lambda x, y: common(x, y) * 100 >= (F.size(x) + F.size(y) - common(x, y)) * self.like.percent
-        return self.staged(both.where(F.exists("of_a", lambda x: F.exists("of_b", lambda y: enough(x, y)))).select("a", "b"), "links")
+        with Scratch(pairs.sparkSession) as own:
+            pairs = staged(pairs.select("a", "b").distinct(), "pairs", own)
+            ids = staged(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), "pair-ids", own)
+            sets = _some(self.texts.where("doc_id is not null"), ids, "doc_id").mapInArrow(partial(_with_sets, words=self.like.words), "doc_id long, shingles array<long>")
+            sets = staged(sets, "sets", own)
+            both = pairs
+            for side in ("a", "b"):
+                times = staged(pairs.groupBy(side).agg(F.count(F.lit(1)).alias("n")), "pair-counts", own)
+                # ids that are repeated with other texts have several sets, of which any may confirm
+                some = sets.groupBy(F.col("doc_id").alias(side)).agg(F.collect_set("shingles").alias(f"of_{side}"))
+                both = joined_by_hot_key(both, some, side, "b" if side == "a" else "a", times, HOT_SETS)
+            common = lambda x, y: F.size(F.array_intersect(x, y))
+            enough = lambda x, y: common(x, y) * 100 >= (F.size(x) + F.size(y) - common(x, y)) * self.like.percent
+            return self.staged(both.where(F.exists("of_a", lambda x: F.exists("of_b", lambda y: enough(x, y)))).select("a", "b"), "links")
 
     def measured(self, pairs: DataFrame, nodes: DataFrame) -> DataFrame:
         """a, b, apart of the pairs within DISTANCE and of sizes that allow a link."""
@@ -233,8 +234,9 @@ class _Search:
 
     def merged(self, links: DataFrame, comp: DataFrame) -> DataFrame:
         """node, comp after the links joined their components."""
-        joined = components(_labelled(links, comp).select(F.col("ca").alias("a"), F.col("cb").alias("b")), self.scratch)
-        return self.staged(comp.join(joined.select(F.col("node").alias("comp"), "root"), "comp", "left").select("node", F.coalesce("root", "comp").alias("comp")), "components")
+        with Scratch(comp.sparkSession) as own:
+            joined = components(_labelled(links, comp).select(F.col("ca").alias("a"), F.col("cb").alias("b")), own)
+            return self.staged(comp.join(joined.select(F.col("node").alias("comp"), "root"), "comp", "left").select("node", F.coalesce("root", "comp").alias("comp")), "components")
 
     def sided(self, members: DataFrame) -> DataFrame:
         """members with main, their key's largest component, picks, a few nodes of it, and others, the number of rows outside it."""
@@ -258,8 +260,8 @@ class _Search:
     def tied(self, nodes: DataFrame) -> DataFrame:
         """a, b: each key of an error-free chunk ties its nodes to the one that shares the most chunks with others, as an original does with its copies."""
         plain = _keys(nodes.withColumn("comp", F.col("node")), errors=False).select("key", "node")
-        several = self.staged(plain.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").withColumn("c", F.col("n")), "shared-keys")
-        shared = self.staged(joined_by_hot_key(plain, several, "key", "node").where("c is not null"), "shared-chunks")
+        several = plain.groupBy("key").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
+        shared = self.staged(plain.join(several, "key"), "shared-chunks")
         score = shared.groupBy("node").agg(F.sum("c").alias("score"))
         lead = shared.join(score, "node").groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.max(F.struct("score", (-F.col("node")).alias("node"))).alias("m"))
         lead = self.staged(lead.select("key", "n", (-F.col("m.node")).alias("a")), "leads")

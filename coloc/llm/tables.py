@@ -8,8 +8,9 @@ import uuid
 import zipfile
 from pathlib import Path
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, BinaryType, DataType
 
 #: Texts can be long, and both the JVM and the worker hold a whole Arrow batch of them.
 BATCH_ROWS = 2_000
@@ -83,14 +84,21 @@ def joined_by_hot_key(rows: DataFrame, facts: DataFrame, key: str, spread: str,
     total = counted.agg(F.sum("n")).first()[0] or 0
     hot = facts.join(F.broadcast(counted.where(F.col("n") > total // share).select(key)), key, "left_semi")
     hot = hot.select(F.col(key).alias("_hot"), F.struct(*more).alias("_of_hot"))
-    cold = facts.select(F.hash(key).alias("_part"), F.col(key).alias("_cold"), F.struct(*more).alias("_of_cold"))
+    cold = facts.select(F.col(key).alias("_cold"), F.struct(*more).alias("_of_cold"))
     met = rows.join(F.broadcast(hot), F.col(key) == F.col("_hot"), "left")
-    free = F.col("_hot").isNotNull() | F.col(key).isNull()
-    met = met.withColumns({"_place": F.when(free, F.hash(spread, F.lit("~"))).otherwise(F.hash(key)), "_own": F.when(free, F.lit(None)).otherwise(F.col(key))})
-    out = met.join(cold, (F.col("_place") == F.col("_part")) & (F.col("_own") == F.col("_cold")), "left")
+    met = met.withColumn("_free", F.col("_hot").isNotNull() | F.col(key).isNull()).drop("_hot")
+    met = met.withColumn("_own", F.when(F.col("_free"), _surrogate(F.xxhash64(spread, F.lit("~")), facts.schema[key].dataType)).otherwise(F.col(key)))
+    out = met.join(cold, (F.col("_own") == F.col("_cold")) & ~F.col("_free"), "left")
     return out.select(*rows.columns, *[F.coalesce(F.col(f"_of_hot.{c}"), F.col(f"_of_cold.{c}")).alias(c) for c in more])
 
 
+def _surrogate(number: Column, kind: DataType) -> Column:
+    """A number as a value of a key's type."""
+    if isinstance(kind, ArrayType):
+        return F.array(_surrogate(number, kind.elementType))
+    return number.cast("string").cast("binary") if isinstance(kind, BinaryType) else number.cast(kind)
+
+
 def ship(spark: SparkSession) -> None:
     """Gives the executors' Python workers this package, once for each application, and no more than BATCH_ROWS rows at once."""
     if not 0 < int(spark.conf.get(_BATCH)) <= BATCH_ROWS:

@@ -3,13 +3,13 @@
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from coloc.llm.tables import staged
 
-#: A draw passes this many times the rows that are wanted, as counts of distinct keys are estimates.
-SPARE = 3.0
+#: A draw passes this many times the keys that are wanted, as counts of distinct keys are estimates; of keys that must also be
+#: elsewhere, so many times more.
+SPARE, ELSEWHERE = 1.5, 3.0
 _RANGE = 1 << 62
 
 
@@ -22,11 +22,11 @@ def smallest(rows: DataFrame, quota: int, of: DataFrame | None = None) -> DataFr
     """label, key: for each label the `quota` distinct keys (long) with the smallest hashes, of those that are also in `of`.
 
     How a key is repeated, and how rows lie in partitions, makes no difference. Distinct keys are counted first by estimate; only keys
-    whose hash lies under SPARE times a label's share are then ranked, so no task holds more than a few quotas of rows.
+    whose hash lies under SPARE times a label's share go to the driver to be put in order, a few quotas for each label.
     """
     spark = rows.sparkSession
     known = rows.where(F.col("label").isNotNull() & F.col("key").isNotNull())
-    spare = SPARE if of is None else 4 * SPARE
+    spare = SPARE if of is None else ELSEWHERE * SPARE
     counts = {r[0]: r[1] for r in known.groupBy("label").agg(F.approx_count_distinct("key")).collect()}
     if not counts:
         return spark.createDataFrame([], known.select("label", "key").schema)
@@ -39,8 +39,10 @@ def smallest(rows: DataFrame, quota: int, of: DataFrame | None = None) -> DataFr
         few = staged(few, "drawn-keys")
         there = staged(of.join(F.broadcast(few.select("key").distinct()), "key", "left_semi").distinct(), "present-keys")
         few = few.join(F.broadcast(there), "key", "left_semi")
-    rank = F.row_number().over(W.partitionBy("label").orderBy("h", "key"))
-    return staged(few.withColumn("_k", rank).where(F.col("_k") <= quota).select("label", "key"), "sample")
+    by_label: dict = {}
+    for r in sorted(few.collect(), key=lambda r: (r["h"], r["key"])):
+        by_label.setdefault(r["label"], []).append(r["key"])
+    return spark.createDataFrame([(label, key) for label, keys in by_label.items() for key in keys[:quota]], known.select("label", "key").schema)
 
 
 def per_class(rows: DataFrame, label: str, text: str, quota: int, pieces: int, size: int) -> list[tuple]:

@@ -238,9 +238,9 @@ class _Search:
             joined = components(_labelled(links, comp).select(F.col("ca").alias("a"), F.col("cb").alias("b")), own)
             return self.staged(comp.join(joined.select(F.col("node").alias("comp"), "root"), "comp", "left").select("node", F.coalesce("root", "comp").alias("comp")), "components")
 
-    def sided(self, members: DataFrame) -> DataFrame:
+    def sided(self, members: DataFrame, turn: int = 0) -> DataFrame:
         """members with main, their key's largest component, picks, a few nodes of it, and others, the number of rows outside it."""
-        order = F.xxhash64("key", "node")
+        order = F.xxhash64("key", "node", F.lit(turn))  # other picks at each turn
         per = members.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("c"), F.min_by("node", order).alias("one"), F.max_by("node", order).alias("two"))
         of_key = per.groupBy("key").agg(F.sum("c").alias("n"), F.max(F.struct("c", "comp", "one", "two")).alias("m"))
         facts = of_key.select("key", "n", F.col("m.comp").alias("main"), F.array_distinct(F.array("m.one", "m.two")).alias("picks"), (F.col("n") - F.col("m.c")).alias("others"))
@@ -315,8 +315,8 @@ def _grouped(job: _Search) -> DataFrame:
 
     # pairs from different components that share any key
     members = job.mixed(_keys(nodes.join(comp, "node"), errors=True), "mixed-members")
-    for _ in range(ROUNDS):
-        few = job.sided(members).where("comp <> main").select(F.explode("picks").alias("a"), F.col("node").alias("b")).distinct()
+    for turn in range(ROUNDS):
+        few = job.sided(members, turn).where("comp <> main").select(F.explode("picks").alias("a"), F.col("node").alias("b")).distinct()
         comp = job.merged(job.confirmed(_closest(job.measured(few, nodes), "b")), comp)
         moved = job.staged(members.drop("comp").join(comp, "node").select(*members.columns), "moved-members")
         members = job.mixed(moved, "mixed-members")

@@ -14,14 +14,6 @@ def queries() -> dict:
     return dict(QUERIES)
 
 
-def whole() -> dict:
-    """The whole jobs of the queries that queries() and oracles() have in a small form."""
-    from coloc.catalog.registry import WHOLE
-
-    _load()
-    return dict(WHOLE)
-
-
 def oracles() -> dict[str, str]:
     from coloc.catalog.registry import ORACLES
 

@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from coloc.catalog.registry import add, q4, r4, whole
-from coloc.catalog.twins import CIRCLE, R, pattern_ctes, rule_ctes, sql, survivors, tx_ctes
+from coloc.catalog.registry import add, q4, r4
+from coloc.catalog.twins import CIRCLE, D, R, pattern_ctes, rule_ctes, sql, survivors, tx_ctes
 from coloc.functions import angles, geometry
 from coloc.functions import decay as decays
 from coloc.functions.tests_of_chance import most_exceedances
@@ -131,8 +133,8 @@ add("buffer_stats", lambda s, d: measures.buffer_stats(sources_buffered(s, d)).s
 # ---- extended objects ----
 COARSE = grids.Grid(2.0, (0.0, 0.0, 200.0, 200.0))
 LINE_GRID = grids.Grid(4.0, (0.0, 0.0, 100.0, 100.0))
-add("line_buffer", lambda s, d: tx_show(transactions.extended(given.user_paths(s, d).where("cast(object_id as int) % 5 = 0"), LINE_GRID, 3.0, "line")), sql(TX_SQL, **{
-    "lines": "SELECT * FROM paths WHERE object_id::INTEGER % 5 = 0",
+add("line_buffer", lambda s, d: tx_show(transactions.extended(given.user_paths(s, d), LINE_GRID, 3.0, "line")), sql(TX_SQL, **{
+    "lines": "SELECT * FROM paths",
     "segs": "SELECT object_id, feature, ring[i] AS p, ring[least(i + 1, len(ring))] AS q FROM (SELECT *, unnest(generate_series(1, greatest(len(ring) - 1, 1))) AS i FROM lines)",
     "gp": "SELECT gi, gj, gi * 4.0 AS gx, gj * 4.0 AS gy FROM (SELECT unnest(generate_series(0, 25)) AS gi), (SELECT unnest(generate_series(0, 25)) AS gj)",
     "tt": "SELECT s.*, g.*, (q.x - p.x) AS dx, (q.y - p.y) AS dy FROM segs s, gp g",
@@ -140,7 +142,6 @@ add("line_buffer", lambda s, d: tx_show(transactions.extended(given.user_paths(s
     "dd": "SELECT object_id, feature, gi, gj, min(sqrt(power(gx - (p.x + t * dx), 2) + power(gy - (p.y + t * dy), 2))) AS d FROM t2 GROUP BY ALL HAVING d <= 3.0 + 1e-9",
     "tx": "SELECT gi, gj, feature, count(*)::INTEGER AS n_inst, max(cos(pi() * least(1.0, d / 3.0)) / 2.0 + 0.5)::DECIMAL(18,12) AS p FROM dd GROUP BY ALL",
 }))
-whole("line_buffer", lambda s, d: tx_show(transactions.extended(given.user_paths(s, d), LINE_GRID, 3.0, "line")))
 add("polygon_buffer", lambda s, d: tx_show(transactions.extended(given.nation_squares(s, d), COARSE, 5.0, "polygon")), sql(TX_SQL, **{
     "gp": "SELECT gi, gj, gi * 2.0 AS gx, gj * 2.0 AS gy FROM (SELECT unnest(generate_series(0, 100)) AS gi), (SELECT unnest(generate_series(0, 100)) AS gj)",
     "dd": "SELECT feature, gi, gj, sqrt(power(greatest(x0 - gx, gx - x1, 0.0), 2) + power(greatest(y0 - gy, gy - y1, 0.0), 2)) AS d FROM squares, gp WHERE d <= 5.0 + 1e-9",
@@ -227,11 +228,9 @@ add("tx_with_empty", lambda s, d: transactions.with_empty(transactions.build(sou
 add("tx_from_baskets", lambda s, d: transactions.from_table(given.baskets(s, d)).select("tx_id", "feature", "n_inst", r4("p")), sql(f"SELECT tx_id, item AS feature, count(*)::INTEGER AS n_inst, {q4('max(p)', 'p')} FROM baskets GROUP BY ALL"))
 WORDS = {
     "ww": "SELECT doc_id AS tx_id, unnest(list_distinct(list_filter(string_split_regex(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\\x20\\x09-\\x0D]+'), lambda w: w <> ''))) AS item FROM documents",
-    "wtop": "SELECT item FROM ww GROUP BY item ORDER BY count(*) DESC, item LIMIT 50",
-    "wsets": "SELECT tx_id, item AS feature, 1.0::DECIMAL(18,12) AS p FROM ww JOIN wtop USING (item)",
+    "wsets": "SELECT DISTINCT tx_id, item AS feature, 1.0::DECIMAL(18,12) AS p FROM ww",
 }
 add("tx_from_documents", lambda s, d: transactions.from_table(given.word_sets(s, d)).select("tx_id", "feature"), sql("SELECT tx_id, feature FROM wsets", **WORDS))
-whole("tx_from_documents", lambda s, d: transactions.from_table(given.word_sets(s, d, None)).select("tx_id", "feature"))
 add("tx_stats", lambda s, d: measures.tx_stats(transactions.build(sources_buffered(s, d), GRID)).select("n_transactions", r4("mean_features"), "max_features"), sql(f"SELECT count(*) AS n_transactions, {q4('avg(s)', 'mean_features')}, max(s) AS max_features FROM (SELECT count(*) AS s FROM tx GROUP BY gi, gj)", **EM, **tx_ctes("em_b", GRID)))
 
 
@@ -274,15 +273,14 @@ add("exp_conf_general", lambda s, d: prevalence.general_confidence(ev_wide(s, d)
 add("prevalence_baskets", lambda s, d: prevalence.supports(transactions.to_wide(transactions.from_table(given.baskets(s, d))), 2).select("key", "size", "sup", r4("exp_sup")), sql(f"SELECT key, size, sup, {q4('exp_sup')} FROM pats", tx="SELECT tx_id, item AS feature, max(p)::DECIMAL(18,12) AS p FROM baskets GROUP BY ALL", **pattern_ctes(d=2, on="tx_id")))
 
 
-def toxic_rules(s, d, most=50):
-    words = given.word_sets(s, d, most)
+def toxic_rules(s, d):
+    words = given.word_sets(s, d)
     toxic = given.table(s, d, "labels").where("toxic = 1").select(F.col("doc_id").alias("tx_id"), F.lit("TOXIC").alias("item"), F.lit(1.0).alias("p"))
     known = given.table(s, d, "labels").select(F.col("doc_id").alias("tx_id")).distinct()
     return prevalence.confidences(transactions.to_wide(transactions.from_table(words.join(known, "tx_id", "left_semi").unionByName(toxic.distinct()))), "TOXIC", 1)
 
 
 add("rules_documents_toxic", lambda s, d: toxic_rules(s, d).select("key", "sup", "sup_lhs", r4("conf")), sql(f"SELECT key, sup, sup_lhs, {q4('conf')} FROM rules", **WORDS, tx="SELECT * FROM wsets WHERE tx_id IN (SELECT doc_id FROM labels) UNION ALL SELECT DISTINCT doc_id, 'TOXIC', 1.0::DECIMAL(18,12) FROM labels WHERE toxic = 1", **rule_ctes(effect="TOXIC", d=1, on="tx_id")))
-whole("rules_documents_toxic", lambda s, d: toxic_rules(s, d, None).select("key", "sup", "sup_lhs", r4("conf")))
 add("prevalence_roles", lambda s, d: prevalence.supports(transactions.to_wide(transactions.from_table(given.role_sets(s, d))), 3).select("key", "sup"), sql("SELECT key, sup FROM pats", tx="SELECT DISTINCT conv_id AS tx_id, role AS feature, 1.0::DECIMAL(18,12) AS p FROM conversations", **pattern_ctes(d=3, on="tx_id")))
 add("prevalence_pages", lambda s, d: prevalence.supports(transactions.to_wide(transactions.from_table(given.page_sets(s, d))), 2).select("key", "sup"), sql("SELECT key, sup FROM pats", tx=" UNION ALL ".join(f"SELECT page_id AS tx_id, '{t}' AS feature, 1.0::DECIMAL(18,12) AS p FROM pages WHERE contains(html, '<{t}')" for t in ("nav", "script", "article", "table", "form", "style")), **pattern_ctes(d=2, on="tx_id")))
 
@@ -303,36 +301,29 @@ add("rand_population", lambda s, d: population(s, d).select("sim_id", "object_id
 add("rand_population_draw", lambda s, d: population(s, d, how="draw").where("urban").groupBy("sim_id").agg(F.count(F.lit(1)).alias("n")), sql("SELECT sim_id, count(*) AS n FROM cases, sims WHERE urban GROUP BY ALL"))
 _usim = lambda t, k: f"(('0x' || substr(md5('{t}' || sim_id || ':' || {k}), 1, 8))::BIGINT / 4294967296.0)"
 UNI = {"rand_uni": f"SELECT sim_id, feature, object_id, 100.0 * {_usim('ux', 'object_id')} AS x, 100.0 * {_usim('uy', 'object_id')} AS y FROM event_points, sims"}
-uniform_counts = lambda s, d, last=3: randomize.uniform(given.event_points(s, d), (0.0, 0.0, 100.0, 100.0), 1, last).groupBy("sim_id", "feature").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("x"), 4).alias("mean_x"), F.round(F.avg("y"), 4).alias("mean_y"))
-add("rand_uniform", uniform_counts, sql("SELECT sim_id, feature, count(*) AS n, round(avg(x), 4) AS mean_x, round(avg(y), 4) AS mean_y FROM rand_uni WHERE sim_id <= 3 GROUP BY ALL", **UNI))
-whole("rand_uniform", lambda s, d: uniform_counts(s, d, FULL.sims))
+uniform_counts = lambda s, d, last=R: randomize.uniform(given.event_points(s, d), (0.0, 0.0, 100.0, 100.0), 1, last).groupBy("sim_id", "feature").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("x"), 4).alias("mean_x"), F.round(F.avg("y"), 4).alias("mean_y"))
+add("rand_uniform", uniform_counts, sql("SELECT sim_id, feature, count(*) AS n, round(avg(x), 4) AS mean_x, round(avg(y), 4) AS mean_y FROM rand_uni GROUP BY ALL", **UNI))
 
 
 # ---- significance ----
-def randomiser(s: SparkSession, d: str, how: str = "both", linked: bool = True):
-    """Buffered objects of the simulations first to last."""
-    e = staged(given.emissions(s, d), "emissions")  # drawn from again in each block
-    c = staged(given.cases_linked(s, d) if linked else given.cases(s, d), "cases")
-
-    def drawn(first: int, last: int) -> DataFrame:
-        causes = randomize.permute_features(e, first, last) if how in ("both", "causes") else randomize.with_sims(e, first, last)
-        effects = randomize.by_population(c, given.zones(s, d), REGION, first, last) if how in ("both", "effects") else randomize.with_sims(c, first, last)
-        keep = ("sim_id", *KEEP)
-        return buffers.log_amount(causes).select(*keep).unionByName(buffers.fixed(effects, CASE_RADIUS).select(*keep))
+RULES = MinerConfig(effect=EFFECT, box=REGION, d=D, sims=R)
 
-    return drawn
 
+def near_cases(rows: DataFrame) -> DataFrame:
+    return buffers.fixed(rows, CASE_RADIUS)
 
-RULES = MinerConfig(effect=EFFECT, box=REGION, d=2, sims=R)
-#: The settings of the whole job; RULES and the twins are smaller.
-FULL = MinerConfig(effect=EFFECT, box=REGION, d=3, sims=99)
 
+def world(s: SparkSession, d: str, cfg: MinerConfig = RULES, linked: bool = True):
+    """(buffered objects, their randomiser), from emissions and cases that are written once."""
+    e = staged(given.emissions(s, d), "emissions")
+    c = staged(given.cases_linked(s, d, e) if linked else given.cases(s, d), "cases")
+    both = buffers.log_amount(e).select(*KEEP).unionByName(near_cases(c).select(*KEEP))
+    return both, miner.randomiser(e, c, given.zones(s, d), cfg, buffers.log_amount, near_cases, KEEP)
 
-def mine_rules(s, d, how="both", base=RULES, **kw):
-    from dataclasses import replace
 
-    cfg = replace(base, **kw)
-    return miner.significant(all_buffered(s, d), randomiser(s, d, how), cfg)
+def mine_rules(s, d, how="both", linked=True, choose=None, **kw):
+    cfg = replace(RULES, randomise=how, **kw)
+    return miner.significant(*world(s, d, cfg, linked), cfg, choose=choose)
 
 
 def sim_sql(how: str = "both", decay: str = "cosine") -> dict[str, str]:
@@ -341,12 +332,12 @@ def sim_sql(how: str = "both", decay: str = "cosine") -> dict[str, str]:
     cols = "sim_id, object_id, feature, x, y, r, a, b, cx, cy, ux, uy"
     return {
         "sim_em": LOG.format(causes), "sim_ca": CASES.format(effects), "sim_objs": f"SELECT {cols} FROM sim_em UNION ALL SELECT {cols} FROM sim_ca",
-        **tx_ctes("sim_objs", GRID, decay, by=("sim_id",), name="stx"), **rule_ctes("stx", by=("sim_id",), d=2, name="srules"),
+        **tx_ctes("sim_objs", GRID, decay, by=("sim_id",), name="stx"), **rule_ctes("stx", by=("sim_id",), d=D, name="srules"),
     }
 
 
 def mined_sql(how: str = "both", certain: bool = False, extra: str = "", most: int = MOST) -> dict[str, str]:
-    base = {**(ALLC if certain else ALLT), **rule_ctes(d=2), **sim_sql(how, "boolean" if certain else "cosine")}
+    base = {**(ALLC if certain else ALLT), **rule_ctes(d=D), **sim_sql(how, "boolean" if certain else "cosine")}
     return {**base, **survivors("rules", "srules", "conf" if certain else "exp_conf", "sup" if certain else "exp_sup", most, extra)}
 
 
@@ -355,47 +346,40 @@ _show_mined = lambda df: df.select("key", "size", F.col("exceed").cast("int").al
 add("mine_rules_um", lambda s, d: _show_mined(mine_rules(s, d)), sql(MINED, **mined_sql()))
 add("mine_rules_cm", lambda s, d: _show_mined(mine_rules(s, d, mode="certain")), sql(MINED, **mined_sql(certain=True)))
 add("mine_rules_nofilter", lambda s, d: _show_mined(mine_rules(s, d, early_stop=False)), sql(MINED, **mined_sql()))
-add("mine_rules_batched", lambda s, d: _show_mined(mine_rules(s, d, sim_batch=7)), sql(MINED, **mined_sql()))
+add("mine_rules_batched", lambda s, d: _show_mined(mine_rules(s, d, sim_batch=33)), sql(MINED, **mined_sql()))
 add("mine_rules_rand_causes", lambda s, d: _show_mined(mine_rules(s, d, "causes", early_stop=False)), sql(MINED, **mined_sql("causes")))
 add("mine_rules_rand_effects", lambda s, d: _show_mined(mine_rules(s, d, "effects", early_stop=False)), sql(MINED, **mined_sql("effects")))
 add("mine_rules_tiled", lambda s, d: _show_mined(mine_rules(s, d, early_stop=False, strategy="tiled")), sql(MINED, **mined_sql()))
 add("mine_rules_min_support", lambda s, d: _show_mined(mine_rules(s, d, early_stop=False, min_exp_sup=1.0)), sql(MINED, **mined_sql(extra="AND exp_sup >= 1")))
-for _name, _how, _kw in (
-    ("um", "both", {}), ("cm", "both", {"mode": "certain"}), ("nofilter", "both", {"early_stop": False}), ("batched", "both", {"sim_batch": 7}), ("rand_causes", "causes", {"early_stop": False}),
-    ("rand_effects", "effects", {"early_stop": False}), ("tiled", "both", {"early_stop": False, "strategy": "tiled"}), ("min_support", "both", {"early_stop": False, "min_exp_sup": 1.0}),
-):
-    whole(f"mine_rules_{_name}", lambda s, d, how=_how, kw=_kw: _show_mined(mine_rules(s, d, how, FULL, **kw)))
-add("filter_zero", lambda s, d: miner.observed(all_buffered(s, d), GRID, RULES).agg(F.count(F.lit(1)).alias("n_left")).crossJoin(candidates.rules_to(EFFECT, features(s, d), 2).agg(F.count(F.lit(1)).alias("n_candidates"))), sql("SELECT (SELECT count(*) FROM rules WHERE exp_sup > 0) AS n_left, (SELECT count(*) + count(*) * (count(*) - 1) // 2 FROM (SELECT DISTINCT feature FROM emissions)) AS n_candidates", **ALLT, **rule_ctes(d=2)))
-
+add("filter_zero", lambda s, d: miner.observed(all_buffered(s, d), GRID, RULES).agg(F.count(F.lit(1)).alias("n_left")).crossJoin(candidates.rules_to(EFFECT, features(s, d), D).agg(F.count(F.lit(1)).alias("n_candidates"))), sql("SELECT (SELECT count(*) FROM rules WHERE exp_sup > 0) AS n_left, (SELECT count(*) + count(*) * (count(*) - 1) // 2 + count(*) * (count(*) - 1) * (count(*) - 2) // 6 FROM (SELECT DISTINCT feature FROM emissions)) AS n_candidates", **ALLT, **rule_ctes(d=D)))
 
-def filter_trace(s, d, cfg=None):
-    from dataclasses import replace
 
-    _, trace = miner.in_blocks(all_buffered(s, d), randomiser(s, d), cfg or replace(RULES, sim_batch=5))
-    return s.createDataFrame([(t["last_sim"], t["candidates"]) for t in trace], "last_sim int, candidates long")
+def filter_trace(s, d):
+    """Candidates left after every simulation."""
+    _, trace = miner.in_blocks(*world(s, d), replace(RULES, sim_batch=TRACED))
+    return s.createDataFrame([(t["last_sim"], t["candidates"]) for t in trace if t["candidates"]], "last_sim int, candidates long")
 
 
-_TRACE = "SELECT last_sim::INTEGER AS last_sim, (SELECT count(*) FROM rules r WHERE exp_sup > 0 AND (SELECT count(*) FROM srules s WHERE s.key = r.key AND s.sim_id <= last_sim AND s.exp_conf >= r.exp_conf) <= {}) AS candidates FROM (VALUES (0), (5), (10), (15), (19)) AS t(last_sim)"
-_BASE = {**ALLT, **rule_ctes(d=2), **sim_sql()}
-add("filter_trace", filter_trace, sql(_TRACE.format(MOST), **_BASE))
-whole("filter_trace", lambda s, d: filter_trace(s, d, FULL))
+#: Simulations between two steps of the trace.
+TRACED = 9
+_BASE = {**ALLT, **rule_ctes(d=D), **sim_sql()}
+TRACE_SQL = f"SELECT last_sim::INTEGER AS last_sim, count(*) AS candidates FROM (SELECT unnest(generate_series(0, {R}, {TRACED})) AS last_sim), (SELECT r.key, list(s.sim_id) FILTER (s.exp_conf >= r.exp_conf) AS hits FROM rules r LEFT JOIN srules s ON s.key = r.key WHERE r.exp_sup > 0 GROUP BY r.key) WHERE len(list_filter(coalesce(hits, []), lambda h: h <= last_sim)) <= {MOST} GROUP BY last_sim"
+add("filter_trace", filter_trace, sql(TRACE_SQL, **_BASE))
 add("p_value_table", lambda s, d: s.range(R + 1).select(F.col("id").alias("exceed"), F.round((F.col("id") + 1) / (R + 1), 4).alias("p_value"), (F.col("id") <= MOST).alias("significant")), f"SELECT i AS exceed, round((i + 1) / {R + 1}.0::DOUBLE, 4) AS p_value, (i + 1) / {R + 1}.0::DOUBLE <= 0.05 AS significant FROM (SELECT unnest(generate_series(0, {R})) AS i)")
 add("p_error", lambda s, d: s.range(1, 6).select((F.col("id") * 20 - 1).alias("sims")).select("sims", F.round(significance.p_error(F.lit(0.05), F.col("sims")), 6).alias("error")), "SELECT i * 20 - 1 AS sims, round(sqrt(0.05 * 0.95 / (i * 20)), 6)::DOUBLE AS error FROM (SELECT unnest(generate_series(1, 5)) AS i)")
 
 
-def tested(s, d, cfg=RULES, most=1):
-    obs = prevalence.confidences(all_wide(s, d), EFFECT, most)
-    sims = miner.measured(randomiser(s, d)(1, cfg.sims), GRID, cfg)
-    return significance.decided(obs.where("exp_sup > 0"), significance.exceedances(obs, sims, "exp_conf"), cfg.sims, 0.05)
+def tested(s, d, cfg=RULES):
+    """Every candidate with its p-value."""
+    return miner.single_plan(*world(s, d), cfg)
 
 
-_TESTED = {**ALLT, **rule_ctes(d=1), **sim_sql(), **survivors("rules", "srules", "exp_conf", "exp_sup", R)}
+_TESTED = {**_BASE, **survivors("rules", "srules", "exp_conf", "exp_sup", R)}
 add("p_adjust", lambda s, d: significance.adjusted(tested(s, d)).select("key", r4("p_value"), r4("p_adjusted")), sql(f"SELECT key, {q4('p', 'p_value')}, {q4('least(1.0, min(p * n / k) OVER (ORDER BY p DESC, key DESC ROWS UNBOUNDED PRECEDING))', 'p_adjusted')} FROM (SELECT key, p, count(*) OVER () AS n, row_number() OVER (ORDER BY p, key) AS k FROM (SELECT key, (exceed + 1) / {R + 1}.0::DOUBLE AS p FROM tested))", **_TESTED))
-whole("p_adjust", lambda s, d: significance.adjusted(tested(s, d, FULL, FULL.d)).select("key", r4("p_value"), r4("p_adjusted")))
 
 
 def pattern_cfg(**kw):
-    return MinerConfig(objective="patterns", box=(0.0, 0.0, 100.0, 100.0), step=0.5, **{"d": 2, "sims": R} | kw)
+    return MinerConfig(objective="patterns", **{"box": (0.0, 0.0, 100.0, 100.0), "step": 0.5, "d": D, "sims": R} | kw)
 
 
 def mine_patterns(s, d, cfg=None, **kw):
@@ -407,51 +391,69 @@ def mine_patterns(s, d, cfg=None, **kw):
 def patterns_sql(certain: bool = False) -> dict[str, str]:
     decay = "boolean" if certain else "cosine"
     return {
-        **EV, **tx_ctes("ev_b", POINTS, decay), **pattern_ctes(d=2), "obs": "SELECT * FROM pats WHERE size >= 2", **UNI,
-        "uni_b": f"SELECT *, {CIRCLE} FROM (SELECT *, 1.0 AS r FROM rand_uni)", **tx_ctes("uni_b", POINTS, decay, by=("sim_id",), name="stx"), **pattern_ctes("stx", ("sim_id",), 2, "spats"),
+        **EV, **tx_ctes("ev_b", POINTS, decay), **pattern_ctes(d=D), "obs": "SELECT * FROM pats WHERE size >= 2", **UNI,
+        "uni_b": f"SELECT *, {CIRCLE} FROM (SELECT *, 1.0 AS r FROM rand_uni)", **tx_ctes("uni_b", POINTS, decay, by=("sim_id",), name="stx"), **pattern_ctes("stx", ("sim_id",), D, "spats"),
         **survivors("obs", "spats", "sup" if certain else "exp_sup", "sup", MOST),
     }
 
 
 add("mine_patterns_um", lambda s, d: _show_mined(mine_patterns(s, d, early_stop=False)), sql(MINED, **patterns_sql()))
 add("mine_patterns_cm", lambda s, d: _show_mined(mine_patterns(s, d, mode="certain", early_stop=False)), sql(MINED, **patterns_sql(True)))
-whole("mine_patterns_um", lambda s, d: _show_mined(mine_patterns(s, d, pattern_cfg(d=3, sims=99, early_stop=False))))
-whole("mine_patterns_cm", lambda s, d: _show_mined(mine_patterns(s, d, pattern_cfg(d=3, sims=99, mode="certain", early_stop=False))))
 
 # ---- baselines ----
 _rules = lambda s, d, certain=False, most=2: prevalence.confidences(all_wide(s, d, mode="certain" if certain else "uncertain"), EFFECT, most)
 for _short, _measure, _ctes in (("um", "exp_conf", ALLT), ("cm", "conf", ALLC)):
     add(f"baseline_mean_conf_{_short}", lambda s, d, m=_measure: baselines.mean_conf(_rules(s, d, m == "conf"), m).where("kept").select("key", r4("threshold"), r4(m, "measure")), sql(f"SELECT key, {q4('t', 'threshold')}, {q4(_measure, 'measure')} FROM rules, (SELECT avg({_measure}) AS t FROM rules WHERE {_measure} > 0) WHERE {_measure} >= t", **_ctes, **rule_ctes(d=2)))
-add("baseline_prune_counts", lambda s, d: baselines.mean_conf(_rules(s, d)).groupBy("kept").agg(F.count(F.lit(1)).alias("n")), sql("SELECT coalesce(exp_conf >= t, false) AS kept, count(*) AS n FROM rules, (SELECT avg(exp_conf) AS t FROM rules WHERE exp_conf > 0) GROUP BY ALL", **ALLT, **rule_ctes(d=2)))
 
 
-def then_test(s, d, cfg=RULES):
-    kept = baselines.mean_conf(_rules(s, d, most=cfg.d)).where("kept")
-    sims = miner.measured(randomiser(s, d)(1, cfg.sims), GRID, cfg)
-    return significance.decided(kept, significance.exceedances(kept, sims, "exp_conf"), cfg.sims, 0.05).where("significant")
+def prune_counts(s, d):
+    out = None
+    for mode, measure in (("uncertain", "exp_conf"), ("certain", "conf")):
+        one = baselines.mean_conf(_rules(s, d, mode == "certain", D), measure).groupBy("kept").agg(F.count(F.lit(1)).alias("n")).select(F.lit(mode).alias("mode"), "kept", "n")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+_PRUNED = "SELECT '{0}' AS mode, coalesce({1} >= t, false) AS kept, count(*) AS n FROM {2}, (SELECT avg({1}) AS t FROM {2} WHERE {1} > 0) GROUP BY ALL"
+add("baseline_prune_counts", prune_counts, sql(_PRUNED.format("uncertain", "exp_conf", "rules") + " UNION ALL " + _PRUNED.format("certain", "conf", "crules"), **ALLT, **rule_ctes(d=D), **tx_ctes("objs", GRID, "boolean", name="ctx"), **rule_ctes("ctx", d=D, name="crules")))
+
+
+def then_test(s, d, mode="uncertain"):
+    """The rules over the mean confidence that pass the test."""
+    measure = replace(RULES, mode=mode).measure
+    return mine_rules(s, d, mode=mode, choose=lambda rows: baselines.mean_conf(rows, measure).where("kept"))
 
 
 _KEPT = {"kept": "SELECT rules.* FROM rules, (SELECT avg(exp_conf) AS t FROM rules WHERE exp_conf > 0) WHERE exp_conf >= t"}
-add("baseline_then_test", lambda s, d: _show_mined(then_test(s, d)), sql(MINED, **_BASE, **_KEPT, **survivors("kept", "srules", "exp_conf", "exp_sup", MOST)))
-whole("baseline_then_test", lambda s, d: _show_mined(then_test(s, d, FULL)))
+_KEPT_CM = {"kept": "SELECT rules.* FROM rules, (SELECT avg(conf) AS t FROM rules WHERE conf > 0) WHERE conf >= t"}
+
+
+def then_test_both(s, d):
+    """key, region (1: uncertain, 2: certain, 3: both) of the rules over either mean confidence that pass its test."""
+    return measures.overlap({"um": then_test(s, d), "cm": then_test(s, d, "certain")}).select("key", "region")
 
 
-def coverage(s, d, cfg=RULES):
-    """How many of the method's rules the baseline followed by the test finds."""
-    full = mine_rules(s, d, base=cfg, early_stop=False).select("key")
-    base = then_test(s, d, cfg).select("key", F.lit(1).alias("b"))
-    return full.join(base, "key", "left").agg(F.count(F.lit(1)).alias("n_method"), F.count("b").alias("n_baseline"))
+def coverage(s, d):
+    """Of the rules that the method finds, uncertain or certain, how many the cuts followed by the tests find."""
+    full = mine_rules(s, d).select("key").union(mine_rules(s, d, mode="certain").select("key")).distinct()
+    base = then_test_both(s, d).select("key", F.lit(1).alias("b"))
+    return full.join(base, "key", "left").agg(F.count(F.lit(1)).alias("n_method"), F.count("b").alias("n_baseline"), (F.count(F.lit(1)) - F.count("b")).alias("n_missed"))
 
 
-add("baseline_coverage", coverage, sql("SELECT count(*) AS n_method, count(*) FILTER (exp_conf >= t) AS n_baseline FROM found, (SELECT avg(exp_conf) AS t FROM rules WHERE exp_conf > 0)", **mined_sql()))
-whole("baseline_coverage", lambda s, d: coverage(s, d, FULL))
 add("baseline_support_conf", lambda s, d: baselines.support_conf(_rules(s, d, True), 20, 0.2).select("key", "sup", r4("conf")), sql(f"SELECT key, sup, {q4('conf')} FROM rules WHERE sup >= 20 AND conf >= 0.2", **ALLC, **rule_ctes(d=2)))
 add("baseline_levelwise", lambda s, d: baselines.levelwise(transactions.build(sources_buffered(s, d), GRID, mode="certain"), 60, 3).select("key", "size", "sup"), sql("SELECT p.key, p.size, p.sup FROM pats p WHERE sup >= 60", **EM, **tx_ctes("em_b", GRID, "boolean"), **pattern_ctes(d=3)))
 PAIRS = {"np": "SELECT a.feature AS f1, b.feature AS f2, a.object_id AS o1, b.object_id AS o2 FROM {0} a JOIN {0} b ON a.feature < b.feature AND power(a.x - b.x, 2) + power(a.y - b.y, 2) <= 9.0", "nt": "SELECT feature, count(DISTINCT object_id) AS n FROM {0} GROUP BY ALL"}
 BOTH = {"both_o": "SELECT object_id, feature, x, y FROM emissions UNION ALL SELECT object_id, feature, x, y FROM cases_linked"}
 plain_objects = lambda s, d: given.emissions(s, d).select("object_id", "feature", "x", "y").unionByName(given.cases_linked(s, d).select("object_id", "feature", "x", "y"))
-_PI = "SELECT f1 || '+' || f2 AS key, round(least(count(DISTINCT o1) / any_value(a.n), count(DISTINCT o2) / any_value(b.n)), 4) AS pi FROM np JOIN nt a ON a.feature = f1 JOIN nt b ON b.feature = f2 GROUP BY f1, f2"
-add("baseline_participation", lambda s, d: baselines.participation(plain_objects(s, d), 3.0, 0.1).select("key", r4("pi")), sql(f"SELECT * FROM ({_PI}) WHERE pi >= 0.1", **BOTH, **{k: v.format("both_o") for k, v in PAIRS.items()}))
+NEAR = {
+    "np": "SELECT a.feature AS f1, b.feature AS f2, a.object_id AS o1, b.object_id AS o2 FROM both_o a JOIN both_o b ON a.feature < b.feature AND power(a.x - b.x, 2) + power(a.y - b.y, 2) <= 9.0",
+    "c3": "SELECT p.f1, p.f2, q.f2 AS f3, p.o1, p.o2, q.o2 AS o3 FROM np p JOIN np q ON q.o1 = p.o1 AND q.f1 = p.f1 AND q.f2 > p.f2 JOIN np r ON r.f1 = p.f2 AND r.o1 = p.o2 AND r.f2 = q.f2 AND r.o2 = q.o2",
+    "mem": "SELECT f1 || '+' || f2 AS key, 2 AS size, unnest([f1, f2]) AS feature, unnest([o1, o2]) AS o FROM np UNION ALL SELECT f1 || '+' || f2 || '+' || f3, 3, unnest([f1, f2, f3]), unnest([o1, o2, o3]) FROM c3",
+    "nt": "SELECT feature, count(DISTINCT object_id) AS t FROM both_o GROUP BY ALL",
+    "pis": "SELECT key, size, min(n / t) AS pi FROM (SELECT key, size, feature, count(DISTINCT o) AS n FROM mem GROUP BY ALL) JOIN nt USING (feature) GROUP BY ALL",
+}
+add("baseline_participation", lambda s, d: baselines.participation(plain_objects(s, d), 3.0, 0.1, 3).select("key", "size", r4("pi")), sql(f"SELECT key, size, {q4('pi')} FROM pis WHERE pi >= 0.1", **BOTH, **NEAR))
+add("baseline_cliques", lambda s, d: baselines.participation(plain_objects(s, d), 3.0, d=3).select("key", "size", r4("pi")), sql(f"SELECT key, size, {q4('pi')} FROM pis", **BOTH, **NEAR))
 
 
 def participation_test(s, d, n=R):
@@ -461,13 +463,12 @@ def participation_test(s, d, n=R):
     return significance.decided(obs, significance.exceedances(obs, baselines.participation(sims, 3.0), "pi"), n, 0.05).where("significant")
 
 
-add("baseline_participation_test", lambda s, d: participation_test(s, d).select("key", r4("pi"), "exceed"), sql("""SELECT o.key, o.pi, coalesce(n, 0)::INTEGER AS exceed FROM obs o LEFT JOIN (SELECT o.key, count(*) AS n FROM obs o JOIN sim_pi s ON s.key = o.key AND s.pi >= o.pi0 GROUP BY o.key) x ON x.key = o.key WHERE coalesce(n, 0) <= 0""", **BOTH, **{k: v.format("both_o") for k, v in PAIRS.items()},
+add("baseline_participation_test", lambda s, d: participation_test(s, d).select("key", r4("pi"), "exceed"), sql("""SELECT o.key, o.pi, coalesce(n, 0)::INTEGER AS exceed FROM obs o LEFT JOIN (SELECT o.key, count(*) AS n FROM obs o JOIN sim_pi s ON s.key = o.key AND s.pi >= o.pi0 GROUP BY o.key) x ON x.key = o.key WHERE coalesce(n, 0) <= 4""", **BOTH, **{k: v.format("both_o") for k, v in PAIRS.items()},
     obs="SELECT f1 || '+' || f2 AS key, least(count(DISTINCT o1) / any_value(a.n), count(DISTINCT o2) / any_value(b.n)) AS pi0, round(pi0, 4) AS pi FROM np JOIN nt a ON a.feature = f1 JOIN nt b ON b.feature = f2 GROUP BY f1, f2",
     sim_o="SELECT sim_id, object_id, feature, x, y FROM rand_causes UNION ALL SELECT sim_id, object_id, feature, x, y FROM rand_cases_linked",
     snp="SELECT sim_id, a.feature AS f1, b.feature AS f2, a.object_id AS o1, b.object_id AS o2 FROM sim_o a JOIN sim_o b USING (sim_id) WHERE a.feature < b.feature AND power(a.x - b.x, 2) + power(a.y - b.y, 2) <= 9.0",
     snt="SELECT sim_id, feature, count(DISTINCT object_id) AS n FROM sim_o GROUP BY ALL",
     sim_pi="SELECT p.sim_id, f1 || '+' || f2 AS key, least(count(DISTINCT o1) / any_value(a.n), count(DISTINCT o2) / any_value(b.n)) AS pi FROM snp p JOIN snt a ON a.feature = f1 AND a.sim_id = p.sim_id JOIN snt b ON b.feature = f2 AND b.sim_id = p.sim_id GROUP BY p.sim_id, f1, f2"))
-whole("baseline_participation_test", lambda s, d: participation_test(s, d, FULL.sims).select("key", r4("pi"), "exceed"))
 add("baseline_window_tx", lambda s, d: baselines.window_tx(plain_objects(s, d), 5.0).select("gi", "gj", "feature", "n_inst"), sql("SELECT floor(x / 5.0)::BIGINT AS gi, floor(y / 5.0)::BIGINT AS gj, feature, count(*)::INTEGER AS n_inst FROM both_o GROUP BY ALL", **BOTH))
 add("baseline_reference_tx", lambda s, d: baselines.reference_tx(plain_objects(s, d), EFFECT, 3.0), sql("SELECT tx_id, feature, count(*)::INTEGER AS n_inst FROM (SELECT c.object_id AS tx_id, e.feature FROM both_o c JOIN both_o e ON c.feature = 'CASE' AND e.feature <> 'CASE' AND power(c.x - e.x, 2) + power(c.y - e.y, 2) <= 9.0 UNION ALL SELECT object_id, 'CASE' FROM both_o WHERE feature = 'CASE') GROUP BY ALL", **BOTH))
 add("baseline_overlap", lambda s, d: baselines.overlap_threshold(transactions.build(sources_buffered(s, d), GRID, mode="certain"), 0.02).select("key", r4("cov")), sql("SELECT * FROM (SELECT a.feature || '+' || b.feature AS key, round(count(*) / (any_value(ca.n) + any_value(cb.n) - count(*)), 4) AS cov, count(*) / (any_value(ca.n) + any_value(cb.n) - count(*)) AS c0 FROM tx a JOIN tx b USING (gi, gj) JOIN cov ca ON ca.feature = a.feature JOIN cov cb ON cb.feature = b.feature WHERE a.feature < b.feature GROUP BY a.feature, b.feature) WHERE c0 >= 0.02".replace("SELECT * FROM", "SELECT key, cov FROM", 1), **EM, **tx_ctes("em_b", GRID, "boolean"), cov="SELECT feature, count(*) AS n FROM tx GROUP BY feature"))
@@ -477,11 +478,10 @@ add("ablate_wind", lambda s, d: prevalence.supports(transactions.to_wide(transac
 
 # ---- measures ----
 add("dataset_profile", lambda s, d: given.emissions(s, d).agg(F.count(F.lit(1)).alias("n_emissions"), F.countDistinct("feature").alias("n_chemicals"), F.countDistinct("site_id").alias("n_sites")).crossJoin(given.cases(s, d).agg(F.count(F.lit(1)).alias("n_cases"), F.sum(F.col("urban").cast("int")).alias("n_urban"))), sql("SELECT * FROM (SELECT count(*) AS n_emissions, count(DISTINCT feature) AS n_chemicals, count(DISTINCT site_id) AS n_sites FROM emissions), (SELECT count(*) AS n_cases, count(*) FILTER (urban) AS n_urban FROM cases)"))
-add("runtime_fit", lambda s, d: measures.fit_line(s.createDataFrame([(9, 56.1), (19, 59.4), (39, 67.2), (59, 74.9), (79, 82.0), (99, 89.7)], "r int, seconds double")).select(r4("slope"), r4("intercept"), r4("r2")), "SELECT round(regr_slope(y, x), 4) AS slope, round(regr_intercept(y, x), 4) AS intercept, round(regr_r2(y, x), 4) AS r2 FROM (VALUES (9, 56.1::DOUBLE), (19, 59.4), (39, 67.2), (59, 74.9), (79, 82.0), (99, 89.7)) AS t(x, y)")
 
 
-def um_vs_cm(s, d, cfg=RULES):
-    um, cm = mine_rules(s, d, base=cfg, early_stop=False), mine_rules(s, d, base=cfg, early_stop=False, mode="certain")
+def um_vs_cm(s, d):
+    um, cm = mine_rules(s, d), mine_rules(s, d, mode="certain")
     return measures.regions(measures.overlap({"um": um, "cm": cm})).select("region", "n", r4("p_mean"))
 
 
@@ -499,15 +499,22 @@ def um_cm_sql() -> dict[str, str]:
     return {**um, **_renamed(cm, "_cm", own)}
 
 
+def _cut_sql() -> dict[str, str]:
+    um = {**mined_sql(), **_KEPT, **{k: v for k, v in _renamed(survivors("kept", "srules", "exp_conf", "exp_sup", MOST), "_k", ("exceeding", "tested", "found")).items()}}
+    cm = {**mined_sql(certain=True), **_KEPT_CM, **_renamed(survivors("kept", "srules", "conf", "sup", MOST), "_k", ("exceeding", "tested", "found"))}
+    return {**um, **{k: v for k, v in _renamed(cm, "_cm", tuple(n for n in cm if n not in {"em_b", "ca_b", "objs", "sim_em", "sim_ca", "sim_objs"})).items() if k.endswith("_cm")}}
+
+
+_CUT = "(SELECT key, sum(bit)::INTEGER AS region FROM (SELECT key, 1 AS bit FROM found_k UNION ALL SELECT key, 2 FROM found_k_cm) GROUP BY key)"
+add("baseline_then_test", then_test_both, sql(f"SELECT key, region FROM {_CUT}", **_cut_sql()))
+add("baseline_coverage", coverage, sql(f"SELECT count(*) AS n_method, count(c.key) AS n_baseline, count(*) - count(c.key) AS n_missed FROM (SELECT key FROM found UNION SELECT key FROM found_cm) m LEFT JOIN {_CUT} c ON c.key = m.key", **_cut_sql()))
 add("um_vs_cm", um_vs_cm, sql(f"SELECT region::INTEGER AS region, count(*) AS n, {q4('avg(p)', 'p_mean')} FROM (SELECT key, sum(bit) AS region, avg((exceed + 1) / {R + 1}.0::DOUBLE) AS p FROM (SELECT key, 1 AS bit, exceed FROM found UNION ALL SELECT key, 2, exceed FROM found_cm) GROUP BY key) GROUP BY region", **um_cm_sql()))
-whole("um_vs_cm", lambda s, d: um_vs_cm(s, d, FULL))
-add("n_significant", lambda s, d: mine_rules(s, d, early_stop=False).groupBy("size").agg(F.count(F.lit(1)).alias("n")), sql("SELECT size, count(*) AS n FROM found GROUP BY size", **mined_sql()))
+add("n_significant", lambda s, d: mine_rules(s, d).groupBy("size").agg(F.count(F.lit(1)).alias("n")), sql("SELECT size, count(*) AS n FROM found GROUP BY size", **mined_sql()))
 
-whole("n_significant", lambda s, d: mine_rules(s, d, base=FULL, early_stop=False).groupBy("size").agg(F.count(F.lit(1)).alias("n")))
 
 
 # ---- generated sets ----
-def distance_study(s: SparkSession, reps: int = 2) -> DataFrame:
+def distance_study(s: SparkSession, reps: int = 100) -> DataFrame:
     pts = buffers.fixed(synthetic.distance_pairs(s, reps=reps), 1.0)
     grid = grids.Grid(0.1, (-3.0, -3.0, 103.0, 103.0))
     sup = prevalence.supports(transactions.to_wide(transactions.build(pts, grid)), 2).where("size = 2")
@@ -515,16 +522,15 @@ def distance_study(s: SparkSession, reps: int = 2) -> DataFrame:
 
 
 DIST = {
-    "ids": "SELECT i, i // 30 AS set_id, ((i // 30) % 10)::INTEGER AS range_id FROM (SELECT unnest(generate_series(0, 599)) AS i)",
+    "ids": "SELECT i, i // 30 AS set_id, ((i // 30) % 10)::INTEGER AS range_id FROM (SELECT unnest(generate_series(0, 29999)) AS i)",
     "ab": "SELECT *, 100.0 * (('0x' || substr(md5('px' || i), 1, 8))::BIGINT / 4294967296.0) AS x, 100.0 * (('0x' || substr(md5('py' || i), 1, 8))::BIGINT / 4294967296.0) AS y, 0.2 * (range_id + (('0x' || substr(md5('pr' || i), 1, 8))::BIGINT / 4294967296.0)) AS dr, 2 * pi() * (('0x' || substr(md5('pt' || i), 1, 8))::BIGINT / 4294967296.0) AS t FROM ids",
     "dp": f"SELECT *, {CIRCLE} FROM (SELECT set_id, 'f1' AS feature, x, y, 1.0 AS r FROM ab UNION ALL SELECT set_id, 'f2', x + dr * cos(t), y + dr * sin(t), 1.0 FROM ab)",
     **tx_ctes("dp", grids.Grid(0.1, (-3.0, -3.0, 103.0, 103.0)), by=("set_id",)), **pattern_ctes(by=("set_id",), d=2),
 }
 add("synth_distance", lambda s, d: distance_study(s).select("range_id", r4("mean_exp_sup", digits=2)), sql(f"SELECT (set_id % 10)::INTEGER AS range_id, {q4('avg(exp_sup::DOUBLE)', 'mean_exp_sup', 2)} FROM pats WHERE size = 2 GROUP BY ALL", **DIST))
-whole("synth_distance", lambda s, d: distance_study(s, 100).select("range_id", r4("mean_exp_sup", digits=2)))
 
 
-def planted_rules(s: SparkSession, sims: int = R, d: int = 2, step: float = 0.2) -> DataFrame:
+def planted_rules(s: SparkSession, sims: int = R, d: int = D, step: float = 0.1) -> DataFrame:
     pts = synthetic.planted(s)
     cfg = MinerConfig(effect="D", box=synthetic.BOX, step=step, d=d, sims=sims)
     draws = lambda first, last: buffers.fixed(randomize.uniform(pts, synthetic.BOX, first, last), 1.0)
@@ -533,8 +539,6 @@ def planted_rules(s: SparkSession, sims: int = R, d: int = 2, step: float = 0.2)
 
 add("synth_planted_mine", lambda s, d: planted_rules(s).select("key", "size", r4("exp_sup"), r4("exp_conf"), r4("p_value")))
 add("synth_truth", lambda s, d: measures.truth(planted_rules(s), list(synthetic.PLANTED), list(synthetic.NOISE)))
-whole("synth_planted_mine", lambda s, d: planted_rules(s, 99, 3, 0.1).select("key", "size", r4("exp_sup"), r4("exp_conf"), r4("p_value")))
-whole("synth_truth", lambda s, d: measures.truth(planted_rules(s, 99, 3, 0.1), list(synthetic.PLANTED), list(synthetic.NOISE)))
 
 
 def clique_vs_overlap(s, d):

@@ -10,8 +10,6 @@ from pyspark.sql import functions as F
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
-#: Name -> the whole job, where QUERIES has a small form of it beside a twin, for tests. These are registered and have no twin.
-WHOLE: dict[str, Query] = {}
 
 
 def add(name: str, query: Query, sql: str | None = None) -> None:
@@ -22,12 +20,6 @@ def add(name: str, query: Query, sql: str | None = None) -> None:
         ORACLES[name] = sql
 
 
-def whole(name: str, query: Query) -> None:
-    if name not in QUERIES or name in WHOLE:
-        raise ValueError(f"{name} has no small form, or is there twice")
-    WHOLE[name] = query
-
-
 def r4(column: str, name: str | None = None, digits: int = 4) -> Column:
     return (F.round(F.col(column).cast("double"), digits) + F.lit(0.0)).alias(name or column)  # no negative zero
 

@@ -7,7 +7,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from coloc.catalog.methods import ALLT, EM, GRID, _rules, sources_buffered
-from coloc.catalog.registry import add, q4, r4, whole
+from coloc.catalog.registry import add, q4, r4
 from coloc.catalog.twins import pattern_ctes, rule_ctes, sql, tx_ctes
 from coloc.functions import geometry, sqlfuncs
 from coloc.operators import baselines, buffers, grids, prevalence, transactions
@@ -129,14 +129,13 @@ def sql_rules(s, d):
 add("sql_rules", sql_rules, sql("SELECT object_id, round(cos(pi() * least(1.0, 2.0 / ln(amount))) / 2 + 0.5, 4) AS cosine, round(1 - least(1.0, 2.0 / ln(amount)), 4) AS linear, 0.75::DOUBLE AS steps, round((degrees(atan2(x - 100, y - 100)) + 360) % 360.0, 3) AS bearing, 0.05::DOUBLE AS p FROM emissions"))
 
 
-def table_functions(s, d, which="object_id % 10 = 0"):
+def table_functions(s, d):
     sqlfuncs.register(s)
-    given.event_points(s, d).where(which).createOrReplaceTempView("some_points")
+    given.event_points(s, d).createOrReplaceTempView("some_points")
     return s.sql("SELECT gi, gj, count(*) AS n FROM some_points, LATERAL grid_cells(x, y, 1D, 0.5D) GROUP BY gi, gj")
 
 
-add("udtf_grid_cells", table_functions, sql("SELECT gi, gj, count(*) AS n FROM (SELECT x, y, gi, unnest(generate_series(ceil((y - 1) / 0.5)::BIGINT, floor((y + 1) / 0.5)::BIGINT)) AS gj FROM (SELECT x, y, unnest(generate_series(ceil((x - 1) / 0.5)::BIGINT, floor((x + 1) / 0.5)::BIGINT)) AS gi FROM event_points WHERE object_id::INTEGER % 10 = 0)) WHERE power(gi * 0.5 - x, 2) + power(gj * 0.5 - y, 2) <= 1.0 GROUP BY ALL"))
-whole("udtf_grid_cells", lambda s, d: table_functions(s, d, "true"))
+add("udtf_grid_cells", table_functions, sql("SELECT gi, gj, count(*) AS n FROM (SELECT x, y, gi, unnest(generate_series(ceil((y - 1) / 0.5)::BIGINT, floor((y + 1) / 0.5)::BIGINT)) AS gj FROM (SELECT x, y, unnest(generate_series(ceil((x - 1) / 0.5)::BIGINT, floor((x + 1) / 0.5)::BIGINT)) AS gi FROM event_points)) WHERE power(gi * 0.5 - x, 2) + power(gj * 0.5 - y, 2) <= 1.0 GROUP BY ALL"))
 
 
 def itemsets_of(s, d):

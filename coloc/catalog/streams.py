@@ -15,7 +15,7 @@ from coloc.streaming import stateful, windows
 
 def _run(s: SparkSession, d: str, build, mode: str) -> DataFrame:
     name = f"stream_{uuid.uuid4().hex}"
-    return windows.drained(build(windows.points(windows.source(s, d))), mode, name, f"{shared_folder(s)}/{name}")
+    return windows.drained(build(windows.points(windows.source(s, d))), mode, f"{shared_folder(s)}/{name}")
 
 
 P = {"sp": "SELECT ts, event_id, user_id, event_type AS feature, round(value)::BIGINT AS gi, k::BIGINT AS gj, cos(pi() * abs(value - round(value))) / 2 + 0.5 AS p FROM ev WHERE value < 100"}
@@ -33,4 +33,4 @@ def static_join(s, d):
 add("stream_static", static_join, sql("SELECT feature, count(*) AS n, max(r) AS r FROM sp JOIN (VALUES ('click', 1.0::DOUBLE), ('view', 2.0), ('purchase', 3.0)) AS t(feature, r) USING (feature) GROUP BY feature", **P))
 add("stream_interval_pairs", lambda s, d: _run(s, d, lambda pts: windows.close_pairs(pts, "error", "purchase"), "append"), sql("SELECT a.event_id AS a, b.event_id AS b FROM sp a JOIN sp b USING (user_id) WHERE a.feature = 'error' AND b.feature = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 6 HOUR", **P))
 add("stream_dedup", lambda s, d: _run(s, d, windows.deduplicated, "append").groupBy("feature").agg(F.count(F.lit(1)).alias("n")), sql("SELECT feature, count(DISTINCT event_id) AS n FROM sp GROUP BY feature", **P))
-add("stream_running_supports", lambda s, d: _run(s, d, stateful.running_supports, "append").groupBy("key").agg(F.round(F.sum("delta"), 4).alias("exp_sup")).where("exp_sup > 0"), sql(f"SELECT * FROM (SELECT feature AS key, {q4('sum(p)', 'exp_sup')} FROM m GROUP BY feature UNION ALL SELECT a.feature || '+' || b.feature, {q4('sum(a.p * b.p)', 'exp_sup')} FROM m a JOIN m b USING (gi, gj) WHERE a.feature < b.feature GROUP BY ALL) WHERE exp_sup > 0", m="SELECT gi, gj, feature, max(p) AS p FROM sp GROUP BY ALL", **P))
+add("stream_running_supports", lambda s, d: _run(s, d, stateful.running_supports, "append").groupBy("key").agg(F.round(F.sum("delta"), 4).alias("exp_sup")).where("exp_sup > 0"), sql(f"SELECT * FROM (SELECT feature AS key, {q4('sum(p)', 'exp_sup')} FROM m GROUP BY feature UNION ALL SELECT a.feature || '+' || b.feature, {q4('sum(a.p * b.p)', 'exp_sup')} FROM m a JOIN m b USING (gi, gj) WHERE a.feature < b.feature GROUP BY ALL UNION ALL SELECT a.feature || '+' || b.feature || '+' || c.feature, {q4('sum(a.p * b.p * c.p)', 'exp_sup')} FROM m a JOIN m b USING (gi, gj) JOIN m c USING (gi, gj) WHERE a.feature < b.feature AND b.feature < c.feature GROUP BY ALL) WHERE exp_sup > 0", m="SELECT gi, gj, feature, max(p) AS p FROM sp GROUP BY ALL", **P))

@@ -7,7 +7,8 @@ import re
 from coloc.functions.draws import draw_sql
 from coloc.operators.grids import Grid
 
-R = 19
+#: Simulations and features of an antecedent or pattern, as the experiments have them.
+R, D = 99, 3
 
 
 def _u(tag: str, key: str) -> str:
@@ -58,7 +59,7 @@ CTES: dict[str, str] = {
 }
 
 
-def _rand_cases(source: str) -> dict[str, str]:
+def rand_cases(source: str) -> dict[str, str]:
     s = source
     return {
         f"{s}_urban": f"SELECT *, row_number() OVER (ORDER BY object_id) AS k FROM {s} WHERE urban",
@@ -72,7 +73,7 @@ def _rand_cases(source: str) -> dict[str, str]:
     }
 
 
-CTES |= _rand_cases("cases_linked") | _rand_cases("cases")
+CTES |= rand_cases("cases_linked") | rand_cases("cases")
 CIRCLE = "r AS a, r AS b, x AS cx, y AS cy, 1.0 AS ux, 0.0 AS uy"
 
 

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from coloc.operators import itemsets
+from coloc.sources.staging import staged
 
 
 def mean_conf(rules: DataFrame, measure: str = "exp_conf", mean_over: str = "occurring") -> DataFrame:
@@ -23,14 +24,14 @@ def levelwise(tx: DataFrame, min_sup: int, d: int = 3) -> DataFrame:
     """key, size, sup of sets grown from frequent sets only: a set with a rare subset is never looked at."""
     by = [c for c in ("tx_id", "gi", "gj") if c in tx.columns]
     one = tx.groupBy("feature").agg(F.count(F.lit(1)).alias("sup")).where(F.col("sup") >= min_sup)
-    level = tx.join(F.broadcast(one.select("feature")), "feature", "left_semi").select(*by, F.col("feature").alias("last"), F.col("feature").alias("key"))
+    level = tx.join(one.select("feature"), "feature", "left_semi").select(*by, F.col("feature").alias("last"), F.col("feature").alias("key"))
     single = level.select(*by, F.col("last").alias("next"))
     out = one.select(F.col("feature").alias("key"), F.lit(1).alias("size"), "sup")
     for size in range(2, d + 1):
         grown = level.join(single, by).where(F.col("last") < F.col("next")).select(*by, F.col("next").alias("last"), F.concat_ws(itemsets.SEP, "key", "next").alias("key"))
         frequent = grown.groupBy("key").agg(F.count(F.lit(1)).alias("sup")).where(F.col("sup") >= min_sup)
         out = out.unionByName(frequent.select("key", F.lit(size).alias("size"), "sup"))
-        level = grown.join(F.broadcast(frequent.select("key")), "key", "left_semi").select(*by, "last", "key")
+        level = grown.join(frequent.select("key"), "key", "left_semi").select(*by, "last", "key")
     return out
 
 
@@ -45,13 +46,34 @@ def neighbours(objects: DataFrame, dist: float) -> DataFrame:
     return pairs.where((F.col("f1") < F.col("f2")) & (F.pow(F.col("x1") - F.col("x2"), 2) + F.pow(F.col("y1") - F.col("y2"), 2) <= dist * dist)).select(*by, "f1", "o1", "f2", "o2")
 
 
-def participation(objects: DataFrame, dist: float, min_pi: float = 0.0) -> DataFrame:
-    """key, pi of feature pairs: the smaller share of a feature's objects that have a neighbour of the other."""
+def cliques(objects: DataFrame, dist: float, d: int = 3) -> DataFrame:
+    """features, members: sets of 2 to d objects of different features that are all within dist of each other, in the order of features.
+
+    A clique grows by an object that neighbours its first and, each in a join, all its other members.
+    """
+    by = [c for c in ("sim_id", "set_id") if c in objects.columns]
+    pairs = staged(neighbours(objects, dist), "neighbours")
+    level = pairs.select(*by, F.array("f1", "f2").alias("features"), F.array("o1", "o2").alias("members"))
+    out = level
+    for size in range(2, d):
+        last = level.select(*by, "features", "members", F.col("members")[0].alias("o1"), F.col("features")[0].alias("f1"))
+        grown = last.join(pairs, [*by, "f1", "o1"]).where(F.col("f2") > F.element_at("features", -1)).select(*by, "features", "members", "f2", "o2")
+        for k in range(1, size):
+            seen = pairs.select(*by, F.col("f1").alias("fk"), F.col("o1").alias("ok"), "f2", "o2")
+            grown = grown.withColumns({"fk": F.col("features")[k], "ok": F.col("members")[k]}).join(seen, [*by, "fk", "ok", "f2", "o2"], "left_semi").select(*by, "features", "members", "f2", "o2")
+        level = grown.select(*by, F.array_append("features", F.col("f2")).alias("features"), F.array_append("members", F.col("o2")).alias("members"))
+        out = out.unionByName(level)
+    return out
+
+
+def participation(objects: DataFrame, dist: float, min_pi: float = 0.0, d: int = 2) -> DataFrame:
+    """key, size, pi of sets of 2 to d features: the smallest share of a feature's objects that are in a clique of the set."""
     by = [c for c in ("sim_id", "set_id") if c in objects.columns]
-    total = objects.groupBy(*by, "feature").agg(F.countDistinct("object_id").alias("n"))
-    pairs = neighbours(objects, dist).groupBy(*by, "f1", "f2").agg(F.countDistinct("o1").alias("n1"), F.countDistinct("o2").alias("n2"))
-    one = pairs.join(total.select(*by, F.col("feature").alias("f1"), F.col("n").alias("t1")), [*by, "f1"]).join(total.select(*by, F.col("feature").alias("f2"), F.col("n").alias("t2")), [*by, "f2"])
-    return one.select(*by, F.concat_ws(itemsets.SEP, "f1", "f2").alias("key"), F.least(F.col("n1") / F.col("t1"), F.col("n2") / F.col("t2")).alias("pi")).where(F.col("pi") >= min_pi)
+    total = objects.groupBy(*by, "feature").agg(F.countDistinct("object_id").alias("t"))
+    each = cliques(objects, dist, d).select(*by, "features", F.explode(F.arrays_zip("features", "members")).alias("m"))
+    in_any = each.groupBy(*by, "features", F.col("m.features").alias("feature")).agg(F.countDistinct("m.members").alias("n"))
+    share = in_any.join(total, [*by, "feature"]).groupBy(*by, "features").agg(F.min(F.col("n") / F.col("t")).alias("pi"))
+    return share.select(*by, F.array_join("features", itemsets.SEP).alias("key"), F.size("features").alias("size"), "pi").where(F.col("pi") >= min_pi)
 
 
 def window_tx(objects: DataFrame, w: float) -> DataFrame:

@@ -43,10 +43,10 @@ def fixed(x0: float, y0: float, x1: float, y1: float, h: float, metric: str = "p
     return Grid(h, (x0, y0, x1, y1), metric=metric)
 
 
-def from_objects(objects: DataFrame, h: float) -> Grid:
+def from_objects(objects: DataFrame, h: float, metric: str = "planar") -> Grid:
     """The box of all objects' places: one row comes to the driver."""
     r = objects.agg(F.min("x"), F.min("y"), F.max("x"), F.max("y")).first()
-    return Grid(h, tuple(float(v) if v is not None else 0.0 for v in r))
+    return Grid(h, tuple(float(v) if v is not None else 0.0 for v in r), metric=metric)
 
 
 def shift(grid: Grid, dx: float, dy: float) -> Grid:

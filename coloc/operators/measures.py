@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
@@ -35,9 +35,9 @@ def low_support(rules: DataFrame, below: float = 1.0) -> DataFrame:
     return rules.agg(F.count(F.lit(1)).alias("n_rules"), F.coalesce(F.sum(F.when(F.col("exp_sup") < below, 1).otherwise(0)), F.lit(0)).alias("n_low"))
 
 
-def fit_line(runs: DataFrame, x: str = "r", y: str = "seconds") -> DataFrame:
-    """slope, intercept, r2 of run time against the number of simulations."""
-    return runs.agg(F.regr_slope(y, x).alias("slope"), F.regr_intercept(y, x).alias("intercept"), F.regr_r2(y, x).alias("r2"))
+def line(x: str = "r", y: str = "seconds") -> list[Column]:
+    """Aggregates slope, intercept, r2 of y against x."""
+    return [F.regr_slope(y, x).alias("slope"), F.regr_intercept(y, x).alias("intercept"), F.regr_r2(y, x).alias("r2")]
 
 
 def truth(rules: DataFrame, planted: list[str], noise: list[str]) -> DataFrame:

@@ -1,4 +1,4 @@
-"""Prevalence measures, each one partial and one final aggregation."""
+"""Prevalence measures, each one partial and one final aggregation of whole numbers, so no sum depends on the order of rows."""
 
 from __future__ import annotations
 
@@ -8,36 +8,37 @@ from pyspark.sql import functions as F
 from coloc.operators import itemsets
 
 
-def supports(wide: DataFrame, d: int = 3) -> DataFrame:
-    """key, size, sup (count), exp_sup (sum of products)."""
-    rows = itemsets.expand(wide, d)
+def supports(wide: DataFrame, d: int = 3, bits: int | None = None, live: DataFrame | None = None) -> DataFrame:
+    """key, size, sup (count), exp_sup (sum of products); items too if they are names."""
+    rows = itemsets.expand(wide, d, bits, live)
     by = [c for c in ("sim_id", "set_id") if c in wide.columns]
-    return rows.groupBy(*by, "key", "size").agg(F.count(F.lit(1)).alias("sup"), F.sum("p").alias("exp_sup"))
+    high, low = itemsets.total(F.col("p"))
+    out = rows.groupBy(*by, "key", "size").agg(F.count(F.lit(1)).alias("sup"), high.alias("_h"), low.alias("_l"))
+    out = out.withColumn("exp_sup", itemsets.joined(F.col("_h"), F.col("_l"))).drop("_h", "_l")
+    return out if itemsets.coded(wide) else itemsets.named(out)
 
 
-def confidences(wide: DataFrame, effect: str, d: int = 3) -> DataFrame:
-    """key (antecedent), size, sup, sup_lhs, exp_sup, exp_sup_lhs, conf, exp_conf of rules to the effect.
+def confidences(wide: DataFrame, effect: str | int, d: int = 3, bits: int | None = None, live: DataFrame | None = None) -> DataFrame:
+    """key (antecedent), size, sup, sup_lhs, exp_sup, exp_sup_lhs, conf, exp_conf of rules to the effect; items too if they are names.
 
     A rule whose antecedent has no support has no confidence (null).
     """
-    rows = itemsets.expand_rules(wide, effect, d)
-    return finish(rows, [c for c in ("sim_id", "set_id") if c in wide.columns])
-
-
-def finish(rows: DataFrame, by: list[str]) -> DataFrame:
+    rows = itemsets.expand_rules(wide, effect, d, bits, live)
+    by = [c for c in ("sim_id", "set_id") if c in wide.columns]
+    both, lhs = itemsets.total(F.col("p_both")), itemsets.total(F.col("p_lhs"))
     out = rows.groupBy(*by, "key", "size").agg(
-        F.sum(F.col("has").cast("long")).alias("sup"),
-        F.count(F.lit(1)).alias("sup_lhs"),
-        F.sum("p_both").alias("exp_sup"),
-        F.sum("p_lhs").alias("exp_sup_lhs"),
+        F.sum(F.col("has").cast("long")).alias("sup"), F.count(F.lit(1)).alias("sup_lhs"), both[0].alias("_bh"), both[1].alias("_bl"), lhs[0].alias("_lh"), lhs[1].alias("_ll")
     )
+    out = out.withColumns({"exp_sup": itemsets.joined(F.col("_bh"), F.col("_bl")), "exp_sup_lhs": itemsets.joined(F.col("_lh"), F.col("_ll"))}).drop("_bh", "_bl", "_lh", "_ll")
     ratio = lambda a, b: F.when(F.col(b) > 0, F.col(a).cast("double") / F.col(b).cast("double"))
-    return out.withColumns({"conf": ratio("sup", "sup_lhs"), "exp_conf": ratio("exp_sup", "exp_sup_lhs")})
+    out = out.withColumns({"conf": ratio("sup", "sup_lhs"), "exp_conf": ratio("exp_sup", "exp_sup_lhs")})
+    return out if itemsets.coded(wide) else itemsets.named(out)
 
 
 def general_confidence(tx: DataFrame, rules: DataFrame) -> DataFrame:
-    """Rules with any two disjoint sides (lhs_key, rhs_key, both_key) from pattern supports."""
-    sup = supports(tx, 8).select("key", "exp_sup")
-    both = rules.join(sup.select(F.col("key").alias("both_key"), F.col("exp_sup").alias("exp_both")), "both_key")
-    out = both.join(sup.select(F.col("key").alias("lhs_key"), F.col("exp_sup").alias("exp_lhs")), "lhs_key")
-    return out.withColumn("exp_conf", F.when(F.col("exp_lhs") > 0, F.col("exp_both").cast("double") / F.col("exp_lhs").cast("double")))
+    """Rules with any two disjoint sides (lhs, rhs: arrays of names in order) from pattern supports."""
+    sup = supports(tx, 8).select("items", "exp_sup")
+    rows = rules.withColumn("_both", F.array_sort(F.concat("lhs", "rhs")))
+    both = rows.join(sup.select(F.col("items").alias("_both"), F.col("exp_sup").alias("exp_both")), "_both")
+    out = both.join(sup.select(F.col("items").alias("lhs"), F.col("exp_sup").alias("exp_lhs")), "lhs").drop("_both")
+    return out.withColumn("exp_conf", F.when(F.col("exp_lhs") > 0, F.col("exp_both") / F.col("exp_lhs")))

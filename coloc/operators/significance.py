@@ -23,14 +23,19 @@ def decided(observed: DataFrame, exceed: DataFrame, sims: int, alpha: float, str
 
 
 def adjusted(rows: DataFrame, method: str = "bh") -> DataFrame:
-    """With p_adjusted over all rows: bonferroni or the step-up false discovery rate."""
-    n = F.count(F.lit(1)).over(W.partitionBy())
+    """With p_adjusted over all rows: bonferroni or the step-up false discovery rate.
+
+    Rows of equal p have equal adjusted p, and a p is one of as many values as there are simulations, so only those are put in order.
+    """
+    each = rows.groupBy("p_value").agg(F.count(F.lit(1)).alias("_n"))
+    n = F.sum("_n").over(W.partitionBy())
     if method == "bonferroni":
-        return rows.withColumn("p_adjusted", F.least(F.lit(1.0), F.col("p_value") * n))
-    rank = F.row_number().over(W.orderBy("p_value", "key"))
-    rows = rows.withColumn("_q", F.col("p_value") * n / rank)
-    later = W.orderBy(F.desc("p_value"), F.desc("key")).rowsBetween(W.unboundedPreceding, 0)
-    return rows.withColumn("p_adjusted", F.least(F.lit(1.0), F.min("_q").over(later))).drop("_q")
+        q = F.col("p_value") * n
+    else:
+        up, later = W.orderBy("p_value").rowsBetween(W.unboundedPreceding, 0), W.orderBy(F.desc("p_value")).rowsBetween(W.unboundedPreceding, 0)
+        each = each.withColumn("_q", F.col("p_value") * n / F.sum("_n").over(up))
+        q = F.min("_q").over(later)
+    return rows.join(each.select("p_value", F.least(F.lit(1.0), q).alias("p_adjusted")), "p_value")
 
 
 def p_error(p: Column, sims: Column) -> Column:

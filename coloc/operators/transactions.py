@@ -6,13 +6,15 @@ strategy tiled each object is shuffled once per tile it touches, and all later g
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from coloc.functions import decay as decays
 from coloc.functions import geometry
 from coloc.functions.draws import PROBABILITY, exact
-from coloc.operators.grids import Grid, points
+from coloc.operators.grids import KM_PER_DEGREE, Grid, points
 
 BUFFER = ("a", "b", "cx", "cy", "ux", "uy")
 TILE = 64
@@ -44,7 +46,7 @@ def probability(rows: DataFrame, grid: Grid, decay: decays.Decay, dmax: str = "r
     """Rows (object, gi, gj) in the buffer, with p > 0 or a certain presence."""
     gx, gy = grid.x(F.col("gi")), grid.y(F.col("gj"))
     b, x, y = _buffer(), F.col("x"), F.col("y")
-    d = F.hypot(gx - x, gy - y)
+    d = F.sqrt((gx - x) * (gx - x) + (gy - y) * (gy - y))
     most = {
         "ray": F.coalesce(geometry.ray(gx, gy, x, y, b), F.lit(1.0)),
         "major": F.col("a") + F.hypot(F.col("cx") - x, F.col("cy") - y),
@@ -58,6 +60,28 @@ def probability(rows: DataFrame, grid: Grid, decay: decays.Decay, dmax: str = "r
     return near.withColumn("p", F.greatest(F.lit(0.0), F.least(F.lit(1.0), decay(F.col("d"), F.col("dm")))))
 
 
+def _on_globe(rows: DataFrame, grid: Grid, decay: decays.Decay) -> DataFrame:
+    """As probability() for circles of r km around degrees x, y, on a grid whose rows are one step apart and have steps of their own in
+    longitude. The distance is the great circle's."""
+    x0, y0, x1, y1 = grid.box
+    high = int((y1 - y0) * KM_PER_DEGREE / grid.step)
+    lat = F.col("r") / KM_PER_DEGREE
+    up = grid.step / KM_PER_DEGREE
+    rows = rows.where((F.col("a") == F.col("b")) & (F.col("cx") == F.col("x"))).withColumns({"j0": F.greatest(F.ceil((F.col("y") - lat - y0) / up - 1e-9), F.lit(0)), "j1": F.least(F.floor((F.col("y") + lat - y0) / up + 1e-9), F.lit(high))})
+    rows = rows.where("j0 <= j1").withColumn("gj", F.explode(F.sequence("j0", "j1")))
+    gy = y0 + F.col("gj") * up
+    side = grid.step / (KM_PER_DEGREE * F.cos(F.radians(gy)))
+    # a circle is widest, in degrees, at its latitude nearest to a pole
+    wide = lat / F.cos(F.radians(F.least(F.lit(89.0), F.abs(F.col("y")) + lat)))
+    rows = rows.withColumns({"side": side, "i0": F.greatest(F.ceil((F.col("x") - wide - x0) / side - 1e-9), F.lit(0)), "i1": F.least(F.floor((F.col("x") + wide - x0) / side + 1e-9), F.floor((x1 - x0) / side))})
+    rows = rows.where("i0 <= i1").withColumn("gi", F.explode(F.sequence("i0", "i1")))
+    gx = x0 + F.col("gi") * F.col("side")
+    h = F.pow(F.sin(F.radians(gy - F.col("y")) / 2), 2) + F.cos(F.radians(gy)) * F.cos(F.radians("y")) * F.pow(F.sin(F.radians(gx - F.col("x")) / 2), 2)
+    d = 2 * (KM_PER_DEGREE * 180 / math.pi) * F.asin(F.least(F.lit(1.0), F.sqrt(h)))
+    near = rows.withColumn("d", d).where(F.col("d") <= F.col("r") + 1e-9)
+    return near.withColumn("p", F.greatest(F.lit(0.0), F.least(F.lit(1.0), decay(F.col("d"), F.col("r")))))
+
+
 def _keys(rows: DataFrame) -> list[str]:
     return (["sim_id"] if "sim_id" in rows.columns else []) + (["set_id"] if "set_id" in rows.columns else [])
 
@@ -70,10 +94,10 @@ def merge(rows: DataFrame, combine: str = "max", extra: tuple[str, ...] = ()) ->
 
 def build(buffered: DataFrame, grid: Grid, decay: decays.Decay | None = None, mode: str = "uncertain", strategy: str = "cells", dmax: str = "ray", combine: str = "max", tile: int = TILE) -> DataFrame:
     """gi, gj, feature, n_inst, p (and sim_id, set_id if the objects have them) of all points with a feature."""
-    if grid.metric != "planar":
-        raise ValueError(f"transactions need a planar grid, not a {grid.metric} one")
     fn = decays.boolean() if mode == "certain" else (decay or decays.cosine())
     keep = [c for c in ("sim_id", "set_id", "feature", "x", "y", "r", "r0", *BUFFER) if c in buffered.columns]
+    if grid.metric == "geodesic":
+        return merge(_on_globe(buffered.select(*keep), grid, fn), combine)
     rows = _indices(buffered.select(*keep), grid)
     if mode == "certain":
         dmax = "radius"
@@ -128,10 +152,13 @@ def point_keys(tx: DataFrame) -> list[str]:
     return [c for c in ("sim_id", "set_id", "tx_id", "ti", "tj", "gi", "gj") if c in tx.columns]
 
 
-def to_wide(tx: DataFrame) -> DataFrame:
-    """One row per point with items, an array of (f, p) sorted by f; at most one entry per feature."""
+def to_wide(tx: DataFrame, effect: str | int | None = None) -> DataFrame:
+    """One row per point with items, an array of (f, p) sorted by f; at most one entry per feature. With an effect its p is apart in pe, null where it is not."""
     item = F.struct(F.col("feature").alias("f"), F.col("p").cast("double").alias("p"))
-    return tx.groupBy(*point_keys(tx)).agg(F.array_sort(F.collect_list(item)).alias("items"))
+    if effect is None:
+        return tx.groupBy(*point_keys(tx)).agg(F.sort_array(F.collect_list(item)).alias("items"))
+    own = F.col("feature") == F.lit(effect)
+    return tx.groupBy(*point_keys(tx)).agg(F.sort_array(F.collect_list(F.when(~own, item))).alias("items"), F.max(F.when(own, F.col("p").cast("double"))).alias("pe"))
 
 
 def as_map(wide: DataFrame) -> DataFrame:

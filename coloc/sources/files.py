@@ -40,6 +40,12 @@ def partitioned(df: DataFrame, *by: str) -> DataFrame:
     return df.sparkSession.read.parquet(path).withColumns({c: F.col(c).cast(df.schema[c].dataType) for c in by})
 
 
-def append_results(rules: DataFrame, path: str, run_id: str) -> None:
-    """The rules table, appended under a run's name."""
-    rules.withColumn("run_id", F.lit(run_id)).write.mode("append").partitionBy("run_id").parquet(path)
+def save_results(rules: DataFrame, path: str, run_id: str) -> None:
+    """The rules table under a run's name: a run that is repeated replaces its own rows and no others."""
+    named = rules.drop("run_id").withColumn("run_id", F.lit(run_id))
+    named.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("run_id").parquet(path)
+
+
+def results(spark: SparkSession, path: str) -> DataFrame:
+    rows = spark.read.parquet(path)
+    return rows.withColumn("run_id", F.col("run_id").cast("string"))

@@ -63,9 +63,9 @@ def cases(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select(key.cast("string").alias("object_id"), F.lit(EFFECT).alias("feature"), F.lit("effect").alias("role"), F.col("c_nationkey").alias("nation"), urban.alias("urban"), at(x0, "cx").alias("x"), at(y0, "cy").alias("y"))
 
 
-def cases_linked(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Cases, of which those whose main supplier emits the most common brand lie near that supplier."""
-    sites = emissions(spark, sf_dir)
+def cases_linked(spark: SparkSession, sf_dir: str, sites: DataFrame | None = None) -> DataFrame:
+    """Cases, of which those whose main supplier emits the most common brand lie near that supplier. sites: emissions(), if they are there already."""
+    sites = emissions(spark, sf_dir) if sites is None else sites
     target = sites.groupBy("feature").agg(F.countDistinct("site_id").alias("n")).orderBy(F.desc("n"), "feature").limit(1).select("feature")
     at = sites.join(F.broadcast(target), "feature").select("site_id", F.col("x").alias("sx"), F.col("y").alias("sy"))
     line = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_suppkey", "l_quantity")
@@ -134,14 +134,10 @@ def baskets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line.join(part, "l_partkey").select(F.col("l_orderkey").alias("tx_id"), "item", (F.col("l_quantity") / 50.0).alias("p"))
 
 
-def word_sets(spark: SparkSession, sf_dir: str, most: int | None = 50) -> DataFrame:
-    """tx_id, item, p = 1: of each document those of the most frequent words that it has, or all of its words."""
+def word_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """tx_id, item, p = 1: the distinct words of each document."""
     word = F.explode(F.array_distinct(F.filter(F.split(F.translate("text", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), r"[\x20\x09-\x0D]+"), lambda w: w != "")))
-    rows = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("tx_id"), word.alias("item"))
-    if most is None:
-        return rows.select("tx_id", "item", F.lit(1.0).alias("p"))
-    top = rows.groupBy("item").count().orderBy(F.desc("count"), "item").limit(most).select("item")
-    return rows.join(F.broadcast(top), "item").select("tx_id", "item", F.lit(1.0).alias("p"))
+    return table(spark, sf_dir, "documents").select(F.col("doc_id").alias("tx_id"), word.alias("item"), F.lit(1.0).alias("p"))
 
 
 def role_sets(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -20,9 +20,24 @@ def shared_folder(spark: SparkSession) -> str:
     return base.rstrip("/")
 
 
-def staged(df: DataFrame, name: str = "stage") -> DataFrame:
-    """Cuts the lineage: df written as Parquet in the shared folder and read back."""
+def _folder(spark: SparkSession, path: str) -> tuple:
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()), at
+
+
+def dropped(spark: SparkSession, path: str) -> None:
+    fs, at = _folder(spark, path)
+    fs.delete(at, True)
+
+
+def staged(df: DataFrame, name: str = "stage", paths: list[str] | None = None) -> DataFrame:
+    """Cuts the lineage: df written as Parquet in the shared folder and read back. The folder goes when the application ends; its
+    path is added to `paths` for whoever drops it sooner."""
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    fs, at = _folder(spark, path)
+    fs.deleteOnExit(at)
+    if paths is not None:
+        paths.append(path)
     return spark.read.schema(df.schema).parquet(path)

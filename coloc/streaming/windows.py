@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from coloc.sources.files import save_results
+
 EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 
 
@@ -51,8 +55,35 @@ def deduplicated(pts: DataFrame) -> DataFrame:
     return pts.dropDuplicatesWithinWatermark(["event_id"])
 
 
-def drained(stream: DataFrame, mode: str, name: str, checkpoint: str) -> DataFrame:
-    """All that the source has now, through the stream into a table in memory: for tests and small studies."""
-    run = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
-    run.awaitTermination()
-    return stream.sparkSession.table(name)
+def drained(stream: DataFrame, mode: str, checkpoint: str) -> DataFrame:
+    """All that the source has now, through the stream into a table beside the checkpoint: each batch its own folder, so a repeated one
+    replaces itself; in mode complete the last one only."""
+    spark, path = stream.sparkSession, f"{checkpoint}-rows"
+
+    def put(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/batch={0 if mode == 'complete' else number}")
+
+    spark.createDataFrame([], stream.schema).write.mode("overwrite").parquet(f"{path}/batch=0")
+    stream.writeStream.foreachBatch(put).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(f"{_ddl(stream)}, batch int").parquet(path).drop("batch")
+
+
+def late_rows(run) -> int:
+    """Rows that a stream's query has dropped behind its watermark so far."""
+    return sum(op["numRowsDroppedByWatermark"] for p in run.recentProgress for op in p["stateOperators"])
+
+
+def retested(objects: DataFrame, mine: Callable[[DataFrame], DataFrame], folder: str, results: str, checkpoint: str):
+    """Query that adds each batch's objects to a table in `folder` and mines all of them again; a batch that is repeated replaces itself, in
+    the objects and in the results, which are kept by batch."""
+
+    def again(batch: DataFrame, number: int) -> None:
+        batch.withColumn("batch", F.lit(number)).write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("batch").parquet(folder)
+        held = batch.sparkSession.read.schema(f"{_ddl(objects)}, batch int").parquet(folder)
+        save_results(mine(held.where(F.col("batch") <= number).drop("batch")), results, str(number))
+
+    return objects.writeStream.foreachBatch(again).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+
+def _ddl(df: DataFrame) -> str:
+    return ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema)

@@ -11,7 +11,7 @@ from coloc import catalog
 from tests.conftest import DATA
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SOME = ["emissions", "buffer_ellipse", "tx_uncertain_long", "exp_sup_patterns", "exp_conf_rules", "rand_population", "mine_rules_nofilter", "baseline_participation", "wind_idw", "polygon_buffer", "support_cube", "stream_session"]
+SOME = ["emissions", "buffer_ellipse", "tx_uncertain_long", "exp_sup_patterns", "exp_conf_rules", "rand_population", "mine_rules_um", "baseline_participation", "candidates_given", "line_buffer", "synth_source", "stream_running_supports", "wind_idw", "polygon_buffer", "support_cube", "stream_session"]
 
 
 @pytest.fixture(scope="module")

@@ -259,7 +259,7 @@ add("candidates_rules", lambda s, d: candidates.rules_to(EFFECT, features(s, d),
 add("candidates_rules_all", lambda s, d: candidates.rules_all(given.event_points(s, d).select("feature").distinct(), 2, 1).select("lhs_key", "rhs_key", "both_key"), sql("SELECT lhs_key, rhs_key, (SELECT string_agg(x, '+' ORDER BY x) FROM (SELECT unnest(list_append(l, rhs_key)) AS x)) AS both_key FROM (SELECT feature AS lhs_key, [feature] AS l FROM f UNION ALL SELECT a.feature || '+' || b.feature, [a.feature, b.feature] FROM f a, f b WHERE a.feature < b.feature), (SELECT feature AS rhs_key FROM f) WHERE NOT list_contains(l, rhs_key)", f="SELECT DISTINCT feature FROM event_points"))
 ev_wide = lambda s, d: transactions.to_wide(transactions.build(events_buffered(s, d), POINTS))
 EVT = {**EV, **tx_ctes("ev_b", POINTS)}
-add("itemsets_occurring", lambda s, d: itemsets.occurring(transactions.to_wide(transactions.build(sources_buffered(s, d), GRID)), 2), sql("SELECT key, size, sup AS n FROM pats", **EM, **tx_ctes("em_b", GRID), **pattern_ctes(d=2)))
+add("itemsets_occurring", lambda s, d: itemsets.occurring(transactions.to_wide(transactions.build(sources_buffered(s, d), GRID)), 2).drop("items"), sql("SELECT key, size, sup AS n FROM pats", **EM, **tx_ctes("em_b", GRID), **pattern_ctes(d=2)))
 add("exp_sup_patterns", lambda s, d: prevalence.supports(ev_wide(s, d), 3).select("key", "size", "sup", r4("exp_sup")), sql(f"SELECT key, size, sup, {q4('exp_sup')} FROM pats", **EVT, **pattern_ctes(d=3)))
 add("sup_patterns", lambda s, d: prevalence.supports(transactions.to_wide(transactions.build(events_buffered(s, d), POINTS, mode="certain")), 3).select("key", "size", "sup"), sql("SELECT key, size, sup FROM pats", **EV, **tx_ctes("ev_b", POINTS, "boolean"), **pattern_ctes(d=3)))
 all_wide = lambda s, d, **kw: transactions.to_wide(transactions.build(all_buffered(s, d), GRID, **kw))

@@ -145,7 +145,7 @@ def test_every_language_is_learned_whatever_is_repeated(spark):
 
 def test_long_urls_do_not_stop_mining(spark):
     keys = "&".join(f"k{i}=1" for i in range(200))
-    rows = [(i, f"http://bad.io/win?{keys}&z{i % 3}=1", 0) for i in range(40)] + [(100 + i, f"http://fine.io/read?k{i % 200}=1", 1) for i in range(400)]
+    rows = [(i, f"http://bad.io/win?{keys}&z{i % 3}=1", 0) for i in range(40)] + [(100 + i, f"http://fine.io/read?f{i % 200}=1", 1) for i in range(400)]
     rows += [(600 + i, "http://odd.io/x?" + "&".join(f"m{j}=1" for j in range(60) if j != i), i % 2) for i in range(60)]
     pages = spark.createDataFrame(rows, "page_id long, url string, quality int")
     got = url_filters.verdicts(pages, pages.selectExpr("page_id as doc_id", "quality")).collect()

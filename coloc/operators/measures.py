@@ -7,12 +7,13 @@ from pyspark.sql import functions as F
 
 
 def overlap(results: dict[str, DataFrame]) -> DataFrame:
-    """key, region (bit k set if result k has the key), p_mean over the results that have it."""
+    """key, region (bit k set if result k has the set), p_mean over the results that have it; sets are told apart by items where all results have them."""
+    by = ["key", "items"] if all("items" in df.columns for df in results.values()) else ["key"]
     rows = None
     for k, (_, df) in enumerate(results.items()):
-        one = df.select("key", F.lit(1 << k).alias("bit"), F.col("p_value").cast("double").alias("p"))
+        one = df.select(*by, F.lit(1 << k).alias("bit"), F.col("p_value").cast("double").alias("p"))
         rows = one if rows is None else rows.unionByName(one)
-    return rows.groupBy("key").agg(F.sum("bit").cast("int").alias("region"), F.avg("p").alias("p_mean"))
+    return rows.groupBy(*by).agg(F.sum("bit").cast("int").alias("region"), F.avg("p").alias("p_mean"))
 
 
 def regions(overlapped: DataFrame) -> DataFrame:

@@ -41,7 +41,7 @@ FIRST = np.isin(np.arange(SYMBOLS), EDGES[:-1])
 ROUNDS = 2
 #: Ids that are sent to all executors at once, at most; beyond, tables are joined by shuffling.
 SMALL = 1_000_000
-ODD_BITS = 1024
+ODD_BITS = 2048
 #: Members outside a key's largest component that one task compares with all its members.
 SIDE = 4096
 #: Parts of all pairs above which a document's set is sent to all executors: there are fewer such documents.

@@ -171,6 +171,20 @@ def test_mined_rules_catch_what_brute_force_catches(spark):
     assert caught
 
 
+def test_rules_of_long_baskets_are_those_of_short_ones(spark):
+    """The bound on FP-growth's baskets changes no verdict: neither rules beyond it are lost nor rules found that do not hold."""
+    rng = random.Random(5)
+    baskets = [(sorted(rng.sample("abcdefghij", rng.randint(2, 8))),) for _ in range(500)]
+    baskets = [(t, ("i" in t and "j" in t) or ("c" in t and "d" in t and "h" in t) or rng.random() < 0.3) for (t,) in baskets]
+    rows = spark.createDataFrame(baskets, "tokens array<string>, bad boolean")
+    got = []
+    for most in (2, 4, 10):
+        known, rules, search = url_filters.mined(rows, 0.0, 8, 0.7, most)
+        assert (search is None) == (most == 10)
+        got.append({tuple(r["tokens"]) for r in url_filters.caught(rows, known, rules, search).collect()})
+    assert got[0] == got[1] == got[2] and 0 < len(got[2]) < len({tuple(t) for t, _ in baskets})
+
+
 def test_decoding_tree(spark):
     own = byte_bpe.codec(vocabularies.path("byte_bpe_multi_50k.tiktoken"), vocabularies.PATTERN)
     lists = [own.encode(t) for t in ("", "a", "hello world", "x" * 99, "é😀 " * 7)]

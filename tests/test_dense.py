@@ -36,3 +36,39 @@ def test_tiles_equal_rows(spark, decay, mode):
     assert shown(prevalence.rules_of(dense.tiles(objects, GRID, fn, mode, "ray", 6, 3, BITS, live)), *both) == [w for w in want if w[1] in keys]
     plain = prevalence.supports(transactions.to_wide(transactions.build(objects, GRID, fn, mode)), 3, BITS)
     assert shown(prevalence.sets_of(dense.tiles(objects, GRID, fn, mode, "ray", None, 3, BITS)), "sup", "exp_sup") == shown(plain, "sup", "exp_sup")
+
+
+def test_nearest_stations_equal_brute_force(spark):
+    import numpy as np
+
+    from coloc.operators import winds
+
+    rng = np.random.default_rng(2)
+    x, y = rng.uniform(0, 50, 300), np.r_[rng.uniform(0, 50, 150), rng.normal(20, 0.1, 150)]
+    x[10], y[10] = x[11], y[11]  # a tie
+    places = winds.Places(np.arange(300)[::-1], x, y)
+    at = np.column_stack([rng.uniform(-60, 120, 400), rng.uniform(-60, 120, 400)])
+    at[0] = x[10], y[10]
+    for k in (1, 2, 300, 400):
+        got = places.nearest(at[:, 0], at[:, 1], k)
+        for p, row in zip(at, got):
+            d = np.hypot(p[0] - x, p[1] - y)
+            assert row.tolist() == sorted(range(300), key=lambda s: (d[s], 299 - s))[:k]
+    objects = spark.createDataFrame([("a", 1.0, 1.0)], "object_id string, x double, y double")
+    none = spark.createDataFrame([], "station_id long, x double, y double, speed double, bearing double")
+    assert winds.interpolate(objects, none, "nearest").count() == 0
+    plan = winds.interpolate(objects, spark.createDataFrame([(1, 0.0, 0.0, 1.0, 90.0)], none.schema), "nearest")._jdf.queryExecution().executedPlan().toString()
+    assert "NestedLoop" not in plan and "Cartesian" not in plan
+
+
+def test_participation_by_squares_equals_cliques(spark):
+    from coloc.operators import baselines
+
+    rng = random.Random(8)
+    rows = [(s, f"o{i}", rng.choice("ABCDE"), rng.uniform(-20, 20), rng.uniform(-20, 20)) for s in (1, 2) for i in range(250)] + [(1, "edge", "A", 12.0, 0.0), (1, "edge2", "B", 15.0, 0.0)]
+    objects = spark.createDataFrame(rows, "sim_id int, object_id string, feature string, x double, y double")
+    for d in (2, 3):
+        shown = lambda one_row: sorted(tuple(r) for r in baselines.participation(objects, 3.0, d=d, one_row=one_row).collect())  # noqa: E731, B023
+        assert shown(True) == shown(False) and any(r[2] == d for r in shown(True))
+    plan = baselines.participation(objects, 3.0, d=3, one_row=True)._jdf.queryExecution().executedPlan().toString()
+    assert "members" not in plan

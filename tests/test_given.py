@@ -2,8 +2,13 @@
 
 from __future__ import annotations
 
+import re
+
+import pytest
+
 from coloc import catalog
 from tests.conftest import DATA
+from tests.test_oracles import con, same  # noqa: F401
 
 
 def test_wind_quadrants_read_events(spark):
@@ -12,3 +17,15 @@ def test_wind_quadrants_read_events(spark):
     rows = got.collect()
     assert sum(r["n"] for r in rows) == spark.read.parquet(f"{DATA}/events.parquet").count()
     assert all(abs(r["by_atan2"] - r["t"]) < 1e-3 and abs(r["by_quadrant"] - r["t"]) < 1e-3 for r in rows)
+
+
+#: Queries that made their rows up before.
+MOVED = [
+    "candidate_counts",
+]
+
+
+@pytest.mark.parametrize("name", MOVED)
+def test_moved_equals_twin(spark, con, name):
+    assert same(catalog.queries()[name](spark, DATA).toPandas(), con.execute(catalog.oracles()[name]).fetchdf())
+    assert re.search(r"\b(part|events|supplier)\b", catalog.oracles()[name])

@@ -21,6 +21,7 @@ def test_wind_quadrants_read_events(spark):
 
 #: Queries that made their rows up before.
 MOVED = [
+    "synth_source",
     "wkt_parse",
     "synth_distance",
     "proximity_counts",

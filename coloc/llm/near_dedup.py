@@ -233,10 +233,13 @@ class _Search:
         return self.staged(two.where(_alike_sizes("na", "nb", self.like)).select("a", "b", "ma", "mb").mapInArrow(_compared, "a long, b long, apart int"), "measured")
 
     def merged(self, links: DataFrame, comp: DataFrame) -> DataFrame:
-        """node, comp after the links joined their components."""
+        """node, comp after the links joined their components: as in comp, of nodes that are not their own component only, so that a round
+        carries what is linked and not all nodes."""
         with Scratch(comp.sparkSession) as own:
             joined = components(_labelled(links, comp).select(F.col("ca").alias("a"), F.col("cb").alias("b")), own)
-            return self.staged(comp.join(joined.select(F.col("node").alias("comp"), "root"), "comp", "left").select("node", F.coalesce("root", "comp").alias("comp")), "components")
+            moved = joined.where("node <> root").select(F.col("node").alias("comp"), "root")
+            older = comp.join(moved, "comp", "left").select("node", F.coalesce("root", "comp").alias("comp"))
+            return self.staged(older.unionByName(moved.select(F.col("comp").alias("node"), F.col("root").alias("comp"))), "components")
 
     def sided(self, members: DataFrame, turn: int = 0) -> DataFrame:
         """members with main, their key's largest component, picks, a few nodes of it, and others, the number of rows outside it."""
@@ -282,9 +285,14 @@ class _Search:
 
 
 def _labelled(pairs: DataFrame, comp: DataFrame) -> DataFrame:
-    """Pairs with their components ca and cb."""
-    one = pairs.join(comp.select(F.col("node").alias("a"), F.col("comp").alias("ca")), "a")
-    return one.join(comp.select(F.col("node").alias("b"), F.col("comp").alias("cb")), "b")
+    """Pairs with their components ca and cb; a node without a row in comp is its own."""
+    one = pairs.join(comp.select(F.col("node").alias("a"), F.col("comp").alias("ca")), "a", "left").withColumn("ca", F.coalesce("ca", "a"))
+    return one.join(comp.select(F.col("node").alias("b"), F.col("comp").alias("cb")), "b", "left").withColumn("cb", F.coalesce("cb", "b"))
+
+
+def _own_or(rows: DataFrame, comp: DataFrame) -> DataFrame:
+    """rows (node) with comp, the node itself where comp has none."""
+    return rows.join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
 
 
 def _closest(pairs: DataFrame, *by: str) -> DataFrame:
@@ -309,16 +317,16 @@ def _grouped(job: _Search) -> DataFrame:
     rows = job.staged(job.texts.mapInArrow(partial(_signed, words=job.like.words), "doc_id long, n long, print binary, mark binary, odd array<long>"), "signed")
     known = rows.where("doc_id is not null and n > 0")
     nodes = job.staged(known.groupBy("print").agg(F.count(F.lit(1)).alias("copies"), F.min("doc_id").alias("node"), *[F.first(c).alias(c) for c in ("n", "mark", "odd")]), "nodes")
-    comp = job.staged(nodes.select("node", F.col("node").alias("comp")).distinct(), "components")
+    comp = job.staged(nodes.select("node", F.col("node").alias("comp")).where(F.lit(False)), "components")
     comp = job.merged(job.same_ids(known, nodes), comp)
     comp = job.merged(job.confirmed(_closest(job.measured(job.tied(nodes), nodes), "b")), comp)
 
     # pairs from different components that share any key
-    members = job.mixed(_keys(nodes.join(comp, "node"), errors=True), "mixed-members")
+    members = job.mixed(_keys(_own_or(nodes, comp), errors=True), "mixed-members")
     for turn in range(ROUNDS):
         few = job.sided(members, turn).where("comp <> main").select(F.explode("picks").alias("a"), F.col("node").alias("b")).distinct()
         comp = job.merged(job.confirmed(_closest(job.measured(few, nodes), "b")), comp)
-        moved = job.staged(members.drop("comp").join(comp, "node").select(*members.columns), "moved-members")
+        moved = job.staged(_own_or(members.drop("comp"), comp).select(*members.columns), "moved-members")
         members = job.mixed(moved, "mixed-members")
     far = job.measured(job.crossed(members, nodes), nodes)
     if not far.isEmpty():
@@ -328,7 +336,7 @@ def _grouped(job: _Search) -> DataFrame:
         if not rest.isEmpty():
             comp = job.merged(job.confirmed(rest), comp)
     # a text that no other row shares and that nothing moved is its own component; only the others are looked up
-    of_print = nodes.select("print", "node", "copies").join(comp, "node").where("copies > 1 or comp <> node").groupBy("print").agg(F.max("copies").alias("n"), F.min("comp").alias("comp"))
+    of_print = _own_or(nodes.select("print", "node", "copies"), comp).where("copies > 1 or comp <> node").groupBy("print").agg(F.max("copies").alias("n"), F.min("comp").alias("comp"))
     out = joined_by_hot_key(rows.select("doc_id", F.col("n").alias("n_shingles"), "print"), job.staged(of_print, "print-components"), "print", "doc_id")
     component = F.when(F.col("doc_id").isNotNull(), F.coalesce("comp", "doc_id"))
     return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))

@@ -72,3 +72,35 @@ def test_participation_by_squares_equals_cliques(spark):
         assert shown(True) == shown(False) and any(r[2] == d for r in shown(True))
     plan = baselines.participation(objects, 3.0, d=3, one_row=True)._jdf.queryExecution().executedPlan().toString()
     assert "members" not in plan
+
+
+@pytest.mark.parametrize("name,mode", [("cosine", "uncertain"), ("linear", "uncertain"), ("cosine", "certain")])
+def test_circles_by_columns_equal_tiles(name, mode):
+    import numpy as np
+
+    rng = np.random.default_rng(5)
+    n, grid = 3000, grids.Grid(1.0, (0.0, 0.0, 300.0, 90.0))
+    code = rng.integers(1, 7, n)
+    x, y, r = rng.uniform(-9, 309, n), rng.uniform(-9, 99, n), rng.choice([0.3, 1.0, 2.5, 6.0], n)
+    x[:50], y[:50], x[50] = np.round(x[:50]), np.round(y[:50]), np.nan
+    fn = decays.of_arrays(decays.NAMED[name]()) if mode == "uncertain" else None
+    on = ~np.isnan(x)
+    rows = {"x": x[on], "y": y[on], "r": r[on], **{c: np.full(n - 1, np.nan) for c in dense.ELLIPSE}}
+    low_i, high_i, low_j, high_j = grid.bounds
+    for effect in (6, None):
+        got = dense.of_simulation(1, code, x, y, r, grid, fn, "radius", effect, 3, BITS, None).to_pandas().set_index("key")
+        both = np.zeros(len(got))
+        sup = np.zeros(len(got))
+        for box in [(i, min(high_i, i + 63), j, min(high_j, j + 63)) for i in range(low_i, high_i + 1, 64) for j in range(low_j, high_j + 1, 64)]:
+            parts = dense.raster(rows, code[on] - 1, 6, box, grid, fn, "radius")
+            assert (parts == dense.of_shares(dense.nearest_shares(code[on] - 1, x[on], y[on], r[on], 6, box, grid), fn)).all()
+            p = {c: np.maximum(parts[c - 1], 0) / dense.PARTS for c in range(1, 7)}
+            there = {c: parts[c - 1] >= 0 for c in range(1, 7)}
+            for k, key in enumerate(got.index):
+                items = [c for c in ((key >> BITS * (2 - m)) & 15 for m in range(3)) if c] + ([effect] if effect else [])
+                q = p[items[0]]
+                for c in items[1:]:
+                    q = q * p[c]
+                both[k] += np.floor(q * dense.PARTS + 0.5).sum()
+                sup[k] += np.logical_and.reduce([there[c] for c in items]).sum()
+        assert len(got) >= 25 and (got["sup"] == sup).all() and (got["bh"] * dense.HALF + got["bl"] == both).all()

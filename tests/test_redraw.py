@@ -43,3 +43,24 @@ def test_patterns_drawn_by_tasks_equal_rows(spark, monkeypatch):
     assert got == want and got
     monkeypatch.setattr(redraw, "MOST", 10)  # more objects than that are rows as before
     assert draws.groups({}) is None
+
+
+def test_digests_in_arrays_equal_the_library():
+    import hashlib
+
+    import numpy as np
+    import pyarrow as pa
+
+    texts = [b"", b"a", "é".encode() * 20, *[b"x" * n for n in (47, 48, 51, 52, 55, 56, 64, 200)], *[b"%d" % n for n in range(redraw.FEW + 5)]]
+    for some in (texts, texts[11:], texts[:1], []):
+        keys = pa.array(some, pa.large_binary())
+        want = np.frombuffer(b"".join(hashlib.md5(b"s1:" + k).digest() for k in some), ">u8").reshape(-1, 2)
+        assert (redraw._digests("s1:", keys) == want).all() and (redraw.draws("s1:", keys) == (want[:, 0] >> np.uint64(32)) / 4294967296.0).all()
+        assert (redraw._digests("s1:", keys.slice(1)) == want[1:]).all()
+
+
+def test_digests_are_not_made_one_by_one(monkeypatch):
+    import pyarrow as pa
+
+    monkeypatch.setattr(redraw, "md5", None)
+    assert redraw.draws("p1:", pa.array([b"%d" % n for n in range(100)], pa.large_binary())).max() < 1

@@ -38,3 +38,21 @@ MOVED = [
 def test_moved_equals_twin(spark, con, name):
     assert same(catalog.queries()[name](spark, DATA).toPandas(), con.execute(catalog.oracles()[name]).fetchdf())
     assert re.search(r"\b(part|events|supplier)\b", catalog.oracles()[name])
+
+
+def test_lineitem_meets_small_tables_without_a_shuffle(spark, monkeypatch):
+    from coloc.sources import given
+    from tests.conftest import DATA
+
+    shown = lambda df: sorted(tuple(r) for r in df.collect())
+    plan = lambda df: df._jdf.queryExecution().executedPlan().toString()
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        sent, few = given.yearly_amounts(spark, DATA), given.cases_linked(spark, DATA)
+        assert "BroadcastHashJoin [l_partkey" in plan(sent) and "BroadcastHashJoin [l_orderkey" in plan(few)
+        monkeypatch.setattr(given, "SMALL", 0)
+        met, many = given.yearly_amounts(spark, DATA), given.cases_linked(spark, DATA)
+        assert "SortMergeJoin [l_partkey" in plan(met) and "SortMergeJoin [l_orderkey" in plan(many)
+        assert shown(sent) == shown(met) and shown(few) == shown(many)
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")

@@ -31,3 +31,22 @@ def test_spline_takes_more_than_4000_stations(spark):
     got = {r["object_id"]: (r["u"], r["v"]) for r in winds.spline(objects, stations).collect()}
     assert len(got) == 41
     assert all(abs(a - b) < 1e-4 for k, x, y, *uv in rows if k % 100 == 0 for a, b in zip(got[str(k)], uv))
+
+
+def test_sums_of_crowded_places_take_work_in_proportion(monkeypatch):
+    rng = np.random.default_rng(6)
+    at = np.concatenate([rng.uniform(0, 1, (6000, 2)), rng.normal(0.4, 1e-4, (6000, 2))])
+    w = rng.normal(0, 1, (len(at), 2))
+    where = np.concatenate([at, rng.uniform(-1, 2, (500, 2)), rng.normal(0.4, 0.01, (500, 2))])
+    made, kernel = [], plates.kernel
+    monkeypatch.setattr(plates, "kernel", lambda d2: made.append(d2.size) or kernel(d2))
+    got = plates.Plate(at).load(w).at(where)
+    assert sum(made) < 1500 * len(where)
+    some = np.r_[0 : len(at) : 60, len(at) : len(where)]
+    want = np.concatenate([kernel(((p[:, None] - at[None]) ** 2).sum(-1)) @ w for p in np.array_split(where[some], 40)])
+    assert np.abs(got[some] - want).max() < 1e-8 * np.abs(want).max()
+
+
+def test_calm_stations():
+    at = np.random.default_rng(7).uniform(0, 200, (4100, 2))
+    assert not winds._spline_of(at, np.zeros((4100, 2)))(at[:50] + 0.5).any()

@@ -50,3 +50,10 @@ def test_sums_of_crowded_places_take_work_in_proportion(monkeypatch):
 def test_calm_stations():
     at = np.random.default_rng(7).uniform(0, 200, (4100, 2))
     assert not winds._spline_of(at, np.zeros((4100, 2)))(at[:50] + 0.5).any()
+
+
+def test_crowded_stations_of_a_smooth_wind():
+    rng = np.random.default_rng(8)
+    at = np.concatenate([rng.uniform(0, 200, (2200, 2)), rng.normal(80, 0.05, (2200, 2))])
+    values = np.column_stack([20 * np.sin(at[:, 0] / 30) + at[:, 1] / 9, 9 * np.cos(at[:, 1] / 20)])
+    assert np.abs(winds._spline_of(at, values)(at) - values).max() < 1e-4
